@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import pickle
 import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import zstandard
+from pyspark import Broadcast, cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -16,7 +18,7 @@ SPACES = (0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D)
 WORD_SPLIT = r"[\x20\x09-\x0D]+"
 
 #: Text bytes that one numpy step works on; a longer document is a step of its own.
-STEP_BYTES = 2 << 20
+STEP_BYTES = 512 << 10
 
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[list(SPACES)] = True
@@ -43,7 +45,22 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def sent(spark: SparkSession, thing: object) -> Broadcast:
+    """A broadcast of anything, whole: ``got`` opens it in a task. Only for things of a bounded size."""
+    return spark.sparkContext.broadcast(cloudpickle.dumps(thing))
+
+
+def got(parcel: Broadcast) -> object:
+    return pickle.loads(parcel.value)
+
+
+def lean(spark: SparkSession) -> None:
+    """Arrow batches of fewer rows, as rows are whole documents here and a batch is in memory several times over."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1000")
+
+
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
+    lean(spark)
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df
 
@@ -182,3 +199,52 @@ def signed(x: np.ndarray) -> np.ndarray:
 
 def batch(**columns) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([c if isinstance(c, (pa.Array, pa.ChunkedArray)) else pa.array(c) for c in columns.values()], names=list(columns))
+
+
+class Tally:
+    """Counts of 64-bit keys within a task; ``add`` gives a batch to hand on when it holds ``most`` of them."""
+
+    def __init__(self, most: int = 2_000_000):
+        self.most, self.keys, self.counts, self.held, self.next = most, [], [], 0, most
+
+    def add(self, keys: np.ndarray) -> pa.RecordBatch | None:
+        if len(keys):
+            k, n = np.unique(keys, return_counts=True)
+            self.keys.append(k)
+            self.counts.append(n)
+            self.held += len(k)
+        if self.held < self.next:
+            return None
+        self._merge()
+        self.next = self.held + self.most
+        return self.flush() if self.held >= self.most else None
+
+    def _merge(self) -> None:
+        k = np.concatenate(self.keys)
+        order = np.argsort(k)
+        k, n = k[order], np.concatenate(self.counts)[order]
+        first = np.flatnonzero(np.append(True, k[1:] != k[:-1]))
+        self.keys, self.counts, self.held = [k[first]], [np.add.reduceat(n, first)], len(first)
+
+    def flush(self) -> pa.RecordBatch | None:
+        if not self.held:
+            return None
+        self._merge()
+        out = batch(key=signed(self.keys[0]), n=self.counts[0].astype(np.int64))
+        self.keys, self.counts, self.held, self.next = [], [], 0, self.most
+        return out
+
+
+def tallied(df: DataFrame, keys_of) -> DataFrame:
+    """(key, n) over all rows: ``keys_of`` gives the 64-bit keys of some texts. Counted in each task first."""
+
+    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tally = Tally()
+        for b in batches:
+            for lo, hi in steps(b):
+                if (full := tally.add(keys_of(b.column("text").slice(lo, hi - lo)))) is not None:
+                    yield full
+        if (rest := tally.flush()) is not None:
+            yield rest
+
+    return df.select("text").mapInArrow(step, "key bigint, n bigint").groupBy("key").agg(F.sum("n").alias("n"))

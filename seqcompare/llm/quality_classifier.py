@@ -121,7 +121,7 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_TRAINING_ROWS, seed:
         yield batch(sums=pa.array([sums.tobytes()], pa.binary()))
 
     n = BUCKETS + SHAPES
-    sums = sum(np.frombuffer(r.sums, np.float32).reshape(n, DIMENSIONS) for r in rows.mapInArrow(partial, "sums binary").toLocalIterator())
+    sums = sum(np.frombuffer(r.sums, np.float32).reshape(n, DIMENSIONS) for r in rows.mapInArrow(partial, "sums binary").collect())
     vectors = sums / np.maximum(np.linalg.norm(sums, axis=1, keepdims=True), 1e-6)
     vectors = vectors.astype(np.float32)
 

@@ -108,7 +108,7 @@ def heavy_cells(docs: DataFrame, window: int, gram: int) -> np.ndarray:
 
     rows = docs.select("text").mapInArrow(step, "segment int, cells binary, twice binary")
     bitmap = np.zeros((segments, (1 << BITMAP_BITS) // segments // 8), np.uint8)
-    for r in rows.groupBy("segment").applyInArrow(merge, "segment int, bits binary").toLocalIterator():
+    for r in rows.groupBy("segment").applyInArrow(merge, "segment int, bits binary").collect():
         bitmap[r.segment] = np.frombuffer(zstandard.ZstdDecompressor().decompress(bytes(r.bits)), np.uint8)
     return bitmap.ravel()
 
