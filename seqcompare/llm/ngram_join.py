@@ -28,6 +28,8 @@ RECALL = 0.999
 COORDINATES = 64
 LIMIT = 256
 LEVELS = 4
+#: The texts of so many documents with likely partners are picked by a broadcast of ids (32 MB); beyond, texts are shuffled.
+MAX_BROADCAST_IDS = 1_000_000
 #: Coordinates that agree, less so much, still let a pair through to the exact comparison: four deviations.
 SLACK = 4 * math.sqrt(0.8 * 0.2 / COORDINATES)
 _EMPTY = np.uint32(0xFFFFFFFF)
@@ -198,7 +200,8 @@ def links(docs: DataFrame, reps: DataFrame, found: DataFrame, threshold: float,
 
     ``links`` counts linked representatives, ``copies`` the documents of their classes.
     """
-    wanted = found.select("doc_id").distinct()
+    wanted = written(found.select("doc_id").distinct().join(reps.select("doc_id", "a"), "doc_id"), "wanted")
+    few = wanted.count() <= MAX_BROADCAST_IDS
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -206,17 +209,22 @@ def links(docs: DataFrame, reps: DataFrame, found: DataFrame, threshold: float,
                 part = b.slice(lo, 100)
                 row, h = shingles(Words(unpacked(part.column("z"))), words)
                 bounds = np.searchsorted(row, np.arange(len(part) + 1))
-                a = [signed(np.atleast_1d(np.add.reduce(mixed(h[bounds[k] : bounds[k + 1]] + np.uint64(11)))))[0] for k in range(len(part))]
-                yield batch(doc_id=part.column("doc_id"), a=pa.array(a, pa.int64()), shingles=pa.array([h[bounds[k] : bounds[k + 1]].tobytes() for k in range(len(part))], pa.binary()))
-
-    texts = packed(docs, "doc_id").join(wanted, "doc_id")
-    made = texts.mapInArrow(sets, "doc_id bigint, a bigint, shingles binary")
-    # rows that repeat an id count once, with the text that stands for their class
-    whole = written(made.join(reps.select("doc_id", "a"), ["doc_id", "a"], "left_semi").dropDuplicates(["doc_id"]), "shingles")
-    rows = found.join(whole.drop("a"), "doc_id").join(reps.select("doc_id", "members"), "doc_id")
+                held = [h[bounds[k] : bounds[k + 1]] for k in range(len(part))]
+                a = signed(np.array([np.add.reduce(mixed(x + np.uint64(11))) for x in held], np.uint64))
+                same = pa.array(a == part.column("a").to_numpy(zero_copy_only=False))  # of rows that share an id, the one that stands for a class
+                rows = batch(doc_id=part.column("doc_id"), shingles=pa.array([x.tobytes() for x in held], pa.binary()))
+                yield rows.filter(same)
+
+    if few:
+        texts = packed(docs.join(F.broadcast(wanted), "doc_id"), "doc_id", "a")
+    else:
+        texts = packed(docs, "doc_id").join(wanted, "doc_id").select("doc_id", "a", "z")
+    whole = written(texts.mapInArrow(sets, "doc_id bigint, shingles binary"), "shingles")
+    rows = found.join(whole, "doc_id").join(reps.select("doc_id", "members"), "doc_id")
 
     def verify(key: tuple, group: pa.Table) -> pa.Table:
         group = group.combine_chunks()
+        group = group.take(np.unique(group.column("doc_id").to_numpy(), return_index=True)[1])  # repeated rows of docs
         path, i, j = (k.as_py() for k in key)
         ids, own, members = (group.column(c).to_numpy() for c in ("doc_id", "own", "members"))
         lists = group.column("leaves").combine_chunks()
