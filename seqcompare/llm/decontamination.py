@@ -91,5 +91,6 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, min_score: int = MIN_SCORE)
 
 def clean(docs: DataFrame, benchmark: DataFrame, min_score: int = MIN_SCORE) -> DataFrame:
     """The rows of docs that no item contaminates, as they are. Rows without a doc_id stay."""
-    dirty = overlaps(docs, benchmark, min_score).select("doc_id").distinct()
-    return docs.join(dirty, "doc_id", "left_anti").select(docs.columns)
+    dirty = written(overlaps(docs, benchmark, min_score).select("doc_id").distinct(), "contaminated")
+    side = F.broadcast(dirty) if dirty.count() <= MAX_BROADCAST_HITS else dirty
+    return docs.join(side, "doc_id", "left_anti").select(docs.columns)

@@ -282,3 +282,19 @@ def joined(docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS, re
         F.when(F.col("doc_id").isNotNull(), F.coalesce("root", rep, "doc_id")).alias("class_id"),
         F.when(F.col("doc_id").isNotNull() & (F.col("size") > 0), F.coalesce("copies", F.lit(0)) + F.col("members") - 1).otherwise(0).alias("n_links"),
     )
+
+
+def one_of_each(docs: DataFrame, **options) -> DataFrame:
+    """The rows of docs that stand first in their class, with all their columns; of rows that share an id, one.
+
+    Rows without an id stay.
+    """
+    groups = written(joined(docs, **options).select("doc_id", "class_id"), "groups")
+    gone = groups.where("doc_id != class_id").select("doc_id").distinct()
+    side = F.broadcast(gone) if gone.count() <= MAX_BROADCAST_IDS else gone
+    kept = docs.join(side, "doc_id", "left_anti").select(docs.columns)
+    again = groups.where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")
+    if again.limit(1).count() == 0:
+        return kept
+    again = written(again, "repeated-ids")
+    return kept.join(again, "doc_id", "left_anti").select(docs.columns).unionByName(kept.join(again, "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id"]))

@@ -184,3 +184,15 @@ def scored(docs: DataFrame, model: Model | None, threshold: float = 0.3, folds:
 
     rows = docs.select("doc_id", "text").mapInArrow(step, "doc_id bigint, score double")
     return rows.select("doc_id", (fold("doc_id", folds) == held).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
+
+
+def accepted(docs: DataFrame, model: Model | None, threshold: float = 0.3) -> DataFrame:
+    """The rows of docs, with all their columns, that score ``threshold`` or more; all of them without a model."""
+
+    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for lo, hi in steps(b):
+                part = b.slice(lo, hi - lo)
+                yield part.filter(pa.array(model.scores(part.column("text")) >= threshold))
+
+    return docs.mapInArrow(step, docs.schema) if model else docs

@@ -164,7 +164,7 @@ def windows(texts: DataFrame, chosen: DataFrame, window: int, gram: int) -> Data
                 yield batch(doc_id=np.full(len(mine), ids[i]), at=at[mine].astype(np.int32), g=signed(grams(w.hashes(1), gram)[places[mine]]), r=signed(grams(h, window)[at[mine]]))
 
     per_doc = chosen.groupBy("doc_id").agg(F.collect_list(_run("at", "n")).alias("runs"))
-    rows = texts.join(per_doc, "doc_id").select("doc_id", "z", "runs")
+    rows = texts.join(per_doc, "doc_id")  # with all columns of the texts, so that their shuffle is one with the last join's
     return rows.mapInArrow(step, "doc_id bigint, at int, g bigint, r bigint")
 
 
@@ -191,21 +191,22 @@ def repeats(docs: DataFrame, texts: DataFrame, window: int = WINDOW, gram: int =
     return whole.unionAll(later).groupBy("doc_id").agg(F.collect_list(_run("at", "n")).alias("runs"))
 
 
-def deduplicated(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, keep_text: bool = True) -> DataFrame:
-    """doc_id, n_words, n_removed, kept_sha256, and with ``keep_text`` the kept words joined by one space as ``text``.
+def deduplicated(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, keep: tuple[str, ...] = (), keep_text: bool = True) -> DataFrame:
+    """doc_id, n_words, n_removed, kept_sha256, the columns of ``keep`` (of docs), and with ``keep_text`` also ``text``.
 
-    A null or empty text has no words: n_words and n_removed are 0, and the digest is that of the empty text. Documents of
-    fewer words than a window lose none. A null doc_id is kept, but its windows neither remove nor are removed. Other
-    columns of docs are not read, whatever their names.
+    The digest is that of the kept words joined by one space. That is also the text, but for a text that loses no word:
+    it stays as it is. A null or empty text has no words: n_words and n_removed are 0, and the digest is that of the empty
+    text. Documents of fewer words than a window lose none. A null doc_id is kept, but its windows neither remove nor are
+    removed. Columns of docs that aren't named are not read.
     """
+    kinds = {f.name: f.dataType.simpleString() for f in docs.schema}
 
     def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             cuts_of = b.column("runs")
             words, removed, digests, texts = [], [], [], []
             for i, text in enumerate(unpacked(b.column("z")).to_pylist()):
-                data = text.encode()
-                parts = data.split()  # bytes split at these six white spaces only
+                parts = text.encode().split()  # bytes split at these six white spaces only
                 words.append(len(parts))
                 cut = 0
                 if cuts_of[i].is_valid:
@@ -219,12 +220,13 @@ def deduplicated(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, keep_t
                 kept = b" ".join(parts)
                 removed.append(cut)
                 digests.append(hashlib.sha256(kept).hexdigest())
-                texts.append(kept.decode() if keep_text else None)
-            yield batch(doc_id=b.column("doc_id"), n_words=pa.array(words, pa.int64()), n_removed=pa.array(removed, pa.int64()), kept_sha256=pa.array(digests, pa.string()), text=pa.array(texts, pa.string()))
+                if keep_text:
+                    texts.append(kept.decode() if cut else text)
+            out = {"doc_id": b.column("doc_id"), "n_words": pa.array(words, pa.int64()), "n_removed": pa.array(removed, pa.int64()), "kept_sha256": pa.array(digests, pa.string())}
+            yield batch(**out, **{k: b.column(k) for k in keep}, **({"text": pa.array(texts, pa.string())} if keep_text else {}))
 
-    texts = packed(docs, "doc_id")
+    texts = packed(docs, "doc_id", *keep)
     cuts = repeats(docs.where(F.col("doc_id").isNotNull()), texts, window, gram)
-    rows = texts.join(cuts, "doc_id", "left").select("doc_id", "z", "runs")
-    out = rows.mapInArrow(step, "doc_id bigint, n_words bigint, n_removed bigint, kept_sha256 string, text string")
-    return out if keep_text else out.drop("text")
-
+    rows = texts.join(cuts, "doc_id", "left")
+    more = "".join(f", `{k}` {kinds[k]}" for k in keep) + (", text string" if keep_text else "")
+    return rows.mapInArrow(step, "doc_id bigint, n_words bigint, n_removed bigint, kept_sha256 string" + more)
