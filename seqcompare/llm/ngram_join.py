@@ -3,8 +3,8 @@
 A document's set stands embedded in a fixed number of coordinates, each the smallest shingle hash of one bin. A bucket is
 a path of chosen coordinates and their values: at each level a document follows each coordinate with chance 1 / (threshold
 * coordinates), drawn from the path alone, so that two similar documents go on together in at least one expected child.
-Buckets of at most ``LIMIT`` documents are compared in full; larger ones are split again, down to ``LEVELS``, and those
-that stay large are compared in blocks. The runs that reach ``RECALL`` at the threshold all go at once: the run is part of
+Buckets of at most ``LIMIT`` documents are compared in full; larger ones are split again, down to ``LEVELS`` or until
+splitting no longer parts them, and what stays large is compared in blocks. The runs that reach ``RECALL`` at the threshold all go at once: the run is part of
 the path. A bucket's pairs are first judged by their coordinates, then verified exactly on the whole shingle sets; a pair
 that shares several buckets counts in the smallest of them. Documents with equal sets are one class, never compared.
 """
@@ -28,6 +28,10 @@ RECALL = 0.999
 COORDINATES = 64
 LIMIT = 256
 LEVELS = 4
+#: A large bucket that keeps this share of its parent's documents holds near copies: splitting it again would not part them.
+TIGHT = 0.8
+#: Documents of a block, where a leaf is compared in blocks.
+BLOCK = 1024
 #: The texts of so many documents with likely partners are picked by a broadcast of ids (32 MB); beyond, texts are shuffled.
 MAX_BROADCAST_IDS = 1_000_000
 #: Coordinates that agree, less so much, still let a pair through to the exact comparison: four deviations.
@@ -88,7 +92,10 @@ def runs_for(recall: float) -> int:
 
 
 def _descend(rows: DataFrame, threshold: float, runs: int | None) -> DataFrame:
-    """Children of (doc_id, bins, path): of the root in each run where ``runs`` is given."""
+    """(doc_id, path, above): children of rows (doc_id, bins, path, n), of the root in each run where ``runs`` is given.
+
+    ``above`` is the parent's number of documents.
+    """
 
     def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -97,6 +104,7 @@ def _descend(rows: DataFrame, threshold: float, runs: int | None) -> DataFrame:
                 ids = part.column("doc_id").to_numpy(zero_copy_only=False)
                 bins = np.frombuffer(b"".join(part.column("bins").to_pylist()), np.uint32).reshape(-1, COORDINATES)
                 filled = (bins != _EMPTY).sum(1)
+                above = np.full(len(part), np.iinfo(np.int32).max, np.int32) if runs else part.column("n").to_numpy(zero_copy_only=False)
                 paths = [mixed(np.full(len(part), k + 1, np.uint64)) for k in range(runs)] if runs else [part.column("path").to_numpy(zero_copy_only=False).view(np.uint64)]
                 for path in paths:
                     # short sets fill few coordinates; each of these is then followed more often
@@ -104,9 +112,9 @@ def _descend(rows: DataFrame, threshold: float, runs: int | None) -> DataFrame:
                         mine = np.flatnonzero(filled == many)
                         if many:
                             who, child = _chosen(path[mine], bins[mine], min(1 - 2**-30, 1 / (threshold * 0.9 * many)))
-                            yield batch(doc_id=ids[mine][who], path=signed(child))
+                            yield batch(doc_id=ids[mine][who], path=signed(child), above=above[mine][who])
 
-    return rows.mapInArrow(step, "doc_id bigint, path bigint")
+    return rows.mapInArrow(step, "doc_id bigint, path bigint, above int")
 
 
 def buckets(reps: DataFrame, threshold: float, recall: float, limit: int, levels: int) -> DataFrame:
@@ -114,13 +122,14 @@ def buckets(reps: DataFrame, threshold: float, recall: float, limit: int, levels
     leaves, front = [], reps.select("doc_id", "bins")
     for level in range(levels):
         rows = written(_descend(front, threshold, runs_for(recall) if not level else None).distinct(), f"paths-{level}")
-        counts = written(rows.groupBy("path").agg(F.count("*").cast("int").alias("n")).where("n > 1"), f"path-counts-{level}")
-        last = level == levels - 1
-        leaves.append(rows.join(counts if last else counts.where(F.col("n") <= limit), "path"))
-        if last or counts.where(F.col("n") > limit).limit(1).count() == 0:
+        counts = rows.groupBy("path").agg(F.count("*").cast("int").alias("n"), F.max("above").alias("above")).where("n > 1")
+        stays = F.lit(True) if level == levels - 1 else (F.col("n") <= limit) | (F.col("n") >= TIGHT * F.col("above"))
+        counts = written(counts.select("path", "n", stays.alias("stays")), f"path-counts-{level}")
+        leaves.append(rows.select("path", "doc_id").join(counts.where("stays").select("path", "n"), "path"))
+        split = counts.where("not stays").select("path", "n")
+        if level == levels - 1 or split.limit(1).count() == 0:
             break
-        large = rows.join(counts.where(F.col("n") > limit).select("path"), "path", "left_semi")
-        front = large.join(reps.select("doc_id", "bins"), "doc_id")
+        front = rows.select("path", "doc_id").join(split, "path").join(reps.select("doc_id", "bins"), "doc_id")
     out = leaves[0]
     for more in leaves[1:]:
         out = out.unionByName(more)
@@ -168,7 +177,7 @@ def _pairs_of(own: np.ndarray, i: int, j: int) -> np.ndarray:
 def candidates(leaves: DataFrame, reps: DataFrame, threshold: float, limit: int) -> DataFrame:
     """(path, i, j, doc_id, own, leaves): leaf rows that share a likely pair."""
     bins = leaves.groupBy("doc_id").agg(F.sort_array(F.collect_set("path")).alias("leaves")).join(reps.select("doc_id", "bins"), "doc_id")
-    rows = in_blocks(leaves, limit).join(bins, "doc_id")
+    rows = in_blocks(leaves, max(limit, BLOCK)).join(bins, "doc_id")
 
     def compare(key: tuple, group: pa.Table) -> pa.Table:
         group = group.combine_chunks()
