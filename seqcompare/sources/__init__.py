@@ -1,0 +1 @@
+"""Where sequences come from: tables, text formats and the carriers built from given tables."""

@@ -1,0 +1 @@
+"""Incremental and event-time forms of the statistics."""
