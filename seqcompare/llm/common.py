@@ -57,6 +57,8 @@ def got(parcel: Broadcast) -> object:
 def lean(spark: SparkSession) -> None:
     """Arrow batches of fewer rows, as rows are whole documents here and a batch is in memory several times over."""
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1000")
+    # small lists of many groups are gathered by hash; a task's groups are bounded by its partition
+    spark.conf.set("spark.sql.objectHashAggregate.sortBased.fallbackThreshold", "200000")
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, batch, got, packed, sent, signed, steps, text_buffers, unpacked, written
+from .common import STEP_BYTES, Words, batch, got, packed, sent, signed, steps, text_buffers, unpacked, written
 
 SPACE = "▁"
 HEAD_SHARE = 2.5e-7
@@ -132,27 +132,40 @@ def units_of(docs: DataFrame) -> DataFrame:
     """(key, unit, n): distinct units, by hash, and how often each occurs."""
 
     def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: dict[int, list] = {}
+        held = _Held()
         for b in batches:
-            for lo, hi in steps(b):
-                u = Units(b.column("text").slice(lo, hi - lo))
-                keys, first, n = np.unique(signed(u.hashes()), return_index=True, return_counts=True)
-                for key, text, many in zip(keys.tolist(), u.texts(first), n.tolist(), strict=True):
-                    if key in seen:
-                        seen[key][1] += many
-                    else:
-                        seen[key] = [text, many]
-                if len(seen) > 500_000:
-                    yield _held(seen)
-                    seen = {}
-        if seen:
-            yield _held(seen)
-
-    return docs.select("text").mapInArrow(step, "key bigint, unit string, n bigint").groupBy("key").agg(F.first("unit").alias("unit"), F.sum("n").alias("n"))
-
-
-def _held(seen: dict[int, list]) -> pa.RecordBatch:
-    return batch(key=pa.array(seen, pa.int64()), unit=pa.array([x[0] for x in seen.values()], pa.string()), n=pa.array([x[1] for x in seen.values()], pa.int64()))
+            for lo, hi in steps(b, most=4 * STEP_BYTES):
+                held.add(Units(b.column("text").slice(lo, hi - lo)))
+                if len(held.keys) > 500_000:
+                    yield held.flush()
+        if len(held.keys):
+            yield held.flush()
+
+    return docs.select("text").mapInArrow(step, "key bigint, unit string, n bigint").groupBy("key", "unit").agg(F.sum("n").alias("n"))
+
+
+class _Held:
+    """Units seen in a task: keys ascending, their texts and counts. Only texts of new keys are made strings."""
+
+    def __init__(self):
+        self.keys, self.counts, self.texts = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, object)
+
+    def add(self, units: Units) -> None:
+        keys, first, n = np.unique(signed(units.hashes()), return_index=True, return_counts=True)
+        at = np.searchsorted(self.keys, keys)
+        known = np.zeros(len(keys), bool)
+        inside = at < len(self.keys)
+        known[inside] = self.keys[at[inside]] == keys[inside]
+        self.counts[at[known]] += n[known]
+        new = ~known
+        texts = np.empty(int(new.sum()), object)
+        texts[:] = units.texts(first[new])
+        self.keys, self.counts, self.texts = (np.insert(old, at[new], fresh) for old, fresh in ((self.keys, keys[new]), (self.counts, n[new]), (self.texts, texts)))
+
+    def flush(self) -> pa.RecordBatch:
+        out = batch(key=self.keys, unit=pa.array(self.texts, pa.string()), n=self.counts)
+        self.__init__()
+        return out
 
 
 def merged(text: str, pieces: Pieces) -> list[int]:
@@ -187,6 +200,14 @@ def _bit(k: Column) -> Column:
     return F.call_function("shiftleft", F.lit(1).cast("bigint"), k)
 
 
+def _shifted(c: Column, by: int) -> Column:
+    return F.call_function("shiftleft", c.cast("bigint"), F.lit(by))
+
+
+#: The id of an edge without a piece: a character to be spelt in bytes.
+_NO_ID = (1 << 21) - 1
+
+
 def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
     """(key, n, ids): each unit's ids by the lattice."""
     spark = units.sparkSession
@@ -195,24 +216,32 @@ def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
     longest = max(len(p) for p, _, _ in rows)
     size = F.length("unit")
     short = units.where(size <= LONGEST_FOLD)
-    starts = short.select("key", "unit", "n", F.explode_outer(F.sequence(F.lit(0), size - 1)).alias("s"))
-    spans = starts.select("key", "unit", "n", "s", F.explode_outer(F.sequence(F.lit(1), F.least(F.lit(longest), size - F.col("s")))).alias("l"))
-    subs = spans.select("key", "unit", "n", "s", "l", F.substring("unit", F.col("s") + 1, F.col("l")).alias("piece"))
+    unit = ["key", "unit", "n"]
+    starts = short.select(*unit, F.explode_outer(F.sequence(F.lit(0), size - 1)).alias("s"))
+    spans = starts.select(*unit, "s", F.explode_outer(F.sequence(F.lit(1), F.least(F.lit(longest), size - F.col("s")))).alias("l"))
+    subs = spans.select(*unit, "s", "l", F.substring("unit", F.col("s") + 1, F.col("l")).alias("piece"))
     found = subs.join(table, "piece", "left").where("l = 1 or id is not null")
-    edge = F.struct(F.when(F.col("l") == 1, -1).otherwise(F.col("rank")).alias("rank"), "s", "l", F.coalesce("id", F.lit(-1)).alias("id"))
-    grouped = found.groupBy("key").agg(F.first("unit").alias("unit"), F.first("n").alias("n"), F.array_sort(F.collect_list(edge)).alias("edges"))
-
-    inside = lambda e: F.call_function("shiftleft", _bit(e.l - 1) - 1, e.s + 1)
-    ends = lambda e: _bit(e.s) + _bit(e.s + e.l)
-    take = lambda cuts, e: (cuts.bitwiseAND(ends(e)) == ends(e)) & (F.bit_count(cuts.bitwiseAND(inside(e))) == 1)
+    # an edge is one number, so that edges sort by rank, then by place: rank, start, length, id
+    edge = _shifted(F.when(F.col("l") == 1, 0).otherwise(F.col("rank") + 1), 32) + _shifted(F.col("s"), 26) + _shifted(F.col("l"), 21) + F.coalesce("id", F.lit(_NO_ID))
+    grouped = found.groupBy(*unit).agg(F.array_sort(F.collect_list(edge)).alias("edges"))
+
+    start = lambda e: F.shiftright(e, 26).bitwiseAND(63).cast("int")
+    length = lambda e: F.shiftright(e, 21).bitwiseAND(31).cast("int")
+    inside = lambda e: F.call_function("shiftleft", _bit(length(e) - 1) - 1, start(e) + 1)
+    ends = lambda e: _bit(start(e)) + _bit(start(e) + length(e))
+    take = lambda cuts, e: (F.bit_count(cuts.bitwiseAND(inside(e))) == 1) & (cuts.bitwiseAND(ends(e)) == ends(e))
     all_cuts = _bit(F.length("unit") + 1) - 1
-    cuts = F.aggregate(F.filter("edges", lambda e: e.l > 1), all_cuts, lambda c, e: F.when(take(c, e), c.bitwiseXOR(c.bitwiseAND(inside(e)))).otherwise(c))
-    folded = grouped.select("key", "unit", "n", "edges", cuts.alias("cuts"))
-    whole = lambda e: (F.col("cuts").bitwiseAND(ends(e)) == ends(e)) & (F.col("cuts").bitwiseAND(inside(e)) == 0)
-    path = F.array_sort(F.transform(F.filter("edges", whole), lambda e: F.struct(e.s.alias("s"), e.id.alias("id"))))
+    many = F.filter("edges", lambda e: e >= F.lit(1 << 32))
+    cuts = F.aggregate(many, all_cuts, lambda c, e: F.when(take(c, e), c.bitwiseXOR(c.bitwiseAND(inside(e)))).otherwise(c))
+    folded = grouped.select(*unit, "edges", cuts.alias("cuts"))
+    whole = lambda e: (F.col("cuts").bitwiseAND(inside(e)) == 0) & (F.col("cuts").bitwiseAND(ends(e)) == ends(e))
+    path = F.array_sort(F.transform(F.filter("edges", whole), lambda e: _shifted(start(e), 21) + e.bitwiseAND(_NO_ID)))
     of_byte = F.array(*(F.lit(i) for i in pieces.of_byte))
     as_bytes = lambda c: F.transform(F.sequence(F.lit(1), F.octet_length(c)), lambda j: F.element_at(of_byte, F.conv(F.hex(F.substring(F.encode(c, "UTF-8"), j, F.lit(1))), 16, 10).cast("int") + 1))
-    ids = F.flatten(F.transform(path, lambda e: F.when(e.id >= 0, F.array(e.id)).otherwise(as_bytes(F.substring("unit", e.s + 1, F.lit(1))))))
+    plain = F.transform("path", lambda e: e.bitwiseAND(_NO_ID).cast("int"))
+    spelt = F.flatten(F.transform("path", lambda e: F.when(e.bitwiseAND(_NO_ID) != _NO_ID, F.array(e.bitwiseAND(_NO_ID).cast("int"))).otherwise(as_bytes(F.substring("unit", F.shiftright(e, 21).cast("int") + 1, F.lit(1))))))
+    found_path = folded.select(*unit, path.alias("path"))
+    ids = F.when(F.exists("path", lambda e: e.bitwiseAND(_NO_ID) == _NO_ID), spelt).otherwise(plain)
     parcel = sent(spark, pieces)
 
     def queue(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -221,7 +250,7 @@ def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
             yield batch(key=b.column("key"), n=b.column("n"), ids=pa.array([merged(t, held) for t in b.column("unit").to_pylist()], pa.list_(pa.int32())))
 
     long = units.where(size > LONGEST_FOLD).mapInArrow(queue, "key bigint, n bigint, ids array<int>")
-    return folded.select("key", "n", ids.alias("ids")).unionByName(long)
+    return found_path.select("key", "n", ids.alias("ids")).unionByName(long)
 
 
 class _Table:
