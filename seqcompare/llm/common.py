@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import ctypes
 import pickle
+import sys
 import uuid
 from collections.abc import Iterator
 
@@ -50,6 +52,20 @@ def sent(spark: SparkSession, thing: object) -> Broadcast:
     return spark.sparkContext.broadcast(cloudpickle.dumps(thing))
 
 
+def tidy(step):
+    """The step, and then what the worker's allocators hold for later goes back: idle workers stay small."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from step(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            if sys.platform == "linux":
+                ctypes.CDLL(None).malloc_trim(0)
+
+    return run
+
+
 def got(parcel: Broadcast) -> object:
     return pickle.loads(parcel.value)
 
@@ -82,7 +98,7 @@ def packed(df: DataFrame, *keep: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*(b.column(k) for k in keep), pa.array(z, pa.binary())], names=[*keep, "z"])
 
     kinds = {f.name: f.dataType.simpleString() for f in df.schema}
-    return df.select(*keep, "text").mapInArrow(step, ", ".join(f"`{k}` {kinds[k]}" for k in keep) + ", z binary")
+    return df.select(*keep, "text").mapInArrow(tidy(step), ", ".join(f"`{k}` {kinds[k]}" for k in keep) + ", z binary")
 
 
 def unpacked(z: pa.Array) -> pa.Array:
@@ -249,4 +265,4 @@ def tallied(df: DataFrame, keys_of) -> DataFrame:
         if (rest := tally.flush()) is not None:
             yield rest
 
-    return df.select("text").mapInArrow(step, "key bigint, n bigint").groupBy("key").agg(F.sum("n").alias("n"))
+    return df.select("text").mapInArrow(tidy(step), "key bigint, n bigint").groupBy("key").agg(F.sum("n").alias("n"))

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, batch, grams, mixed, packed, signed, starts_of, steps, unpacked, written
+from .common import Words, batch, grams, mixed, packed, signed, starts_of, steps, unpacked, written, tidy
 from .components import components
 
 WORDS = 5
@@ -31,7 +31,7 @@ LEVELS = 4
 #: A large bucket that keeps this share of its parent's documents holds near copies: splitting it again would not part them.
 TIGHT = 0.8
 #: Documents of a block, where a leaf is compared in blocks.
-BLOCK = 1024
+BLOCK = 512
 #: The texts of so many documents with likely partners are picked by a broadcast of ids (32 MB); beyond, texts are shuffled.
 MAX_BROADCAST_IDS = 1_000_000
 #: Coordinates that agree, less so much, still let a pair through to the exact comparison: four deviations.
@@ -76,7 +76,7 @@ def embedded(docs: DataFrame, words: int = WORDS) -> DataFrame:
                     bins.reshape(-1)[cell[start]] = (mixed(h[start]) >> np.uint64(33)).astype(np.uint32)
                 yield batch(doc_id=part.column("doc_id").slice(lo, hi - lo), size=size.astype(np.int32), a=signed(a), b=signed(b), bins=pa.array([r.tobytes() for r in bins], pa.binary()))
 
-    return docs.select("doc_id", "text").mapInArrow(step, "doc_id bigint, size int, a bigint, b bigint, bins binary")
+    return docs.select("doc_id", "text").mapInArrow(tidy(step), "doc_id bigint, size int, a bigint, b bigint, bins binary")
 
 
 def _chosen(path: np.ndarray, bins: np.ndarray, chance: float) -> tuple[np.ndarray, np.ndarray]:
@@ -114,7 +114,7 @@ def _descend(rows: DataFrame, threshold: float, runs: int | None) -> DataFrame:
                             who, child = _chosen(path[mine], bins[mine], min(1 - 2**-30, 1 / (threshold * 0.9 * many)))
                             yield batch(doc_id=ids[mine][who], path=signed(child), above=above[mine][who])
 
-    return rows.mapInArrow(step, "doc_id bigint, path bigint, above int")
+    return rows.mapInArrow(tidy(step), "doc_id bigint, path bigint, above int")
 
 
 def buckets(reps: DataFrame, threshold: float, recall: float, limit: int, levels: int) -> DataFrame:
@@ -153,9 +153,15 @@ def _first_shared(leaves: np.ndarray, bounds: np.ndarray, path: int) -> np.ndarr
     if not len(who):
         return np.ones((n, n), bool)
     kinds, at = np.unique(leaves[earlier], return_inverse=True)
-    sets = np.zeros((n, len(kinds)), np.float32)
-    sets[who, at] = 1
-    return sets @ sets.T == 0
+    met = np.zeros((n, n), bool)
+    order = np.argsort(at, kind="stable")
+    at, who = at[order], who[order]
+    for lo in range(0, len(kinds), 2048):
+        a, b = np.searchsorted(at, (lo, lo + 2048))
+        sets = np.zeros((n, min(2048, len(kinds) - lo)), np.float32)
+        sets[who[a:b], at[a:b] - lo] = 1
+        met |= sets @ sets.T > 0
+    return ~met
 
 
 def _likely(bins: np.ndarray, least: float) -> np.ndarray:
@@ -216,7 +222,7 @@ def links(docs: DataFrame, reps: DataFrame, found: DataFrame, threshold: float,
         for b in batches:
             for lo in range(0, len(b), 100):
                 part = b.slice(lo, 100)
-                row, h = shingles(Words(unpacked(part.column("z"))), words)
+                row, h = shingles(Words(part.column("text") if few else unpacked(part.column("z"))), words)
                 bounds = np.searchsorted(row, np.arange(len(part) + 1))
                 held = [h[bounds[k] : bounds[k + 1]] for k in range(len(part))]
                 a = signed(np.array([np.add.reduce(mixed(x + np.uint64(11))) for x in held], np.uint64))
@@ -225,10 +231,10 @@ def links(docs: DataFrame, reps: DataFrame, found: DataFrame, threshold: float,
                 yield rows.filter(same)
 
     if few:
-        texts = packed(docs.join(F.broadcast(wanted), "doc_id"), "doc_id", "a")
+        texts = docs.join(F.broadcast(wanted), "doc_id").select("doc_id", "a", "text")
     else:
         texts = packed(docs, "doc_id").join(wanted, "doc_id").select("doc_id", "a", "z")
-    whole = written(texts.mapInArrow(sets, "doc_id bigint, shingles binary"), "shingles")
+    whole = written(texts.mapInArrow(tidy(sets), "doc_id bigint, shingles binary"), "shingles")
     rows = found.join(whole, "doc_id").join(reps.select("doc_id", "members"), "doc_id")
 
     def verify(key: tuple, group: pa.Table) -> pa.Table:
@@ -248,9 +254,9 @@ def links(docs: DataFrame, reps: DataFrame, found: DataFrame, threshold: float,
         common = np.zeros((len(held), len(held)), np.float32)
         order = np.argsort(at, kind="stable")
         at, who = at[order], who[order]
-        for lo in range(0, len(kept), 4096):
-            a, b = np.searchsorted(at, (lo, lo + 4096))
-            part = np.zeros((len(held), min(4096, len(kept) - lo)), np.float32)
+        for lo in range(0, len(kept), 2048):
+            a, b = np.searchsorted(at, (lo, lo + 2048))
+            part = np.zeros((len(held), min(2048, len(kept) - lo)), np.float32)
             part[who[a:b], at[a:b] - lo] = 1
             common += part @ part.T
         near = common >= threshold * (size[:, None] + size[None, :] - common) - 1e-6

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, batch, fold, mixed, packed, steps, unpacked
+from .common import Words, batch, fold, mixed, packed, steps, unpacked, tidy
 from .labelled import MAX_TRAINING_ROWS, sample
 
 BUCKETS = 1 << 14
@@ -121,7 +121,7 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_TRAINING_ROWS, seed:
         yield batch(sums=pa.array([sums.tobytes()], pa.binary()))
 
     n = BUCKETS + SHAPES
-    sums = sum(np.frombuffer(r.sums, np.float32).reshape(n, DIMENSIONS) for r in rows.mapInArrow(partial, "sums binary").collect())
+    sums = sum(np.frombuffer(r.sums, np.float32).reshape(n, DIMENSIONS) for r in rows.mapInArrow(tidy(partial), "sums binary").collect())
     vectors = sums / np.maximum(np.linalg.norm(sums, axis=1, keepdims=True), 1e-6)
     vectors = vectors.astype(np.float32)
 
@@ -132,7 +132,7 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_TRAINING_ROWS, seed:
                 x = pooled(unpacked(part.column("z")), vectors)
                 yield batch(doc_id=part.column("doc_id"), label=part.column("label"), x=pa.array([r.tobytes() for r in x], pa.binary()))
 
-    got = rows.mapInArrow(features, "doc_id bigint, label int, x binary").toPandas().sort_values("doc_id")
+    got = rows.mapInArrow(tidy(features), "doc_id bigint, label int, x binary").toPandas().sort_values("doc_id")
     y = got.label.to_numpy(np.float64)
     if not len(y) or y.min() == y.max():
         return None
@@ -182,7 +182,7 @@ def scored(docs: DataFrame, model: Model | None, threshold: float = 0.3, folds:
                 s = model.scores(texts) if model else np.full(hi - lo, 0.5)
                 yield batch(doc_id=b.column("doc_id").slice(lo, hi - lo), score=s.astype(np.float64))
 
-    rows = docs.select("doc_id", "text").mapInArrow(step, "doc_id bigint, score double")
+    rows = docs.select("doc_id", "text").mapInArrow(tidy(step), "doc_id bigint, score double")
     return rows.select("doc_id", (fold("doc_id", folds) == held).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
@@ -195,4 +195,4 @@ def accepted(docs: DataFrame, model: Model | None, threshold: float = 0.3) -> Da
                 part = b.slice(lo, hi - lo)
                 yield part.filter(pa.array(model.scores(part.column("text")) >= threshold))
 
-    return docs.mapInArrow(step, docs.schema) if model else docs
+    return docs.mapInArrow(tidy(step), docs.schema) if model else docs

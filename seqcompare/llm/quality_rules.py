@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, batch, grams, mixed, starts_of, steps
+from .common import Words, batch, grams, mixed, starts_of, steps, tidy
 from .labelled import MAX_TRAINING_ROWS, training_rows
 
 SYMBOLS = b"#*$%&|<>"
@@ -178,7 +178,7 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_TRAINING_ROWS) -> Fo
                 x = statistics(b.column("text").slice(lo, hi - lo))["features"]
                 yield batch(doc_id=b.column("doc_id").slice(lo, hi - lo), label=b.column("label").slice(lo, hi - lo), x=pa.array([r.tobytes() for r in x], pa.binary()))
 
-    got = training_rows(docs, labels, "quality", most).mapInArrow(step, "doc_id bigint, label int, x binary").toPandas().sort_values("doc_id")
+    got = training_rows(docs, labels, "quality", most).mapInArrow(tidy(step), "doc_id bigint, label int, x binary").toPandas().sort_values("doc_id")
     y = got.label.to_numpy(np.float64)
     if not len(y) or y.min() == y.max():
         return None
@@ -200,6 +200,6 @@ def judged(docs: DataFrame, forest: Forest | None, threshold: float = 0.5) -> Da
                 score = pa.array(forest.scores(s["features"])) if forest else pa.nulls(hi - lo, pa.float64())
                 yield batch(doc_id=b.column("doc_id").slice(lo, hi - lo), **{k: s[k].astype(np.int64) for k in BASE}, score=score)
 
-    rows = docs.select("doc_id", "text").mapInArrow(step, "doc_id bigint, " + ", ".join(f"{k} bigint" for k in BASE) + ", score double")
+    rows = docs.select("doc_id", "text").mapInArrow(tidy(step), "doc_id bigint, " + ", ".join(f"{k} bigint" for k in BASE) + ", score double")
     failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     return rows.select("doc_id", *BASE, failed.alias("base_failed"), (~failed & F.coalesce(F.col("score") >= threshold, F.lit(True))).alias("kept"), "score")

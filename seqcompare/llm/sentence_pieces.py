@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import STEP_BYTES, Words, batch, got, packed, sent, signed, steps, text_buffers, unpacked, written
+from .common import STEP_BYTES, Words, batch, got, packed, sent, signed, steps, text_buffers, unpacked, written, tidy
 
 SPACE = "▁"
 HEAD_SHARE = 2.5e-7
@@ -141,7 +141,7 @@ def units_of(docs: DataFrame) -> DataFrame:
         if len(held.keys):
             yield held.flush()
 
-    return docs.select("text").mapInArrow(step, "key bigint, unit string, n bigint").groupBy("key", "unit").agg(F.sum("n").alias("n"))
+    return docs.select("text").mapInArrow(tidy(step), "key bigint, unit string, n bigint").groupBy("key", "unit").agg(F.sum("n").alias("n"))
 
 
 class _Held:
@@ -249,7 +249,7 @@ def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
         for b in batches:
             yield batch(key=b.column("key"), n=b.column("n"), ids=pa.array([merged(t, held) for t in b.column("unit").to_pylist()], pa.list_(pa.int32())))
 
-    long = units.where(size > LONGEST_FOLD).mapInArrow(queue, "key bigint, n bigint, ids array<int>")
+    long = units.where(size > LONGEST_FOLD).mapInArrow(tidy(queue), "key bigint, n bigint, ids array<int>")
     return found_path.select("key", "n", ids.alias("ids")).unionByName(long)
 
 
@@ -270,9 +270,10 @@ class _Table:
         return np.where(self.keys[at] == keys, at, -1)
 
 
-def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str) -> DataFrame:
+def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: bool = False) -> DataFrame:
     """doc_id, n_tokens, ids, and the columns of ``keep`` (of docs), for every row of docs.
 
+    With ``digest`` also decoded_sha256, of the text that the ids decode to.
     A null or empty text has no ids. Repeated rows are encoded each. Rows that share an id may differ in text. A null
     doc_id is kept. Other columns are not read.
     """
@@ -305,7 +306,7 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str) -> DataFr
 
     def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, held = got(parcel), got(model)
-        lone = held.ranks[SPACE][1]
+        lone, spelt = held.ranks[SPACE][1], spelling(held)
         for b in batches:
             for lo in range(0, len(b), 100):
                 part = b.slice(lo, 100)
@@ -339,12 +340,13 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str) -> DataFr
                     own.append(_with_runs(mine, u.extra[span], sizes[span], held, lone) if u.extra[span].any() else mine)
                 n = np.array([len(x) for x in own], np.int64)
                 out = pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum(n)]).astype(np.int32), pa.array(np.concatenate(own) if own else np.zeros(0, np.int32), pa.int32()))
-                yield batch(doc_id=part.column("doc_id"), n_tokens=n, ids=out, **{k: part.column(k) for k in keep})
+                more = {"decoded_sha256": pa.array([hashlib.sha256(decode(x, spelt).encode()).hexdigest() for x in own], pa.string())} if digest else {}
+                yield batch(doc_id=part.column("doc_id"), n_tokens=n, ids=out, **{k: part.column(k) for k in keep}, **more)
 
-    tails = rows.select("text", "_mark").mapInArrow(missing, "_mark bigint, key bigint").join(words.where(F.col("n") < line).select("key", "ids"), "key")
+    tails = rows.select("text", "_mark").mapInArrow(tidy(missing), "_mark bigint, key bigint").join(words.where(F.col("n") < line).select("key", "ids"), "key")
     rare = tails.groupBy("_mark").agg(F.collect_list(F.struct("key", "ids")).alias("rare"))
     texts = packed(rows, "doc_id", "_mark", *keep).join(rare, "_mark", "left").drop("_mark")
-    return texts.mapInArrow(joined, "doc_id bigint, n_tokens bigint, ids array<int>" + "".join(f", `{k}` {kinds[k]}" for k in keep))
+    return texts.mapInArrow(tidy(joined), "doc_id bigint, n_tokens bigint, ids array<int>" + "".join(f", `{k}` {kinds[k]}" for k in keep) + ", decoded_sha256 string" * digest)
 
 
 def _with_runs(ids: np.ndarray, extra: np.ndarray, sizes: np.ndarray, pieces: Pieces, lone: int) -> np.ndarray:
@@ -384,18 +386,9 @@ def decoded(rows: DataFrame, pieces: Pieces | None = None) -> DataFrame:
         for b in batches:
             yield batch(doc_id=b.column("doc_id"), text=pa.array([decode(x.values.to_numpy(zero_copy_only=False), spelt) if x.is_valid else "" for x in b.column("ids")], pa.string()))
 
-    return rows.select("doc_id", "ids").mapInArrow(step, "doc_id bigint, text string")
+    return rows.select("doc_id", "ids").mapInArrow(tidy(step), "doc_id bigint, text string")
 
 
 def encode_and_decode(docs: DataFrame, pieces: Pieces | None = None) -> DataFrame:
     """doc_id, n_tokens, ids, decoded_sha256: the ids, and the digest of the text that they decode to."""
-    pieces = pieces or load()
-    parcel = sent(docs.sparkSession, spelling(pieces))
-
-    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        spelt = got(parcel)
-        for b in batches:
-            digests = [hashlib.sha256(decode(x.values.to_numpy(zero_copy_only=False), spelt).encode()).hexdigest() for x in b.column("ids")]
-            yield batch(doc_id=b.column("doc_id"), n_tokens=b.column("n_tokens"), ids=b.column("ids"), decoded_sha256=pa.array(digests, pa.string()))
-
-    return encoded(docs, pieces).mapInArrow(step, "doc_id bigint, n_tokens bigint, ids array<int>, decoded_sha256 string")
+    return encoded(docs, pieces, digest=True)

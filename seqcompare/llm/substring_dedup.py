@@ -20,7 +20,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, batch, grams, mixed, packed, signed, starts_of, steps, unpacked, written
+from .common import Words, batch, grams, mixed, packed, signed, starts_of, steps, unpacked, written, tidy
 
 WINDOW = 20
 GRAM = 8
@@ -106,7 +106,7 @@ def heavy_cells(docs: DataFrame, window: int, gram: int) -> np.ndarray:
         bits = zstandard.ZstdCompressor(level=1).compress(np.packbits(flags).tobytes())
         return pa.table({"segment": group.column("segment")[:1], "bits": pa.array([bits], pa.binary())})
 
-    rows = docs.select("text").mapInArrow(step, "segment int, cells binary, twice binary")
+    rows = docs.select("text").mapInArrow(tidy(step), "segment int, cells binary, twice binary")
     bitmap = np.zeros((segments, (1 << BITMAP_BITS) // segments // 8), np.uint8)
     for r in rows.groupBy("segment").applyInArrow(merge, "segment int, bits binary").collect():
         bitmap[r.segment] = np.frombuffer(zstandard.ZstdDecompressor().decompress(bytes(r.bits)), np.uint8)
@@ -142,7 +142,7 @@ def runs(docs: DataFrame, window: int, gram: int) -> DataFrame:
                 row = w.row[at[first]]
                 yield batch(doc_id=ids[lo:hi][row], at=(at[first] - w.bounds[row]).astype(np.int32), n=n.astype(np.int32), g=signed(g), r=signed(r))
 
-    return docs.select("doc_id", "text").mapInArrow(step, "doc_id bigint, at int, n int, g bigint, r bigint")
+    return docs.select("doc_id", "text").mapInArrow(tidy(step), "doc_id bigint, at int, n int, g bigint, r bigint")
 
 
 def windows(texts: DataFrame, chosen: DataFrame, window: int, gram: int) -> DataFrame:
@@ -165,7 +165,7 @@ def windows(texts: DataFrame, chosen: DataFrame, window: int, gram: int) -> Data
 
     per_doc = chosen.groupBy("doc_id").agg(F.collect_list(_run("at", "n")).alias("runs"))
     rows = texts.join(per_doc, "doc_id")  # with all columns of the texts, so that their shuffle is one with the last join's
-    return rows.mapInArrow(step, "doc_id bigint, at int, g bigint, r bigint")
+    return rows.mapInArrow(tidy(step), "doc_id bigint, at int, g bigint, r bigint")
 
 
 def _run(at: str, n: str) -> Column:
@@ -229,4 +229,4 @@ def deduplicated(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, keep:
     cuts = repeats(docs.where(F.col("doc_id").isNotNull()), texts, window, gram)
     rows = texts.join(cuts, "doc_id", "left")
     more = "".join(f", `{k}` {kinds[k]}" for k in keep) + (", text string" if keep_text else "")
-    return rows.mapInArrow(step, "doc_id bigint, n_words bigint, n_removed bigint, kept_sha256 string" + more)
+    return rows.mapInArrow(tidy(step), "doc_id bigint, n_words bigint, n_removed bigint, kept_sha256 string" + more)

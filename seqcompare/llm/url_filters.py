@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch, got, sent, written
+from .common import batch, got, sent, written, tidy
 
 #: Words that mark a url as one to block.
 SEEDS = (
@@ -138,7 +138,7 @@ def judged(pages: DataFrame, rules: tuple[Rule, ...] = RULES, seeds: tuple[str,
             yield batch(**{c: b.column(c) for c in ("page_id", "host", "path", "rule", "ruled")}, tokens=pa.array(tokens, pa.list_(pa.string())), seeded=pa.array(seeded, pa.bool_()))
 
     kinds = "page_id bigint, host string, path string, rule string, ruled string, tokens array<string>, seeded boolean"
-    urls = written(rows.mapInArrow(step, kinds).withColumn("row", F.monotonically_increasing_id()), "urls")
+    urls = written(rows.mapInArrow(tidy(step), kinds).withColumn("row", F.monotonically_increasing_id()), "urls")
     of = F.when(F.col("seeded"), 1).otherwise(0)
     blocked, all_urls = urls.agg(F.coalesce(F.sum(of), F.lit(0)), F.count("*")).first()
     each = urls.select("row", "seeded", F.explode("tokens").alias("token"))
