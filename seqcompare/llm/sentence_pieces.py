@@ -129,7 +129,7 @@ class Units(Words):
 
 
 def units_of(docs: DataFrame) -> DataFrame:
-    """(key, unit, n): distinct units, by hash, and how often each occurs."""
+    """(unit, n): distinct units and how often each occurs."""
 
     def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = _Held()
@@ -141,7 +141,7 @@ def units_of(docs: DataFrame) -> DataFrame:
         if len(held.keys):
             yield held.flush()
 
-    return docs.select("text").mapInArrow(tidy(step), "key bigint, unit string, n bigint").groupBy("key", "unit").agg(F.sum("n").alias("n"))
+    return docs.select("text").mapInArrow(tidy(step), "unit string, n bigint").groupBy("unit").agg(F.sum("n").alias("n"))
 
 
 class _Held:
@@ -163,7 +163,7 @@ class _Held:
         self.keys, self.counts, self.texts = (np.insert(old, at[new], fresh) for old, fresh in ((self.keys, keys[new]), (self.counts, n[new]), (self.texts, texts)))
 
     def flush(self) -> pa.RecordBatch:
-        out = batch(key=self.keys, unit=pa.array(self.texts, pa.string()), n=self.counts)
+        out = batch(unit=pa.array(self.texts, pa.string()), n=self.counts)
         self.__init__()
         return out
 
@@ -209,14 +209,14 @@ _NO_ID = (1 << 21) - 1
 
 
 def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
-    """(key, n, ids): each unit's ids by the lattice."""
+    """(unit, n, ids): each unit's ids by the lattice."""
     spark = units.sparkSession
     rows = [(p, rank, i) for p, (rank, i) in pieces.ranks.items() if p.strip(SPACE) or len(p) == 1]
     table = F.broadcast(spark.createDataFrame(rows, "piece string, rank int, id int"))
     longest = max(len(p) for p, _, _ in rows)
     size = F.length("unit")
     short = units.where(size <= LONGEST_FOLD)
-    unit = ["key", "unit", "n"]
+    unit = ["unit", "n"]
     starts = short.select(*unit, F.explode_outer(F.sequence(F.lit(0), size - 1)).alias("s"))
     spans = starts.select(*unit, "s", F.explode_outer(F.sequence(F.lit(1), F.least(F.lit(longest), size - F.col("s")))).alias("l"))
     subs = spans.select(*unit, "s", "l", F.substring("unit", F.col("s") + 1, F.col("l")).alias("piece"))
@@ -247,21 +247,39 @@ def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
     def queue(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = got(parcel)
         for b in batches:
-            yield batch(key=b.column("key"), n=b.column("n"), ids=pa.array([merged(t, held) for t in b.column("unit").to_pylist()], pa.list_(pa.int32())))
+            yield batch(unit=b.column("unit"), n=b.column("n"), ids=pa.array([merged(t, held) for t in b.column("unit").to_pylist()], pa.list_(pa.int32())))
 
-    long = units.where(size > LONGEST_FOLD).mapInArrow(tidy(queue), "key bigint, n bigint, ids array<int>")
-    return found_path.select("key", "n", ids.alias("ids")).unionByName(long)
+    long = units.where(size > LONGEST_FOLD).mapInArrow(tidy(queue), "unit string, n bigint, ids array<int>")
+    return found_path.select("unit", "n", ids.alias("ids")).unionByName(long)
+
+
+def keyed(words: DataFrame) -> DataFrame:
+    """(key, n, ids) of a dictionary: units by the hash that texts' units have, and ids as bytes of 32-bit numbers."""
+
+    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            units = [u.replace(SPACE, " ") for u in b.column("unit").to_pylist()]
+            size = np.array([len(u.encode()) for u in units], np.int64)
+            held = Words.__new__(Words)
+            held.bytes = np.frombuffer("".join(units).encode() + bytes(16), np.uint8)
+            held.ends = np.cumsum(size)
+            held.starts = held.ends - size
+            ids = b.column("ids")
+            first = ids.offsets.to_numpy()
+            raw = ids.values.to_numpy(zero_copy_only=False).astype("<i4").tobytes()
+            yield batch(key=signed(held.hashes()), n=b.column("n"), ids=pa.array([raw[4 * i : 4 * j] for i, j in zip(first[:-1].tolist(), first[1:].tolist(), strict=True)], pa.binary()))
+
+    return words.mapInArrow(tidy(step), "key bigint, n bigint, ids binary")
 
 
 class _Table:
     """Ids by key: sorted keys, where each one's ids start, and the ids."""
 
-    def __init__(self, keys: np.ndarray, ids: list[np.ndarray]):
-        order = np.argsort(keys)
-        self.keys = keys[order]
-        self.sizes = np.array([len(ids[k]) for k in order], np.int64)
-        self.first = np.cumsum(self.sizes) - self.sizes
-        self.ids = np.concatenate([ids[k] for k in order]).astype(np.int32) if len(ids) else np.zeros(0, np.int32)
+    def __init__(self, keys: np.ndarray, ids: pa.BinaryArray):
+        self.keys, first = np.unique(keys, return_index=True)
+        bounds = np.frombuffer(ids.buffers()[1], np.int32)[ids.offset : ids.offset + len(ids) + 1].astype(np.int64) // 4 if len(ids) else np.zeros(1, np.int64)
+        self.ids = np.frombuffer(ids.buffers()[2], "<i4") if len(ids) and ids.buffers()[2] is not None else np.zeros(0, np.int32)
+        self.first, self.sizes = bounds[:-1][first], np.diff(bounds)[first]
 
     def find(self, keys: np.ndarray) -> np.ndarray:
         if not len(self.keys):
@@ -270,6 +288,12 @@ class _Table:
         return np.where(self.keys[at] == keys, at, -1)
 
 
+def _gathered(flat: np.ndarray, first: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The runs of ``flat`` that start at ``first``, one after another."""
+    ends = np.cumsum(sizes)
+    return flat[np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(first - (ends - sizes), sizes)]
+
+
 def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: bool = False) -> DataFrame:
     """doc_id, n_tokens, ids, and the columns of ``keep`` (of docs), for every row of docs.
 
@@ -281,14 +305,16 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: b
     pieces = pieces or load()
     if not cuts_are_safe(pieces):
         raise ValueError("the model's pieces reach across the cuts between units")
-    words = written(dictionary(units_of(docs), pieces), "unit-ids")
+    words = written(keyed(dictionary(units_of(docs), pieces)), "unit-ids")
     total = words.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     line = max(2, HEAD_SHARE * total)
     common = words.where(F.col("n") >= line).select("key", "ids").toArrow()
-    head = _Table(common.column("key").to_numpy(), [np.asarray(x.values.to_numpy(zero_copy_only=False)) for x in common.column("ids").combine_chunks()])
+    ids = common.column("ids").combine_chunks()
+    head = _Table(common.column("key").to_numpy(), ids.chunk(0) if isinstance(ids, pa.ChunkedArray) and ids.num_chunks else pa.array([], pa.binary()) if isinstance(ids, pa.ChunkedArray) else ids)
     parcel, model = sent(spark, head), sent(spark, pieces)
     kinds = {f.name: f.dataType.simpleString() for f in docs.schema}
-    rows = docs.withColumn("_mark", F.xxhash64("doc_id", "text"))
+    # what a unit's ids are doesn't depend on the text it is in, so rows that share a mark may share what is found for it
+    rows = docs.withColumn("_mark", F.coalesce(F.col("doc_id"), F.xxhash64("text")))
 
     def missing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = got(parcel)
@@ -306,7 +332,7 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: b
 
     def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, held = got(parcel), got(model)
-        lone, spelt = held.ranks[SPACE][1], spelling(held)
+        lone, spelt = held.ranks[SPACE][1], Spelling(spelling(held))
         for b in batches:
             for lo in range(0, len(b), 100):
                 part = b.slice(lo, 100)
@@ -315,33 +341,27 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: b
                 at = table.find(keys)
                 sizes = np.where(at >= 0, table.sizes[at] if len(table.keys) else 0, 0)
                 first = np.where(at >= 0, table.first[at] if len(table.keys) else 0, 0)
-                own, flat, lists = [], [table.ids], part.column("rare")
-                reach = len(table.ids)
-                for i in range(len(part)):
-                    if lists[i].is_valid:
-                        rare = lists[i].values
-                        more = _Table(rare.field("key").to_numpy(), [np.asarray(x.values.to_numpy(zero_copy_only=False)) for x in rare.field("ids")])
-                        span = slice(u.bounds[i], u.bounds[i + 1])
-                        hit = more.find(keys[span])
-                        got_it = hit >= 0
-                        sizes[span] = np.where(got_it, more.sizes[hit], sizes[span])
-                        first[span] = np.where(got_it, more.first[hit] + reach, first[span])
-                        flat.append(more.ids)
-                        reach += len(more.ids)
-                every = np.concatenate(flat)
-                total_ids = int(sizes.sum())
-                ends = np.cumsum(sizes)
-                places = np.arange(total_ids) + np.repeat(first - (ends - sizes), sizes)
-                ids = every[places]
-                bounds = np.concatenate([[0], ends])[u.bounds]
-                for i in range(len(part)):
-                    mine = ids[bounds[i] : bounds[i + 1]]
+                lists = part.column("rare")
+                if lists.null_count < len(lists):
+                    rare = lists.flatten()
+                    more = _Table(rare.field("key").to_numpy(), rare.field("ids"))
+                    left = np.flatnonzero(at < 0)
+                    hit = more.find(keys[left])
+                    sizes[left], first[left] = more.sizes[hit], more.first[hit] + len(table.ids)
+                    flat = np.concatenate([table.ids, more.ids])
+                else:
+                    flat = table.ids
+                ids = _gathered(flat, first, sizes)
+                bounds = np.concatenate([[0], np.cumsum(sizes)])[u.bounds]
+                own = [ids[bounds[i] : bounds[i + 1]] for i in range(len(part))]
+                for i in np.unique(u.row[u.extra > 0]):
                     span = slice(u.bounds[i], u.bounds[i + 1])
-                    own.append(_with_runs(mine, u.extra[span], sizes[span], held, lone) if u.extra[span].any() else mine)
+                    own[i] = _with_runs(own[i], u.extra[span], sizes[span], held, lone)
                 n = np.array([len(x) for x in own], np.int64)
-                out = pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum(n)]).astype(np.int32), pa.array(np.concatenate(own) if own else np.zeros(0, np.int32), pa.int32()))
-                more = {"decoded_sha256": pa.array([hashlib.sha256(decode(x, spelt).encode()).hexdigest() for x in own], pa.string())} if digest else {}
-                yield batch(doc_id=part.column("doc_id"), n_tokens=n, ids=out, **{k: part.column(k) for k in keep}, **more)
+                whole = np.concatenate(own) if own else np.zeros(0, np.int32)
+                out = pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum(n)]).astype(np.int32), pa.array(whole.astype(np.int32), pa.int32()))
+                more_columns = {"decoded_sha256": pa.array(_digests(whole, n, spelt), pa.string())} if digest else {}
+                yield batch(doc_id=part.column("doc_id"), n_tokens=n, ids=out, **{k: part.column(k) for k in keep}, **more_columns)
 
     tails = rows.select("text", "_mark").mapInArrow(tidy(missing), "_mark bigint, key bigint").join(words.where(F.col("n") < line).select("key", "ids"), "key")
     rare = tails.groupBy("_mark").agg(F.collect_list(F.struct("key", "ids")).alias("rare"))
@@ -364,6 +384,27 @@ def _with_runs(ids: np.ndarray, extra: np.ndarray, sizes: np.ndarray, pieces: Pi
     return np.concatenate(out).astype(np.int32) if out else ids
 
 
+class Spelling:
+    """Pieces' bytes in one run, to spell many ids at once."""
+
+    def __init__(self, spelt: list[bytes]):
+        self.flat = np.frombuffer(b"".join(spelt), np.uint8)
+        self.sizes = np.array([len(x) for x in spelt], np.int64)
+        self.first = np.cumsum(self.sizes) - self.sizes
+
+
+def _digests(ids: np.ndarray, n: np.ndarray, spelt: Spelling) -> list[str]:
+    """SHA-256 of the text that each run of n ids spells."""
+    sizes = spelt.sizes[ids]
+    data = _gathered(spelt.flat, spelt.first[ids], sizes).tobytes()
+    ends = np.concatenate([[0], np.cumsum(sizes)])[np.concatenate([[0], np.cumsum(n)])].tolist()
+    out = []
+    for i, j in zip(ends[:-1], ends[1:], strict=True):
+        text = data[i:j].replace(SPACE.encode(), b" ")
+        out.append(hashlib.sha256(text[1:] if text.startswith(b" ") else text).hexdigest())
+    return out
+
+
 def decode(ids: list[int] | np.ndarray, spelt: list[bytes]) -> str:
     text = b"".join([spelt[i] for i in ids]).decode("utf-8", "replace").replace(SPACE, " ")
     return text[1:] if text.startswith(" ") else text
