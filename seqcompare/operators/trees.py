@@ -26,8 +26,9 @@ def _square(pdf: pd.DataFrame) -> tuple[list[str], np.ndarray]:
 
 
 def _closest(d: np.ndarray, labels: list[str]) -> tuple[int, int]:
-    masked = d + np.where(np.eye(len(d), dtype=bool), np.inf, 0)
-    i, j = np.nonzero(np.triu(masked <= masked.min() + 1e-12, 1))
+    upper = np.where(np.triu(np.ones(d.shape, bool), 1), d, np.inf)
+    low = upper.min()
+    i, j = np.nonzero(upper <= low + 1e-12 * max(1.0, abs(low)))
     best = min(range(len(i)), key=lambda k: tuple(sorted((labels[i[k]], labels[j[k]]))))
     return int(i[best]), int(j[best])
 
