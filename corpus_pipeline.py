@@ -31,8 +31,7 @@ def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     others = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
     cut = substring_dedup.deduplicated(docs, keep=others)
     if "n_chars" in others:
-        kind = docs.schema["n_chars"].dataType
-        cut = cut.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.length("text").cast(kind)).otherwise(F.col("n_chars")))
+        cut = cut.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     return cut.select(docs.columns)
 
 

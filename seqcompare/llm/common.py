@@ -88,6 +88,16 @@ def fold(column: str, modulus: int) -> Column:
     return F.crc32(F.col(column).cast("string").cast("binary")) % modulus
 
 
+def bundled(docs: DataFrame, keep: tuple[str, ...]) -> DataFrame:
+    """doc_id, text and the columns of ``keep`` as one, so that their names can't clash with an operator's own."""
+    return docs.select("doc_id", "text", *([F.struct(*(F.col(k).alias(f"c{i}") for i, k in enumerate(keep))).alias("_kept")] if keep else []))
+
+
+def unbundled(df: DataFrame, keep: tuple[str, ...]) -> DataFrame:
+    """The kept columns under their names again; where an operator's own column has the name, the kept one stays."""
+    return df.select(*(c for c in df.columns if c not in ("_kept", *keep)), *(F.col(f"_kept.c{i}").alias(k) for i, k in enumerate(keep)))
+
+
 def packed(df: DataFrame, *keep: str) -> DataFrame:
     """``keep`` and ``z``, the text compressed: a shuffle of whole texts then moves a third of the bytes."""
 

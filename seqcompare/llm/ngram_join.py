@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, batch, grams, mixed, packed, signed, starts_of, steps, unpacked, written, tidy
+from .common import Words, batch, grams, mixed, packed, signed, starts_of, steps, tidy, unpacked, written
 from .components import components
 
 WORDS = 5

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, batch, fold, mixed, packed, steps, unpacked, tidy
+from .common import Words, batch, fold, mixed, packed, steps, tidy, unpacked
 from .labelled import MAX_TRAINING_ROWS, sample
 
 BUCKETS = 1 << 14

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import STEP_BYTES, Words, batch, got, packed, sent, signed, steps, text_buffers, unpacked, written, tidy
+from .common import STEP_BYTES, Words, batch, bundled, got, packed, sent, signed, steps, text_buffers, tidy, unbundled, unpacked, written
 
 SPACE = "▁"
 HEAD_SHARE = 2.5e-7
@@ -312,7 +312,9 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: b
     ids = common.column("ids").combine_chunks()
     head = _Table(common.column("key").to_numpy(), ids.chunk(0) if isinstance(ids, pa.ChunkedArray) and ids.num_chunks else pa.array([], pa.binary()) if isinstance(ids, pa.ChunkedArray) else ids)
     parcel, model = sent(spark, head), sent(spark, pieces)
+    docs, names = bundled(docs, keep), keep
     kinds = {f.name: f.dataType.simpleString() for f in docs.schema}
+    keep = ("_kept",) if keep else ()
     # what a unit's ids are doesn't depend on the text it is in, so rows that share a mark may share what is found for it
     rows = docs.withColumn("_mark", F.coalesce(F.col("doc_id"), F.xxhash64("text")))
 
@@ -366,7 +368,8 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: b
     tails = rows.select("text", "_mark").mapInArrow(tidy(missing), "_mark bigint, key bigint").join(words.where(F.col("n") < line).select("key", "ids"), "key")
     rare = tails.groupBy("_mark").agg(F.collect_list(F.struct("key", "ids")).alias("rare"))
     texts = packed(rows, "doc_id", "_mark", *keep).join(rare, "_mark", "left").drop("_mark")
-    return texts.mapInArrow(tidy(joined), "doc_id bigint, n_tokens bigint, ids array<int>" + "".join(f", `{k}` {kinds[k]}" for k in keep) + ", decoded_sha256 string" * digest)
+    columns = "doc_id bigint, n_tokens bigint, ids array<int>" + "".join(f", `{k}` {kinds[k]}" for k in keep) + ", decoded_sha256 string" * digest
+    return unbundled(texts.mapInArrow(tidy(joined), columns), names)
 
 
 def _with_runs(ids: np.ndarray, extra: np.ndarray, sizes: np.ndarray, pieces: Pieces, lone: int) -> np.ndarray:

@@ -20,7 +20,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, batch, grams, mixed, packed, signed, starts_of, steps, unpacked, written, tidy
+from .common import Words, batch, bundled, grams, mixed, packed, signed, starts_of, steps, tidy, unbundled, unpacked, written
 
 WINDOW = 20
 GRAM = 8
@@ -199,7 +199,9 @@ def deduplicated(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, keep:
     text. Documents of fewer words than a window lose none. A null doc_id is kept, but its windows neither remove nor are
     removed. Columns of docs that aren't named are not read.
     """
+    docs, names = bundled(docs, keep), keep
     kinds = {f.name: f.dataType.simpleString() for f in docs.schema}
+    keep = ("_kept",) if keep else ()
 
     def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -229,4 +231,4 @@ def deduplicated(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, keep:
     cuts = repeats(docs.where(F.col("doc_id").isNotNull()), texts, window, gram)
     rows = texts.join(cuts, "doc_id", "left")
     more = "".join(f", `{k}` {kinds[k]}" for k in keep) + (", text string" if keep_text else "")
-    return rows.mapInArrow(tidy(step), "doc_id bigint, n_words bigint, n_removed bigint, kept_sha256 string" + more)
+    return unbundled(rows.mapInArrow(tidy(step), "doc_id bigint, n_words bigint, n_removed bigint, kept_sha256 string" + more), names)

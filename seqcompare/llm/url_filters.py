@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch, got, sent, written, tidy
+from .common import batch, got, sent, tidy, written
 
 #: Words that mark a url as one to block.
 SEEDS = (
@@ -29,6 +29,8 @@ SEEDS = (
 LEXICON_SHARE = 1e-6
 HEAD_SHARE = 1e-4
 LONGEST = 20
+#: What is added to each word's counts: little, as few urls are block examples.
+SMOOTHING = 0.1
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -144,7 +146,8 @@ def judged(pages: DataFrame, rules: tuple[Rule, ...] = RULES, seeds: tuple[str,
     each = urls.select("row", "seeded", F.explode("tokens").alias("token"))
     counts = written(each.groupBy("token").agg(F.sum(of).alias("block"), F.count("*").alias("n")), "url-words")
     in_block, in_all, kinds_n = counts.agg(F.coalesce(F.sum("block"), F.lit(0)), F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    odds = F.log((F.col("block") + 1) / F.lit(float(in_block + kinds_n + 1))) - F.log((F.col("n") - F.col("block") + 1) / F.lit(float(in_all - in_block + kinds_n + 1)))
+    spread = SMOOTHING * (kinds_n + 1)
+    odds = F.log((F.col("block") + SMOOTHING) / F.lit(in_block + spread)) - F.log((F.col("n") - F.col("block") + SMOOTHING) / F.lit(in_all - in_block + spread))
     scores = counts.select("token", "n", odds.alias("odds"))
     line = HEAD_SHARE * in_all
     head, tail = F.broadcast(scores.where(F.col("n") >= line).select("token", "odds")), scores.where(F.col("n") < line).select("token", "odds")
