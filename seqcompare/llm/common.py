@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import gc
 import pickle
 import sys
 import uuid
@@ -43,6 +44,7 @@ def written(df: DataFrame, name: str) -> DataFrame:
     """``df`` as a table in the shared folder: its lineage is cut, and it outlives lost executors."""
     spark = df.sparkSession
     path = stage_path(spark, name)
+    give_back()
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -59,13 +61,19 @@ def tidy(step):
         try:
             yield from step(batches)
         finally:
-            pa.default_memory_pool().release_unused()
-            if sys.platform == "linux":
-                ctypes.CDLL(None).malloc_trim(0)
+            give_back()
 
     return run
 
 
+def give_back() -> None:
+    """Memory that allocators hold for later goes back to the system."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    if sys.platform == "linux":
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def got(parcel: Broadcast) -> object:
     return pickle.loads(parcel.value)
 
