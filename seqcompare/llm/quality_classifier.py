@@ -114,7 +114,7 @@ def context_sums(z: Iterator[pa.Array]) -> np.ndarray:
 def fit(docs: DataFrame, labels: DataFrame, most: int = MAX_TRAINING_ROWS, seed: int = 7) -> Model | None:
     """None where the labels don't hold both classes."""
     ids = sample(labels, "quality", most=most)
-    rows = packed(docs.join(F.broadcast(ids), "doc_id"), "doc_id", "label").repartition(SAMPLE_PARTS, "doc_id")
+    rows = packed(docs.join(F.broadcast(ids), "doc_id"), "doc_id", "label").repartition(SAMPLE_PARTS)
 
     def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums = context_sums(b.column("z").slice(i, 256) for b in batches for i in range(0, len(b), 256))
