@@ -250,7 +250,19 @@ def strategy_times(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("scaling")
 def scaling(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Seconds for one and two workers of the sketch distance, here and in one process."""
-    return experiments.scaling(spark, carriers.documents(spark, sf_dir, below=40), (1, 2), 12, 200)
+    return experiments.scaling(spark, carriers.documents(spark, sf_dir, below=40), (1, 2), k=12, size=200)
+
+
+@query("scaling_spaced")
+def scaling_spaced(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same for the spaced-word distance, on short passages."""
+    return experiments.scaling(spark, carriers.benchmark_items(spark, sf_dir).where("part_id < 20"), (1, 2), "spaced")
+
+
+@query("early_stop")
+def early_stop(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Entries that no null value of two batches reaches: only these can pass at few replicates."""
+    return significance.early_stop(users(spark, sf_dir), ["d2", "manhattan"], 3, Q, 2, 5).select("fn", "i", "j", r(F.col("value")).alias("value"))
 
 
 @query("mixed_sizes")

@@ -54,7 +54,7 @@ _BENCH_WORDS = f"bw AS (SELECT DISTINCT unnest({WORDS}) AS feature FROM benchmar
 
 
 def _doc_words(spark: SparkSession, sf_dir: str, k: int = 1) -> DataFrame:
-    docs = carriers.table(spark, sf_dir, "documents", "doc_id", "text").where("text is not null").repartition(carriers.spread(spark))
+    docs = carriers.dealt(carriers.table(spark, sf_dir, "documents", "doc_id", "text").where("text is not null"))
     seq = docs.select(F.col("doc_id").cast("string").alias("seq_id"), carriers.words(F.col("text")).alias("words"))
     return stats.combine(stats.TokenShingle(k).extract(seq))
 

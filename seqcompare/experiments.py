@@ -93,14 +93,21 @@ def strategies(spark: SparkSession, stat: DataFrame, functions: list, k: int, pl
     return spark.createDataFrame(rows, "strategy string, seconds double, entries bigint")
 
 
-def scaling(spark: SparkSession, seq: DataFrame, threads: tuple[int, ...] = (1, 2, 4), k: int = 21, size: int = 1000) -> DataFrame:
-    """(method, workers, seconds, speedup, efficiency): the sketch distance here, dealt into as many tasks, and in one process."""
+def scaling(spark: SparkSession, seq: DataFrame, threads: tuple[int, ...] = (1, 2, 4), fn: str = "minhash", k: int = 21, size: int = 1000, pattern: str = "110010110010101100101") -> DataFrame:
+    """(method, workers, seconds, speedup, efficiency): a distance here, dealt into as many tasks, and in one process.
+
+    The stand-in of the spaced-word distance has one thread, whatever the workers.
+    """
     rows = []
     base: dict[str, float] = {}
     texts = {r.seq_id: r.residues for r in seq.groupBy("seq_id").agg(F.array_join(F.collect_list("residues"), "N").alias("residues")).toLocalIterator()}
     for n in threads:
         dealt = seq.repartition(n, "seq_id")
-        for method, action in (("spark", lambda dealt=dealt: sketch.matrix(sketch.sketches(dealt, k, size), k, size).count()), ("process", lambda n=n: len(baselines.local_sketch(texts, k, size, n)))):
+        if fn == "minhash":
+            actions = (("spark", lambda dealt=dealt: sketch.matrix(sketch.sketches(dealt, k, size), k, size).count()), ("process", lambda n=n: len(baselines.local_sketch(texts, k, size, n))))
+        else:
+            actions = (("spark", lambda dealt=dealt: spaced.distance(dealt, [pattern]).count()), ("process", lambda: len(baselines.local_spaced(texts, pattern))))
+        for method, action in actions:
             seconds, _ = timed(action)
             base.setdefault(method, seconds)
             rows.append((method, n, seconds, base[method] / seconds, base[method] / seconds / n))

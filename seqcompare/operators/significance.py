@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.library import REGISTRY, get
@@ -75,6 +75,7 @@ def early_stop(seq: DataFrame, functions: list, k: int, q: int, batches: int, ea
     live, n = observed.select("fn", "i", "j", "value"), seq.select("seq_id").distinct().count()
     if batches * each >= n * (n - 1) / 2 / alpha:
         raise ValueError("so many replicates allow an entry to miss some: test all of them")
+    _checkpoint_folder(seq.sparkSession)
     for k_batch in range(batches):
         nulls = null_matrix(seq, functions, k, q, each, seed + k_batch)
         tested = pvalues(live, nulls, each)
@@ -82,6 +83,12 @@ def early_stop(seq: DataFrame, functions: list, k: int, q: int, batches: int, ea
     return live
 
 
+def _checkpoint_folder(spark: SparkSession) -> None:
+    """The session's own folder for checkpoints; one below the warehouse only where none is set."""
+    if spark.conf.get("spark.checkpoint.dir", None) is None and spark.sparkContext.getCheckpointDir() is None:
+        spark.sparkContext.setCheckpointDir(f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_checkpoints")
+
+
 def summary(sig: DataFrame, green: float = 0.75, keys: tuple[str, ...] = ("fn",)) -> DataFrame:
     """(keys, m, passed, share, class): green from ``green`` on, red where none passes, else yellow."""
     out = sig.groupBy(*keys).agg(F.count("*").alias("m"), F.sum(F.col("reject").cast("bigint")).alias("passed"))

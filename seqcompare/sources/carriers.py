@@ -12,7 +12,7 @@ EVENT_SYMBOLS = {"click": "C", "view": "V", "purchase": "P", "signup": "S", "err
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
-    """A given table, dealt out again where it is one file and so one partition."""
+    """A given table, or some of its columns."""
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df
 
@@ -36,17 +36,19 @@ def documents(spark: SparkSession, sf_dir: str, encode=acgt, below: int | None =
     docs = table(spark, sf_dir, "documents", "doc_id", "text").where(F.col("text").isNotNull())
     if below is not None:
         docs = docs.where(F.col("doc_id") < below)
-    return _sequence(docs.repartition(spread(spark)), F.col("doc_id"), F.col("doc_id"), encode(F.col("text")))
+    return _sequence(dealt(docs), F.col("doc_id"), F.col("doc_id"), encode(F.col("text")))
 
 
-def spread(spark: SparkSession) -> int:
-    return max(2, spark.sparkContext.defaultParallelism)
+def dealt(df: DataFrame) -> DataFrame:
+    """Rows dealt to all cores where a scan has fewer tasks than there are cores; larger scans aren't shuffled."""
+    cores = max(2, df.sparkSession.sparkContext.defaultParallelism)
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
 
 
 def language_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each language and source a sequence of many parts: words never cross documents."""
     docs = table(spark, sf_dir, "documents", "doc_id", "text", "lang", "source").where(F.col("text").isNotNull())
-    return _sequence(docs.repartition(spread(spark)), F.concat_ws("/", "lang", "source"), F.col("doc_id"), acgt(F.col("text")))
+    return _sequence(dealt(docs), F.concat_ws("/", "lang", "source"), F.col("doc_id"), acgt(F.col("text")))
 
 
 def user_events(spark: SparkSession, sf_dir: str, users: int | None = None) -> DataFrame:
