@@ -23,8 +23,12 @@ from ..operators.stats import class_histogram
 MAX_TOTAL_ROWS = 2_000_000
 #: A feature in more sequences isn't made a list.
 MAX_POSTING = 20_000
-#: Totals of at most so many sequences are broadcast.
-MAX_BROADCAST_SEQUENCES = 200_000
+
+
+def _held(df: DataFrame, whole: bool) -> DataFrame:
+    """A row for each sequence: broadcast where the result has a row for each pair, so that it is the square root of that;
+    with chosen pairs only, sequences may be very many, and the join is left to the optimizer."""
+    return F.broadcast(df) if whole else df
 
 
 def totals(stat: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
@@ -35,9 +39,9 @@ def totals(stat: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
     )
 
 
-def with_shares(stat: DataFrame, marg: DataFrame, keys: tuple[str, ...]) -> DataFrame:
+def with_shares(stat: DataFrame, marg: DataFrame, keys: tuple[str, ...], whole: bool = True) -> DataFrame:
     """Values as doubles, and their share of the sequence's total."""
-    joined = stat.join(F.broadcast(marg.select(*keys, "seq_id", "total")), [*keys, "seq_id"])
+    joined = stat.join(_held(marg.select(*keys, "seq_id", "total"), whole), [*keys, "seq_id"])
     return joined.select(*keys, "seq_id", "feature", F.col("value").cast("double").alias("v"), (F.col("value") / F.col("total")).alias("p"))
 
 
@@ -161,11 +165,11 @@ def grid(marg: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
     return a.join(F.broadcast(b), list(keys)).where("i < j") if keys else a.join(F.broadcast(b), F.col("i") < F.col("j"))
 
 
-def _sides(pairs: DataFrame, marg: DataFrame, keys: tuple[str, ...]) -> DataFrame:
+def _sides(pairs: DataFrame, marg: DataFrame, keys: tuple[str, ...], whole: bool = True) -> DataFrame:
     columns = [c for c in marg.columns if c not in (*keys, "seq_id")]
     for side, name in (("a", "i"), ("b", "j")):
         own = marg.select(*keys, F.col("seq_id").alias(name), *(F.col(c).alias(f"{side}_{c}") for c in columns))
-        pairs = pairs.join(F.broadcast(own), [*keys, name])
+        pairs = pairs.join(_held(own, whole), [*keys, name])
     return pairs
 
 
@@ -239,14 +243,15 @@ def compute(stat: DataFrame, functions: list[str | PairFunction], strategy: str
     made = [f if isinstance(f, PairFunction) else get(f) for f in functions]
     strategy = choose(stat) if strategy == "auto" else strategy
     marg = totals(stat, keys)
-    rows = with_shares(stat, marg, keys)
+    whole = only is None
+    rows = with_shares(stat, marg, keys, whole)
     pair = [*keys, "i", "j"]
     partial = STRATEGIES[strategy](rows, made, keys, **options)
-    wide = _sides((only if only is not None else grid(marg, keys)).join(partial, pair, "left"), marg, keys)
+    wide = _sides((only if only is not None else grid(marg, keys)).join(partial, pair, "left"), marg, keys, whole)
     wide = wide.fillna(0.0, [c for c in partial.columns if c not in pair])
     if any(f.extreme for f in made):
         top = rows.groupBy(*keys, "seq_id").agg(F.max("v").alias("top"))
-        wide = _sides(wide.join(_alone(rows, keys).withColumn("met", F.lit(True)), pair, "left"), top, keys)
+        wide = _sides(wide.join(_alone(rows, keys).withColumn("met", F.lit(True)), pair, "left"), top, keys, whole)
         # a pair that shares no feature has no row there: all of both is alone
         alone = lambda s: F.when(F.col("met").isNull(), F.col(f"{s}_top")).otherwise(F.coalesce(f"{s}_alone", F.lit(0.0)))
         wide = wide.withColumns({f"{s}_alone": alone(s) for s in "ab"})
