@@ -180,3 +180,9 @@ def test_formats(spark, tmp_path):
 def test_canonical_and_packed(spark):
     row = spark.range(1).select(stats.canonical(F.lit("TTT")).alias("c"), stats.packed(F.lit("T" * 31)).alias("p")).first()
     assert row.c == "AAA" and row.p == 4**31 - 1
+
+
+def test_chosen_pairs_only(spark, stat):
+    pairs = spark.createDataFrame([("a", "c"), ("b", "d")], "i string, j string")
+    rows = {(r.i, r.j): r.value for r in matrix.compute(stat, ["d2"], "none", only=pairs).collect()}
+    assert rows == {p: pytest.approx(brute("d2", *p)) for p in (("a", "c"), ("b", "d"))}
