@@ -129,7 +129,10 @@ class Units(Words):
 
 
 def units_of(docs: DataFrame) -> DataFrame:
-    """(unit, n): distinct units and how often each occurs."""
+    """(unit, n, size): distinct units, how often each occurs, and its characters.
+
+    The size is an aggregate, as a filter on the unit itself would go below the aggregation and split it in two.
+    """
 
     def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = _Held()
@@ -141,7 +144,7 @@ def units_of(docs: DataFrame) -> DataFrame:
         if len(held.keys):
             yield held.flush()
 
-    return docs.select("text").mapInArrow(tidy(step), "unit string, n bigint").groupBy("unit").agg(F.sum("n").alias("n"))
+    return docs.select("text").mapInArrow(tidy(step), "unit string, n bigint").groupBy("unit").agg(F.sum("n").alias("n"), F.max(F.length("unit")).alias("size"))
 
 
 class _Held:
@@ -214,9 +217,10 @@ def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
     rows = [(p, rank, i) for p, (rank, i) in pieces.ranks.items() if p.strip(SPACE) or len(p) == 1]
     table = F.broadcast(spark.createDataFrame(rows, "piece string, rank int, id int"))
     longest = max(len(p) for p, _, _ in rows)
-    size = F.length("unit")
+    size = F.col("size")
     short = units.where(size <= LONGEST_FOLD)
     unit = ["unit", "n"]
+    size = F.length("unit")
     starts = short.select(*unit, F.explode_outer(F.sequence(F.lit(0), size - 1)).alias("s"))
     spans = starts.select(*unit, "s", F.explode_outer(F.sequence(F.lit(1), F.least(F.lit(longest), size - F.col("s")))).alias("l"))
     subs = spans.select(*unit, "s", "l", F.substring("unit", F.col("s") + 1, F.col("l")).alias("piece"))
@@ -249,7 +253,7 @@ def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
         for b in batches:
             yield batch(unit=b.column("unit"), n=b.column("n"), ids=pa.array([merged(t, held) for t in b.column("unit").to_pylist()], pa.list_(pa.int32())))
 
-    long = units.where(size > LONGEST_FOLD).mapInArrow(tidy(queue), "unit string, n bigint, ids array<int>")
+    long = units.where(F.col("size") > LONGEST_FOLD).mapInArrow(tidy(queue), "unit string, n bigint, ids array<int>")
     return found_path.select("unit", "n", ids.alias("ids")).unionByName(long)
 
 
