@@ -18,6 +18,8 @@ from .common import stage_path, written
 
 VERSION = "WARC/1.1"
 END = "\r\n\r\n"
+#: Columns that address a payload, in headers and payloads alike.
+ADDRESS = ["digest", "check", "size"]
 DATE = "2024-01-01T00:00:00Z"
 _BASE32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 _CONV = "0123456789ABCDEFGHIJKLMNOPQRSTUV"
@@ -65,21 +67,26 @@ def stored(pages: DataFrame, least_bytes: int = 0) -> Archive:
     read = pages.select("page_id", "url", html.alias("payload"))
     marks = [base32_sha1(F.col("payload")).alias("digest"), F.sha2("payload", 256).alias("check"), F.octet_length("payload").cast("bigint").alias("size")]
     slim = written(read.select("page_id", "url", *marks), "warc-index")
-    same = ["digest", "check", "size"]
+    same = ADDRESS
     first = slim.groupBy(*same).agg(F.max("page_id").alias("first"))
     revisit = (F.col("size") >= least_bytes) & F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
     kinds = slim.join(first, same).withColumn("kind", F.when(revisit, "revisit").otherwise("response"))
     lines = header(F.col("kind"), F.col("page_id"), F.col("url"), F.col("digest"), F.col("size"), F.col("first"))
     headers = written(kinds.select("page_id", lines.alias("header"), *same), "warc-headers")
-    keepers = slim.groupBy(*same).agg(F.max("page_id").alias("page_id")).where(F.col("page_id").isNotNull()).select("page_id", "digest")
-    named = read.where(F.col("page_id").isNotNull()).select("page_id", "payload").join(keepers, "page_id").where(base32_sha1(F.col("payload")) == F.col("digest"))
-    whole = named.select("digest", "payload").dropDuplicates(["digest"]) if _repeats(slim) else named.select("digest", "payload")
+    keepers = slim.groupBy(*same).agg(F.max("page_id").alias("page_id"))
+    named = read.where(F.col("page_id").isNotNull()).select("page_id", "payload").join(keepers.where(F.col("page_id").isNotNull()), "page_id")
+    named = named.where((base32_sha1(F.col("payload")) == F.col("digest")) & (F.sha2("payload", 256) == F.col("check"))).select(*same, "payload")
+    if _repeats(slim.where(F.col("page_id").isNotNull())):
+        named = named.dropDuplicates(same)
+    # payloads that only rows without a page_id have are found by what addresses them
+    unnamed = read.where(F.col("page_id").isNull()).select("payload", *marks).join(keepers.where(F.col("page_id").isNull()).select(*same), same)
+    whole = named.unionByName(unnamed.dropDuplicates(same).select(*same, "payload"))
     return Archive(headers, written(whole, "warc-payloads"))
 
 
 def _repeats(slim: DataFrame) -> bool:
-    """Whether a page_id is repeated or missing, so that payloads need a pass of their own to be stored once."""
-    return slim.groupBy("page_id").agg(F.count("*").alias("n")).where("n > 1 or page_id is null").limit(1).count() > 0
+    """Whether a page_id is repeated, so that payloads need a pass of their own to be stored once."""
+    return slim.groupBy("page_id").agg(F.count("*").alias("n")).where("n > 1").limit(1).count() > 0
 
 
 def _field(name: str) -> Column:
@@ -91,21 +98,21 @@ def read_back(archive: Archive) -> DataFrame:
 
     Sizes and digests are those of the payload found under a record's digest, computed anew.
     """
-    held = archive.payloads.select("digest", base32_sha1(F.col("payload")).alias("payload_digest"), F.octet_length("payload").cast("bigint").alias("payload_bytes"))
-    records = archive.headers.select("page_id", _field("WARC-Payload-Digest").alias("digest"), _field("WARC-Type").alias("record_type"), _field("WARC-Refers-To").alias("refers"))
+    held = archive.payloads.select(*ADDRESS, base32_sha1(F.col("payload")).alias("payload_digest"), F.octet_length("payload").cast("bigint").alias("payload_bytes"))
+    records = archive.headers.select("page_id", _field("WARC-Payload-Digest").alias("digest"), "check", "size", _field("WARC-Type").alias("record_type"), _field("WARC-Refers-To").alias("refers"))
     refers = F.when(F.col("refers") != "", F.col("refers")).cast("bigint")
-    return records.join(held, "digest").select("page_id", "payload_bytes", "payload_digest", "record_type", refers.alias("refers_to"))
+    return records.join(held, ADDRESS).select("page_id", "payload_bytes", "payload_digest", "record_type", refers.alias("refers_to"))
 
 
 def records(archive: Archive) -> DataFrame:
     """(page_id, record): whole records as written in a WARC file, without the blank lines that end them."""
     own = F.when(_field("WARC-Type") == "revisit", F.lit("")).otherwise(F.col("payload"))
-    return archive.headers.join(archive.payloads, "digest").select("page_id", F.concat("header", F.lit(END), own).alias("record"))
+    return archive.headers.join(archive.payloads, ADDRESS).select("page_id", F.concat("header", F.lit(END), own).alias("record"))
 
 
 def originals(archive: Archive) -> DataFrame:
     """(page_id, header, payload): every record with its full payload, revisits included."""
-    return archive.headers.join(archive.payloads, "digest").select("page_id", "header", "payload")
+    return archive.headers.join(archive.payloads, ADDRESS).select("page_id", "header", "payload")
 
 
 def write_files(archive: Archive, path: str | None = None, rows_a_file: int = 10_000) -> str:

@@ -178,6 +178,17 @@ def test_warc_round_trip(spark):
     assert warc.read_back(warc.stored(spark.createDataFrame([], PAGES))).count() == 0
 
 
+def test_warc_keeps_payloads_of_rows_without_an_id(spark):
+    archive = warc.stored(spark.createDataFrame([*PAGE_ROWS, (None, "v", "alone", "x"), (None, None, None, "x")], PAGES))
+    rows = warc.read_back(archive).collect()
+    assert len(rows) == 10
+    assert Counter((r.record_type, r.refers_to, r.payload_bytes) for r in rows if r.page_id is None) == {("revisit", 2, 4): 1, ("response", None, 5): 2, ("revisit", 4, 0): 1}
+    assert sorted(r.payload for r in warc.originals(archive).where("page_id is null").collect()) == ["", "alone", "alone", "same"]
+    assert archive.payloads.count() == 4
+    back = warc.read_files(spark, warc.write_files(archive)).collect()
+    assert len(back) == 10 and [r.block for r in back if "Type: response" in r.header and "page:none" in r.header] == ["alone", "alone"]
+
+
 def test_warc_of_small_payloads(spark):
     rows = warc.read_back(warc.stored(spark.createDataFrame(PAGE_ROWS[:4], PAGES), least_bytes=1)).collect()
     assert {r.page_id: r.record_type for r in rows} == {1: "revisit", 2: "response", 3: "response", 4: "response"}
