@@ -2,10 +2,11 @@
 
 A document's set stands embedded in a fixed number of coordinates, each the smallest shingle hash of one bin. A bucket is
 a path of chosen coordinates and their values: at each level a document follows each coordinate with chance 1 / (threshold
-* coordinates), drawn from the path alone, so that two similar documents go on together in at least one expected child.
+* FOLLOW * coordinates), drawn from the path alone, so that two similar documents go on together in more than one expected
+child.
 Buckets of at most ``LIMIT`` documents are compared in full; larger ones are split again, down to ``LEVELS`` or until
-splitting no longer parts them, and what stays large is compared in blocks. The runs that reach ``RECALL`` at the threshold all go at once: the run is part of
-the path. A bucket's pairs are first judged by their coordinates, then verified exactly on the whole shingle sets; a pair
+splitting no longer parts them, and what stays large is compared in blocks. The runs that reach ``RECALL`` at the threshold
+in buckets of the deepest level all go at once: the run is part of the path. A bucket's pairs are first judged by their coordinates, then verified exactly on the whole shingle sets; a pair
 that shares several buckets counts in the smallest of them. Documents with equal sets are one class, never compared.
 """
 
@@ -26,6 +27,8 @@ WORDS = 5
 THRESHOLD = 0.8
 RECALL = 0.999
 COORDINATES = 64
+#: The smaller, the more children two similar documents share at each level: 1 / FOLLOW at the threshold.
+FOLLOW = 0.7
 LIMIT = 256
 LEVELS = 4
 #: A large bucket that keeps this share of its parent's documents holds near copies: splitting it again would not part them.
@@ -86,9 +89,31 @@ def _chosen(path: np.ndarray, bins: np.ndarray, chance: float) -> tuple[np.ndarr
     return who, mixed(draw[who, at] ^ mixed(bins[who, at].astype(np.uint64) + np.uint64(1)))
 
 
-def runs_for(recall: float) -> int:
-    """A run puts a pair at the threshold together with chance 1 - 1/e or more."""
-    return math.ceil(-math.log(1 - recall))
+def _chance(threshold: float, many: int) -> float:
+    return min(1 - 2**-30, 1 / (threshold * FOLLOW * many))
+
+
+def _root(run: int) -> np.uint64:
+    return mixed(np.array([run + 1], np.uint64))[0]
+
+
+def runs_for(recall: float, threshold: float = THRESHOLD, levels: int = LEVELS) -> int:
+    """Runs in which a pair at the threshold meets in a bucket of the deepest level with chance ``recall`` or more.
+
+    Fewer pairs stay together the deeper a bucket is. Which coordinates the root follows is the same for all documents, so
+    these are counted as drawn; the chances below it are means over the number of coordinates that agree.
+    """
+    agree = np.arange(COORDINATES + 1)
+    weight = np.array([math.comb(COORDINATES, int(k)) * threshold**k * (1 - threshold) ** (COORDINATES - k) for k in agree.tolist()])
+    chance, lives = _chance(threshold, COORDINATES), np.ones(COORDINATES + 1)
+    for _ in range(levels - 1):
+        lives = 1 - (1 - chance * lives) ** agree
+    missed, runs, any_bin = np.ones(COORDINATES + 1), 0, np.zeros((1, COORDINATES), np.uint32)
+    while not runs or (weight * missed).sum() > 1 - recall:
+        followed = len(_chosen(np.array([_root(runs)]), any_bin, chance)[0])
+        missed = missed * (1 - agree / COORDINATES * lives) ** followed
+        runs += 1
+    return runs
 
 
 def _descend(rows: DataFrame, threshold: float, runs: int | None) -> DataFrame:
@@ -105,13 +130,13 @@ def _descend(rows: DataFrame, threshold: float, runs: int | None) -> DataFrame:
                 bins = np.frombuffer(b"".join(part.column("bins").to_pylist()), np.uint32).reshape(-1, COORDINATES)
                 filled = (bins != _EMPTY).sum(1)
                 above = np.full(len(part), np.iinfo(np.int32).max, np.int32) if runs else part.column("n").to_numpy(zero_copy_only=False)
-                paths = [mixed(np.full(len(part), k + 1, np.uint64)) for k in range(runs)] if runs else [part.column("path").to_numpy(zero_copy_only=False).view(np.uint64)]
+                paths = [np.full(len(part), _root(k)) for k in range(runs)] if runs else [part.column("path").to_numpy(zero_copy_only=False).view(np.uint64)]
                 for path in paths:
                     # short sets fill few coordinates; each of these is then followed more often
                     for many in np.unique(filled):
                         mine = np.flatnonzero(filled == many)
                         if many:
-                            who, child = _chosen(path[mine], bins[mine], min(1 - 2**-30, 1 / (threshold * 0.9 * many)))
+                            who, child = _chosen(path[mine], bins[mine], _chance(threshold, many))
                             yield batch(doc_id=ids[mine][who], path=signed(child), above=above[mine][who])
 
     return rows.mapInArrow(tidy(step), "doc_id bigint, path bigint, above int")
@@ -121,7 +146,7 @@ def buckets(reps: DataFrame, threshold: float, recall: float, limit: int, levels
     """(path, doc_id, n): leaves with more than one document, n their number of documents."""
     leaves, front = [], reps.select("doc_id", "bins")
     for level in range(levels):
-        rows = written(_descend(front, threshold, runs_for(recall) if not level else None).distinct(), f"paths-{level}")
+        rows = written(_descend(front, threshold, runs_for(recall, threshold, levels) if not level else None).distinct(), f"paths-{level}")
         counts = rows.groupBy("path").agg(F.count("*").cast("int").alias("n"), F.max("above").alias("above")).where("n > 1")
         stays = F.lit(True) if level == levels - 1 else (F.col("n") <= limit) | (F.col("n") >= TIGHT * F.col("above"))
         counts = written(counts.select("path", "n", stays.alias("stays")), f"path-counts-{level}")

@@ -320,6 +320,38 @@ def test_ngram_join_is_whole(spark, small, hard, limit):
     assert {r.doc_id: (r.n_links, r.class_id) for r in got} == {i: (links[i], root[i]) for i in texts}
 
 
+def at_the_threshold(n, size=400):
+    """Texts that share 0.8 of any two's shingles, or little more: four words inside and two at the end are their own."""
+    base = prose(size).split()
+    out = []
+    for k in range(n):
+        w = list(base)
+        for p in [*(8 + 8 * rng.choice((size - 24) // 8, 4, replace=False)), size - 2, size - 1]:
+            w[p] = f"own{k}x{p}"
+        out.append(" ".join(w))
+    return out
+
+
+def test_ngram_join_of_a_large_group_at_the_threshold(spark):
+    texts = dict(enumerate(at_the_threshold(400)))
+    links = Counter(x for p in jaccard_pairs(texts) for x in p)
+    got = {r.doc_id: r.n_links for r in ngram_join.joined(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()}
+    assert sum(links.values()) > 0.9 * 400 * 399
+    assert all(got[i] <= links[i] for i in texts) and sum(got.values()) >= 0.999 * sum(links.values())
+
+
+@pytest.mark.parametrize("levels", [1, 2, 4])
+def test_ngram_join_buckets_reach_the_recall(spark, monkeypatch, levels):
+    draw, n = np.random.default_rng(5), 6000
+    one = draw.integers(1, 2**31, (n, ngram_join.COORDINATES), np.uint32)
+    two = np.where(draw.random(one.shape) < 0.8, one, draw.integers(1, 2**31, one.shape, np.uint32))
+    rows = [(2 * k + side, bytearray(b[k].tobytes())) for side, b in enumerate((one, two)) for k in range(n)]
+    monkeypatch.setattr(ngram_join, "TIGHT", 2.0)  # each pair goes down to the last level
+    leaves = ngram_join.buckets(spark.createDataFrame(rows, "doc_id long, bins binary"), 0.8, 0.999, 1, levels)
+    met = leaves.groupBy("path", F.floor(F.col("doc_id") / 2).alias("pair")).count().where("count = 2").select("pair").distinct().count()
+    assert met >= 0.998 * n  # 0.999, less two deviations of 6000 pairs
+
+
 def test_ngram_join_edges(hard, empty, monkeypatch):
     rows = ngram_join.joined(hard).collect()
     assert len(rows) == 16 and all(r.n_links == 0 for r in rows if r.doc_id in (0, 1, 2, 3)) and sum(r.doc_id is None for r in rows) == 1
