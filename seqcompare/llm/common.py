@@ -110,7 +110,7 @@ def packed(df: DataFrame, *keep: str) -> DataFrame:
     """``keep`` and ``z``, the text compressed: a shuffle of whole texts then moves a third of the bytes."""
 
     def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        press = zstandard.ZstdCompressor(level=1)
+        press = zstandard.ZstdCompressor(level=3)
         for b in batches:
             z = [press.compress((t or "").encode("utf-8", "replace")) for t in b.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([*(b.column(k) for k in keep), pa.array(z, pa.binary())], names=[*keep, "z"])

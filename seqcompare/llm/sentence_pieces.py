@@ -8,7 +8,9 @@ just one cut lies inside it. As every piece is made of two pieces of better rank
 of more than ``LONGEST_FOLD`` characters are merged by a queue instead.
 
 Documents are then encoded from the dictionary of units: common ones (a share of ``HEAD_SHARE`` or more, at most
-1 / ``HEAD_SHARE`` of them) from a broadcast, the others, none of which is hot, through a join.
+1 / ``HEAD_SHARE`` of them) from a broadcast, the others, none of which is hot, through a join. Units are found by a 64-bit
+hash, and every row's ids are spelt out again and compared with its text: a row in which two units met in one hash is merged
+by the queue.
 """
 
 from __future__ import annotations
@@ -20,15 +22,19 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import STEP_BYTES, Words, batch, bundled, got, packed, sent, signed, steps, text_buffers, tidy, unbundled, unpacked, written
+from .common import STEP_BYTES, Words, batch, bundled, got, packed, sent, signed, steps, text_buffers, tidy, unbundled, written
 
 SPACE = "▁"
 HEAD_SHARE = 2.5e-7
 #: A fold keeps a unit's cuts in the bits of a long.
 LONGEST_FOLD = 61
+#: Buckets of units for each shuffle partition: a bucket is what one step of the merge holds.
+BLOCKS_A_PART = 8
 _NORMAL, _USER, _BYTE = 1, 4, 6
 
 
@@ -129,10 +135,13 @@ class Units(Words):
 
 
 def units_of(docs: DataFrame) -> DataFrame:
-    """(unit, n, size): distinct units, how often each occurs, and its characters.
+    """(unit, key, n, size): distinct units, their hash, how often each occurs, and their characters.
 
-    The size is an aggregate, as a filter on the unit itself would go below the aggregation and split it in two.
+    A task hands its units on in compressed blocks, one for each bucket of hashes, and blocks are merged bucket by bucket.
     """
+    spark = docs.sparkSession
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    buckets = BLOCKS_A_PART * parts
 
     def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = _Held()
@@ -140,18 +149,61 @@ def units_of(docs: DataFrame) -> DataFrame:
             for lo, hi in steps(b, most=4 * STEP_BYTES):
                 held.add(Units(b.column("text").slice(lo, hi - lo)))
                 if len(held.keys) > 500_000:
-                    yield held.flush()
+                    yield held.flush(buckets)
         if len(held.keys):
-            yield held.flush()
-
-    return docs.select("text").mapInArrow(tidy(step), "unit string, n bigint").groupBy("unit").agg(F.sum("n").alias("n"), F.max(F.length("unit")).alias("size"))
+            yield held.flush(buckets)
+
+    blocks = docs.select("text").mapInArrow(tidy(step), "bucket int, block binary").repartition(parts, "bucket").sortWithinPartitions("bucket")
+    # what is merged has each unit once; the aggregation tells the optimizer so, and finds texts that share a hash
+    units = blocks.mapInArrow(tidy(_merge_blocks), "unit string, key bigint, n bigint")
+    return units.groupBy("unit").agg(F.sum("n").alias("n"), F.max("key").alias("key"), F.max(F.length("unit")).alias("size"))
+
+
+def _merge_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    now, held = None, []
+    for b in batches:
+        for bucket, block in zip(b.column("bucket").to_pylist(), b.column("block").to_pylist(), strict=True):
+            if bucket != now and held:
+                yield _merged_blocks(held)
+                held = []
+            now = bucket
+            held.append(block)
+    if held:
+        yield _merged_blocks(held)
+
+
+def _merged_blocks(blocks: list[bytes]) -> pa.RecordBatch:
+    press = zstandard.ZstdDecompressor()
+    counts, sizes, data = [], [], []
+    for block in blocks:
+        raw = press.decompress(block)
+        many = int.from_bytes(raw[:4], "little")
+        counts.append(np.frombuffer(raw, "<i8", many, 4))
+        sizes.append(np.frombuffer(raw, "<i4", many, 4 + 8 * many))
+        data.append(raw[4 + 12 * many :])
+    units = Words.__new__(Words)
+    size = np.concatenate(sizes).astype(np.int64)
+    units.bytes = np.frombuffer(b"".join(data) + bytes(16), np.uint8)
+    units.ends = np.cumsum(size)
+    units.starts = units.ends - size
+    keys, check = units.hashes(), units.hashes(1)
+    order = np.lexsort((check, keys))
+    new = np.ones(len(order), bool)
+    new[1:] = (keys[order][1:] != keys[order][:-1]) | (check[order][1:] != check[order][:-1])
+    first = np.flatnonzero(new)
+    own = order[first]
+    n = np.add.reduceat(np.concatenate(counts)[order], first)
+    text = _gathered(units.bytes, units.starts[own], size[own])
+    ends = np.concatenate([[0], np.cumsum(size[own])]).astype(np.int32)
+    return batch(unit=pa.StringArray.from_buffers(len(own), pa.py_buffer(ends.tobytes()), pa.py_buffer(text.tobytes())), key=signed(keys[own]), n=n)
 
 
 class _Held:
-    """Units seen in a task: keys ascending, their texts and counts. Only texts of new keys are made strings."""
+    """Units seen in a task: keys ascending, their counts, and where in ``text`` each one's bytes are."""
 
     def __init__(self):
-        self.keys, self.counts, self.texts = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, object)
+        self.keys, self.counts, self.first, self.sizes = (np.zeros(0, np.int64) for _ in range(4))
+        self.text, self.length = [], 0
 
     def add(self, units: Units) -> None:
         keys, first, n = np.unique(signed(units.hashes()), return_index=True, return_counts=True)
@@ -161,14 +213,24 @@ class _Held:
         known[inside] = self.keys[at[inside]] == keys[inside]
         self.counts[at[known]] += n[known]
         new = ~known
-        texts = np.empty(int(new.sum()), object)
-        texts[:] = units.texts(first[new])
-        self.keys, self.counts, self.texts = (np.insert(old, at[new], fresh) for old, fresh in ((self.keys, keys[new]), (self.counts, n[new]), (self.texts, texts)))
-
-    def flush(self) -> pa.RecordBatch:
-        out = batch(unit=pa.array(self.texts, pa.string()), n=self.counts)
+        starts, sizes = units.starts[first[new]], (units.ends - units.starts)[first[new]]
+        self.text.append(_gathered(units.bytes, starts, sizes))
+        fresh = (keys[new], n[new], self.length + np.cumsum(sizes) - sizes, sizes)
+        self.keys, self.counts, self.first, self.sizes = (np.insert(old, at[new], x) for old, x in zip((self.keys, self.counts, self.first, self.sizes), fresh, strict=True))
+        self.length += len(self.text[-1])
+
+    def flush(self, buckets: int) -> pa.RecordBatch:
+        bucket = self.keys.view(np.uint64) % np.uint64(buckets)
+        order = np.argsort(bucket, kind="stable")
+        text = _gathered(np.concatenate(self.text), self.first[order], self.sizes[order])
+        counts, sizes = self.counts[order].astype("<i8"), self.sizes[order].astype("<i4")
+        ends = np.concatenate([[0], np.cumsum(self.sizes[order])])
+        names, starts = np.unique(bucket[order], return_index=True)
+        press, blocks = zstandard.ZstdCompressor(level=3), []
+        for lo, hi in zip(starts.tolist(), [*starts[1:].tolist(), len(order)], strict=True):
+            blocks.append(press.compress((hi - lo).to_bytes(4, "little") + counts[lo:hi].tobytes() + sizes[lo:hi].tobytes() + text[ends[lo] : ends[hi]].tobytes()))
         self.__init__()
-        return out
+        return batch(bucket=names.astype(np.int32), block=pa.array(blocks, pa.binary()))
 
 
 def merged(text: str, pieces: Pieces) -> list[int]:
@@ -212,22 +274,25 @@ _NO_ID = (1 << 21) - 1
 
 
 def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
-    """(unit, n, ids): each unit's ids by the lattice."""
+    """(key, n, ids): each unit's ids by the lattice, packed.
+
+    A task has the edges of one unit after another, so they are grouped by a number that ascends within the task: where the
+    aggregation sorts, it finds them in order. Units too long for the fold have no edges.
+    """
     spark = units.sparkSession
-    rows = [(p, rank, i) for p, (rank, i) in pieces.ranks.items() if p.strip(SPACE) or len(p) == 1]
+    rows = [(p.replace(SPACE, " "), rank, i) for p, (rank, i) in pieces.ranks.items() if p.strip(SPACE) or len(p) == 1]
     table = F.broadcast(spark.createDataFrame(rows, "piece string, rank int, id int"))
     longest = max(len(p) for p, _, _ in rows)
-    size = F.col("size")
-    short = units.where(size <= LONGEST_FOLD)
-    unit = ["unit", "n"]
+    unit = ["at", "unit", "key", "n"]
     size = F.length("unit")
-    starts = short.select(*unit, F.explode_outer(F.sequence(F.lit(0), size - 1)).alias("s"))
-    spans = starts.select(*unit, "s", F.explode_outer(F.sequence(F.lit(1), F.least(F.lit(longest), size - F.col("s")))).alias("l"))
+    numbered = units.select(F.monotonically_increasing_id().alias("at"), "unit", "key", "n", "size")
+    starts = numbered.select(*unit, F.explode_outer(F.when(F.col("size") <= LONGEST_FOLD, F.sequence(F.lit(0), F.col("size") - 1))).alias("s"))
+    spans = starts.select(*unit, "s", F.explode_outer(F.when(F.col("s").isNotNull(), F.sequence(F.lit(1), F.least(F.lit(longest), size - F.col("s"))))).alias("l"))
     subs = spans.select(*unit, "s", "l", F.substring("unit", F.col("s") + 1, F.col("l")).alias("piece"))
-    found = subs.join(table, "piece", "left").where("l = 1 or id is not null")
+    found = subs.join(table, "piece", "left").where("l = 1 or id is not null or l is null")
     # an edge is one number, so that edges sort by rank, then by place: rank, start, length, id
     edge = _shifted(F.when(F.col("l") == 1, 0).otherwise(F.col("rank") + 1), 32) + _shifted(F.col("s"), 26) + _shifted(F.col("l"), 21) + F.coalesce("id", F.lit(_NO_ID))
-    grouped = found.groupBy(*unit).agg(F.array_sort(F.collect_list(edge)).alias("edges"))
+    grouped = found.groupBy(*unit).agg(F.sort_array(F.collect_list(edge)).alias("edges"))
 
     start = lambda e: F.shiftright(e, 26).bitwiseAND(63).cast("int")
     length = lambda e: F.shiftright(e, 21).bitwiseAND(31).cast("int")
@@ -239,50 +304,48 @@ def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
     cuts = F.aggregate(many, all_cuts, lambda c, e: F.when(take(c, e), c.bitwiseXOR(c.bitwiseAND(inside(e)))).otherwise(c))
     folded = grouped.select(*unit, "edges", cuts.alias("cuts"))
     whole = lambda e: (F.col("cuts").bitwiseAND(inside(e)) == 0) & (F.col("cuts").bitwiseAND(ends(e)) == ends(e))
-    path = F.array_sort(F.transform(F.filter("edges", whole), lambda e: _shifted(start(e), 21) + e.bitwiseAND(_NO_ID)))
+    path = F.sort_array(F.transform(F.filter("edges", whole), lambda e: _shifted(start(e), 21) + e.bitwiseAND(_NO_ID)))
     of_byte = F.array(*(F.lit(i) for i in pieces.of_byte))
     as_bytes = lambda c: F.transform(F.sequence(F.lit(1), F.octet_length(c)), lambda j: F.element_at(of_byte, F.conv(F.hex(F.substring(F.encode(c, "UTF-8"), j, F.lit(1))), 16, 10).cast("int") + 1))
     plain = F.transform("path", lambda e: e.bitwiseAND(_NO_ID).cast("int"))
     spelt = F.flatten(F.transform("path", lambda e: F.when(e.bitwiseAND(_NO_ID) != _NO_ID, F.array(e.bitwiseAND(_NO_ID).cast("int"))).otherwise(as_bytes(F.substring("unit", F.shiftright(e, 21).cast("int") + 1, F.lit(1))))))
-    found_path = folded.select(*unit, path.alias("path"))
+    found_path = folded.select("unit", "key", "n", path.alias("path"))
     ids = F.when(F.exists("path", lambda e: e.bitwiseAND(_NO_ID) == _NO_ID), spelt).otherwise(plain)
-    parcel = sent(spark, pieces)
+    parcel, code = sent(spark, pieces), np.dtype(_code(len(pieces.texts)))
 
-    def queue(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = got(parcel)
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None
         for b in batches:
-            yield batch(unit=b.column("unit"), n=b.column("n"), ids=pa.array([merged(t, held) for t in b.column("unit").to_pylist()], pa.list_(pa.int32())))
-
-    long = units.where(F.col("size") > LONGEST_FOLD).mapInArrow(tidy(queue), "unit string, n bigint, ids array<int>")
-    return found_path.select("unit", "n", ids.alias("ids")).unionByName(long)
-
+            ids = b.column("ids")
+            bounds = ids.offsets.to_numpy() - ids.offsets[0].as_py()
+            flat = ids.flatten().to_numpy(zero_copy_only=False)
+            none = np.flatnonzero(bounds[1:] == bounds[:-1])
+            if len(none):  # too long for the fold: merged by the queue
+                held = held or got(parcel)
+                made = [np.array(merged(t.as_py().replace(" ", SPACE), held), flat.dtype) for t in b.column("unit").take(pa.array(none))]
+                flat = np.insert(flat, np.repeat(bounds[none], [len(x) for x in made]), np.concatenate(made))
+                more = np.zeros(len(bounds), np.int64)
+                more[none + 1] = [len(x) for x in made]
+                bounds = bounds + np.cumsum(more)
+            packed_ids = pa.Array.from_buffers(pa.binary(), len(b), [None, pa.py_buffer((bounds * code.itemsize).astype(np.int32).tobytes()), pa.py_buffer(flat.astype(code).tobytes())])
+            yield batch(key=b.column("key"), n=b.column("n"), ids=packed_ids)
 
-def keyed(words: DataFrame) -> DataFrame:
-    """(key, n, ids) of a dictionary: units by the hash that texts' units have, and ids as bytes of 32-bit numbers."""
+    return found_path.select("unit", "key", "n", ids.alias("ids")).mapInArrow(tidy(pack), "key bigint, n bigint, ids binary")
 
-    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            units = [u.replace(SPACE, " ") for u in b.column("unit").to_pylist()]
-            size = np.array([len(u.encode()) for u in units], np.int64)
-            held = Words.__new__(Words)
-            held.bytes = np.frombuffer("".join(units).encode() + bytes(16), np.uint8)
-            held.ends = np.cumsum(size)
-            held.starts = held.ends - size
-            ids = b.column("ids")
-            first = ids.offsets.to_numpy()
-            raw = ids.values.to_numpy(zero_copy_only=False).astype("<i4").tobytes()
-            yield batch(key=signed(held.hashes()), n=b.column("n"), ids=pa.array([raw[4 * i : 4 * j] for i, j in zip(first[:-1].tolist(), first[1:].tolist(), strict=True)], pa.binary()))
 
-    return words.mapInArrow(tidy(step), "key bigint, n bigint, ids binary")
+def _code(many: int) -> str:
+    """How ids are packed: two bytes each where that is enough."""
+    return "<u2" if many <= 1 << 16 else "<u4"
 
 
 class _Table:
     """Ids by key: sorted keys, where each one's ids start, and the ids."""
 
-    def __init__(self, keys: np.ndarray, ids: pa.BinaryArray):
+    def __init__(self, keys: np.ndarray, ids: pa.BinaryArray, code: str):
         self.keys, first = np.unique(keys, return_index=True)
-        bounds = np.frombuffer(ids.buffers()[1], np.int32)[ids.offset : ids.offset + len(ids) + 1].astype(np.int64) // 4 if len(ids) else np.zeros(1, np.int64)
-        self.ids = np.frombuffer(ids.buffers()[2], "<i4") if len(ids) and ids.buffers()[2] is not None else np.zeros(0, np.int32)
+        wide = np.dtype(code).itemsize
+        bounds = np.frombuffer(ids.buffers()[1], np.int32)[ids.offset : ids.offset + len(ids) + 1].astype(np.int64) // wide if len(ids) else np.zeros(1, np.int64)
+        self.ids = np.frombuffer(ids.buffers()[2], code) if len(ids) and ids.buffers()[2] is not None else np.zeros(0, code)
         self.first, self.sizes = bounds[:-1][first], np.diff(bounds)[first]
 
     def find(self, keys: np.ndarray) -> np.ndarray:
@@ -298,6 +361,22 @@ def _gathered(flat: np.ndarray, first: np.ndarray, sizes: np.ndarray) -> np.ndar
     return flat[np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(first - (ends - sizes), sizes)]
 
 
+def _laid(at: np.ndarray, tables: tuple[_Table, _Table], many: int) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of units one after another, and how many each has. ``at`` is a place in the first table, or ``many`` on in the second."""
+    sizes = np.zeros(len(at), np.int64)
+    for k, t in enumerate(tables):
+        mine = (at >= 0) & (at < many) if not k else at >= many
+        sizes[mine] = t.sizes[at[mine] - k * many]
+    ends = np.cumsum(sizes)
+    out = np.zeros(int(ends[-1]) if len(ends) else 0, np.int32)
+    for k, t in enumerate(tables):
+        mine = np.flatnonzero((at >= 0) & (at < many) if not k else at >= many)
+        n = sizes[mine]
+        run = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+        out[np.repeat(ends[mine] - n, n) + run] = t.ids[np.repeat(t.first[at[mine] - k * many], n) + run]
+    return out, sizes
+
+
 def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: bool = False) -> DataFrame:
     """doc_id, n_tokens, ids, and the columns of ``keep`` (of docs), for every row of docs.
 
@@ -309,23 +388,24 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: b
     pieces = pieces or load()
     if not cuts_are_safe(pieces):
         raise ValueError("the model's pieces reach across the cuts between units")
-    words = written(keyed(dictionary(units_of(docs), pieces)), "unit-ids")
+    code = _code(len(pieces.texts))
+    words = written(dictionary(units_of(docs), pieces), "unit-ids")
     total = words.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     line = max(2, HEAD_SHARE * total)
     common = words.where(F.col("n") >= line).select("key", "ids").toArrow()
     ids = common.column("ids").combine_chunks()
-    head = _Table(common.column("key").to_numpy(), ids.chunk(0) if isinstance(ids, pa.ChunkedArray) and ids.num_chunks else pa.array([], pa.binary()) if isinstance(ids, pa.ChunkedArray) else ids)
+    head = _Table(common.column("key").to_numpy(), (ids.chunk(0) if ids.num_chunks else pa.array([], pa.binary())) if isinstance(ids, pa.ChunkedArray) else ids, code)
     parcel, model = sent(spark, head), sent(spark, pieces)
     docs, names = bundled(docs, keep), keep
     kinds = {f.name: f.dataType.simpleString() for f in docs.schema}
     keep = ("_kept",) if keep else ()
-    # what a unit's ids are doesn't depend on the text it is in, so rows that share a mark may share what is found for it
-    rows = docs.withColumn("_mark", F.coalesce(F.col("doc_id"), F.xxhash64("text")))
+    # what a unit's ids are doesn't depend on the text it is in, so rows that share a mark share what is found for it
+    rows = docs.withColumn("mark", F.xxhash64("doc_id", "text"))
 
     def missing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = got(parcel)
         for b in batches:
-            marks = b.column("_mark").to_numpy()
+            marks = b.column("mark").to_numpy()
             for lo, hi in steps(b):
                 u = Units(b.column("text").slice(lo, hi - lo))
                 keys = signed(u.hashes())
@@ -334,81 +414,133 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: b
                 new = np.ones(len(order), bool)
                 new[1:] = (keys[order][1:] != keys[order][:-1]) | (u.row[order][1:] != u.row[order][:-1])
                 order = order[new]
-                yield batch(_mark=marks[lo:hi][u.row[order]], key=keys[order])
+                yield batch(mark=marks[lo:hi][u.row[order]], key=keys[order])
 
     def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come by mark, those of its rare units before its texts."""
         table, held = got(parcel), got(model)
-        lone, spelt = held.ranks[SPACE][1], Spelling(spelling(held))
+        spelt, left = Spelling(spelling(held)), None
         for b in batches:
-            for lo in range(0, len(b), 100):
-                part = b.slice(lo, 100)
-                u = Units(unpacked(part.column("z")))
-                keys = signed(u.hashes())
-                at = table.find(keys)
-                sizes = np.where(at >= 0, table.sizes[at] if len(table.keys) else 0, 0)
-                first = np.where(at >= 0, table.first[at] if len(table.keys) else 0, 0)
-                lists = part.column("rare")
-                if lists.null_count < len(lists):
-                    rare = lists.flatten()
-                    more = _Table(rare.field("key").to_numpy(), rare.field("ids"))
-                    left = np.flatnonzero(at < 0)
-                    hit = more.find(keys[left])
-                    sizes[left], first[left] = more.sizes[hit], more.first[hit] + len(table.ids)
-                    flat = np.concatenate([table.ids, more.ids])
-                else:
-                    flat = table.ids
-                ids = _gathered(flat, first, sizes)
-                bounds = np.concatenate([[0], np.cumsum(sizes)])[u.bounds]
-                own = [ids[bounds[i] : bounds[i + 1]] for i in range(len(part))]
-                for i in np.unique(u.row[u.extra > 0]):
-                    span = slice(u.bounds[i], u.bounds[i + 1])
-                    own[i] = _with_runs(own[i], u.extra[span], sizes[span], held, lone)
-                n = np.array([len(x) for x in own], np.int64)
-                whole = np.concatenate(own) if own else np.zeros(0, np.int32)
-                out = pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum(n)]).astype(np.int32), pa.array(whole.astype(np.int32), pa.int32()))
-                more_columns = {"decoded_sha256": pa.array(_digests(whole, n, spelt), pa.string())} if digest else {}
-                yield batch(doc_id=part.column("doc_id"), n_tokens=n, ids=out, **{k: part.column(k) for k in keep}, **more_columns)
-
-    tails = rows.select("text", "_mark").mapInArrow(tidy(missing), "_mark bigint, key bigint").join(words.where(F.col("n") < line).select("key", "ids"), "key")
-    rare = tails.groupBy("_mark").agg(F.collect_list(F.struct("key", "ids")).alias("rare"))
-    texts = packed(rows, "doc_id", "_mark", *keep).join(rare, "_mark", "left").drop("_mark")
+            is_text = b.column("key").is_null()
+            units = pa.Table.from_batches([b.select(["mark", "key", "ids"]).filter(pc.invert(is_text))])
+            left = pa.concat_tables([left, units]) if left is not None else units
+            texts = b.filter(is_text)
+            if len(texts):
+                marks, keys, ids = left.column("mark").to_numpy(), left.column("key").to_numpy(), left.column("ids").combine_chunks()
+                ids = ids.chunk(0) if isinstance(ids, pa.ChunkedArray) and ids.num_chunks else pa.array([], pa.binary()) if isinstance(ids, pa.ChunkedArray) else ids
+                own = texts.column("mark").to_numpy()
+                for lo, hi, u in _opened(texts.column("z")):
+                    a, z = np.searchsorted(marks, own[lo], "left"), np.searchsorted(marks, own[hi - 1], "right")
+                    rare = _Table(keys[a:z], ids.slice(a, z - a), code)
+                    whole, n, data, bytes_of = _row_ids(u, table, rare, held, spelt)
+                    out = pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum(n)]).astype(np.int32), pa.array(whole, pa.int32()))
+                    more_columns = {"decoded_sha256": pa.array(_digests(data, bytes_of), pa.string())} if digest else {}
+                    part = texts.slice(lo, hi - lo)
+                    yield batch(doc_id=part.column("doc_id"), n_tokens=n, ids=out, **{k: part.column(k) for k in keep}, **more_columns)
+            last = b.column("mark")[len(b) - 1].as_py() if len(b) else None
+            if last is not None and len(left):
+                left = left.slice(int(np.searchsorted(left.column("mark").to_numpy(), last, "left"))).combine_chunks()
+
+    tails = rows.select("text", "mark").mapInArrow(tidy(missing), "mark bigint, key bigint").join(words.where(F.col("n") < line).select("key", "ids"), "key")
+    both = tails.unionByName(packed(rows, "doc_id", "mark", *keep), allowMissingColumns=True).repartition("mark")
     columns = "doc_id bigint, n_tokens bigint, ids array<int>" + "".join(f", `{k}` {kinds[k]}" for k in keep) + ", decoded_sha256 string" * digest
-    return unbundled(texts.mapInArrow(tidy(joined), columns), names)
-
-
-def _with_runs(ids: np.ndarray, extra: np.ndarray, sizes: np.ndarray, pieces: Pieces, lone: int) -> np.ndarray:
-    """Ids of a text with runs of spaces: a unit's own space joins the run before it unless it went into a word."""
-    out, at = [], 0
-    for k, size in zip(extra.tolist(), sizes.tolist(), strict=True):
-        mine = ids[at : at + size]
-        at += size
-        if k and len(mine) and mine[0] == lone:
-            out.append(np.array(pieces.spaces(k + 1), np.int32))
-            mine = mine[1:]
-        elif k:
-            out.append(np.array(pieces.spaces(k), np.int32))
-        out.append(mine)
-    return np.concatenate(out).astype(np.int32) if out else ids
+    return unbundled(both.sortWithinPartitions("mark", F.col("key").asc_nulls_last()).mapInArrow(tidy(joined), columns), names)
+
+
+def _opened(z: pa.Array) -> Iterator[tuple[int, int, Units]]:
+    """Units of compressed texts in steps of bounded bytes, with the rows each is of."""
+    press, start, held, size = zstandard.ZstdDecompressor(), 0, [], 0
+    for k in range(len(z)):
+        held.append(press.decompress(z[k].as_py()))
+        size += len(held[-1])
+        if size >= STEP_BYTES or k == len(z) - 1:
+            ends = np.cumsum([0, *map(len, held)]).astype(np.int32)
+            yield start, k + 1, Units(pa.StringArray.from_buffers(len(held), pa.py_buffer(ends.tobytes()), pa.py_buffer(b"".join(held))))
+            start, held, size = k + 1, [], 0
+
+
+def _row_ids(u: Units, head: _Table, rare: _Table, pieces: Pieces, spelt: Spelling) -> tuple[np.ndarray, ...]:
+    """Ids of all rows one after another and how many each has; the bytes they spell and how many of these."""
+    keys = signed(u.hashes())
+    at = head.find(keys)
+    left = np.flatnonzero(at < 0)
+    hit = rare.find(keys[left])
+    at[left] = np.where(hit >= 0, hit + len(head.keys), -1)
+    flat, sizes = _laid(at, (head, rare), len(head.keys))
+    bounds = np.concatenate([[0], np.cumsum(sizes)])
+    own = {}
+    lone = pieces.ranks[SPACE][1]
+    for i in np.unique(u.row[u.extra > 0]).tolist():
+        own[i] = _with_runs(u, i, flat, bounds, pieces, lone)
+    whole, n = _spliced(flat, np.diff(bounds[u.bounds]), own)
+    data, bytes_of = spelt.out(whole, n)
+    if len(data) != u.offsets[-1] or not np.array_equal(data, u.bytes[: len(data)]):
+        own = {}
+        ends, first = np.cumsum(bytes_of), np.cumsum(n) - n
+        for i in range(u.rows):
+            mine = u.bytes[u.offsets[i] : u.offsets[i + 1]]
+            if not np.array_equal(data[ends[i] - bytes_of[i] : ends[i]], mine):
+                own[i] = _by_queue(u, i, pieces, lone)
+            else:
+                own[i] = whole[first[i] : first[i] + n[i]]
+        whole, n = _spliced(whole, n, own)
+        data, bytes_of = spelt.out(whole, n)
+    return whole, n, data, bytes_of
+
+
+def _spliced(flat: np.ndarray, n: np.ndarray, own: dict[int, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Rows' ids with those of ``own`` in place."""
+    if not own:
+        return flat, n
+    ends = np.cumsum(n)
+    rows = [own.get(i, flat[ends[i] - n[i] : ends[i]]) for i in range(len(n))]
+    return np.concatenate(rows).astype(np.int32), np.array([len(x) for x in rows], np.int64)
+
+
+def _with_runs(u: Units, i: int, flat: np.ndarray, bounds: np.ndarray, pieces: Pieces, lone: int) -> np.ndarray:
+    """Ids of a row with runs of spaces: a unit's own space joins the run before it unless it went into a word."""
+    out, done = [], bounds[u.bounds[i]]
+    for k in (u.bounds[i] + np.flatnonzero(u.extra[u.bounds[i] : u.bounds[i + 1]])).tolist():
+        out.append(flat[done : bounds[k]])
+        done = bounds[k]
+        joins = bounds[k + 1] > done and flat[done] == lone
+        out.append(np.array(pieces.spaces(int(u.extra[k]) + joins), np.int32))
+        done += joins
+    out.append(flat[done : bounds[u.bounds[i + 1]]])
+    return np.concatenate(out).astype(np.int32)
+
+
+def _by_queue(u: Units, i: int, pieces: Pieces, lone: int) -> np.ndarray:
+    """Ids of a row in which two units met in one hash: every unit of it is merged on its own."""
+    own = [np.array(merged(t, pieces), np.int32) for t in u.texts(np.arange(u.bounds[i], u.bounds[i + 1]))]
+    bounds = np.zeros(len(u.starts) + 1, np.int64)
+    bounds[u.bounds[i] + 1 : u.bounds[i + 1] + 1] = np.cumsum([len(x) for x in own])
+    return _with_runs(u, i, np.concatenate(own) if own else np.zeros(0, np.int32), bounds, pieces, lone)
 
 
 class Spelling:
-    """Pieces' bytes in one run, to spell many ids at once."""
+    """Pieces' bytes in one run, to spell many ids at once, with plain spaces."""
 
     def __init__(self, spelt: list[bytes]):
+        spelt = [x.replace(SPACE.encode(), b" ") for x in spelt]
         self.flat = np.frombuffer(b"".join(spelt), np.uint8)
         self.sizes = np.array([len(x) for x in spelt], np.int64)
         self.first = np.cumsum(self.sizes) - self.sizes
 
+    def out(self, ids: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The bytes that ids spell, and how many there are in each run of n ids."""
+        sizes = self.sizes[ids]
+        ends = np.concatenate([[0], np.cumsum(sizes)])[np.concatenate([[0], np.cumsum(n)])]
+        return _gathered(self.flat, self.first[ids], sizes), np.diff(ends)
 
-def _digests(ids: np.ndarray, n: np.ndarray, spelt: Spelling) -> list[str]:
-    """SHA-256 of the text that each run of n ids spells."""
-    sizes = spelt.sizes[ids]
-    data = _gathered(spelt.flat, spelt.first[ids], sizes).tobytes()
-    ends = np.concatenate([[0], np.cumsum(sizes)])[np.concatenate([[0], np.cumsum(n)])].tolist()
-    out = []
-    for i, j in zip(ends[:-1], ends[1:], strict=True):
-        text = data[i:j].replace(SPACE.encode(), b" ")
+
+def _digests(data: np.ndarray, sizes: np.ndarray) -> list[str]:
+    """SHA-256 of each row's bytes, without the space in front."""
+    raw, out, at = data.tobytes(), [], 0
+    for n in sizes.tolist():
+        text = raw[at : at + n]
         out.append(hashlib.sha256(text[1:] if text.startswith(b" ") else text).hexdigest())
+        at += n
     return out
 
 
