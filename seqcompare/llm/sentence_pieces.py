@@ -22,19 +22,20 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import STEP_BYTES, Words, batch, bundled, got, packed, sent, signed, steps, text_buffers, tidy, unbundled, written
+from .common import STEP_BYTES, Words, batch, bundled, got, sent, signed, steps, text_buffers, tidy, unbundled, written
 
 SPACE = "▁"
-HEAD_SHARE = 2.5e-7
+HEAD_SHARE = 1.25e-7
 #: A fold keeps a unit's cuts in the bits of a long.
 LONGEST_FOLD = 61
 #: Buckets of units for each shuffle partition: a bucket is what one step of the merge holds.
 BLOCKS_A_PART = 8
+#: Text bytes of rows that a task gathers before it deals them into blocks.
+FLUSH_BYTES = 32 << 20
 _NORMAL, _USER, _BYTE = 1, 4, 6
 
 
@@ -135,7 +136,7 @@ class Units(Words):
 
 
 def units_of(docs: DataFrame) -> DataFrame:
-    """(unit, key, n, size): distinct units, their hash, how often each occurs, and their characters.
+    """(unit, n, size): distinct units, how often each occurs, and its characters.
 
     A task hands its units on in compressed blocks, one for each bucket of hashes, and blocks are merged bucket by bucket.
     """
@@ -155,8 +156,8 @@ def units_of(docs: DataFrame) -> DataFrame:
 
     blocks = docs.select("text").mapInArrow(tidy(step), "bucket int, block binary").repartition(parts, "bucket").sortWithinPartitions("bucket")
     # what is merged has each unit once; the aggregation tells the optimizer so, and finds texts that share a hash
-    units = blocks.mapInArrow(tidy(_merge_blocks), "unit string, key bigint, n bigint")
-    return units.groupBy("unit").agg(F.sum("n").alias("n"), F.max("key").alias("key"), F.max(F.length("unit")).alias("size"))
+    units = blocks.mapInArrow(tidy(_merge_blocks), "unit string, n bigint")
+    return units.groupBy("unit").agg(F.sum("n").alias("n"), F.max(F.length("unit")).alias("size"))
 
 
 def _merge_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -195,7 +196,7 @@ def _merged_blocks(blocks: list[bytes]) -> pa.RecordBatch:
     n = np.add.reduceat(np.concatenate(counts)[order], first)
     text = _gathered(units.bytes, units.starts[own], size[own])
     ends = np.concatenate([[0], np.cumsum(size[own])]).astype(np.int32)
-    return batch(unit=pa.StringArray.from_buffers(len(own), pa.py_buffer(ends.tobytes()), pa.py_buffer(text.tobytes())), key=signed(keys[own]), n=n)
+    return batch(unit=pa.StringArray.from_buffers(len(own), pa.py_buffer(ends.tobytes()), pa.py_buffer(text.tobytes())), n=n)
 
 
 class _Held:
@@ -283,9 +284,9 @@ def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
     rows = [(p.replace(SPACE, " "), rank, i) for p, (rank, i) in pieces.ranks.items() if p.strip(SPACE) or len(p) == 1]
     table = F.broadcast(spark.createDataFrame(rows, "piece string, rank int, id int"))
     longest = max(len(p) for p, _, _ in rows)
-    unit = ["at", "unit", "key", "n"]
+    unit = ["at", "unit", "n"]
     size = F.length("unit")
-    numbered = units.select(F.monotonically_increasing_id().alias("at"), "unit", "key", "n", "size")
+    numbered = units.select(F.monotonically_increasing_id().alias("at"), "unit", "n", "size")
     starts = numbered.select(*unit, F.explode_outer(F.when(F.col("size") <= LONGEST_FOLD, F.sequence(F.lit(0), F.col("size") - 1))).alias("s"))
     spans = starts.select(*unit, "s", F.explode_outer(F.when(F.col("s").isNotNull(), F.sequence(F.lit(1), F.least(F.lit(longest), size - F.col("s"))))).alias("l"))
     subs = spans.select(*unit, "s", "l", F.substring("unit", F.col("s") + 1, F.col("l")).alias("piece"))
@@ -309,7 +310,7 @@ def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
     as_bytes = lambda c: F.transform(F.sequence(F.lit(1), F.octet_length(c)), lambda j: F.element_at(of_byte, F.conv(F.hex(F.substring(F.encode(c, "UTF-8"), j, F.lit(1))), 16, 10).cast("int") + 1))
     plain = F.transform("path", lambda e: e.bitwiseAND(_NO_ID).cast("int"))
     spelt = F.flatten(F.transform("path", lambda e: F.when(e.bitwiseAND(_NO_ID) != _NO_ID, F.array(e.bitwiseAND(_NO_ID).cast("int"))).otherwise(as_bytes(F.substring("unit", F.shiftright(e, 21).cast("int") + 1, F.lit(1))))))
-    found_path = folded.select("unit", "key", "n", path.alias("path"))
+    found_path = folded.select("unit", "n", path.alias("path"))
     ids = F.when(F.exists("path", lambda e: e.bitwiseAND(_NO_ID) == _NO_ID), spelt).otherwise(plain)
     parcel, code = sent(spark, pieces), np.dtype(_code(len(pieces.texts)))
 
@@ -328,9 +329,18 @@ def dictionary(units: DataFrame, pieces: Pieces) -> DataFrame:
                 more[none + 1] = [len(x) for x in made]
                 bounds = bounds + np.cumsum(more)
             packed_ids = pa.Array.from_buffers(pa.binary(), len(b), [None, pa.py_buffer((bounds * code.itemsize).astype(np.int32).tobytes()), pa.py_buffer(flat.astype(code).tobytes())])
-            yield batch(key=b.column("key"), n=b.column("n"), ids=packed_ids)
+            yield batch(key=signed(_hashed(b.column("unit"))), n=b.column("n"), ids=packed_ids)
 
-    return found_path.select("unit", "key", "n", ids.alias("ids")).mapInArrow(tidy(pack), "key bigint, n bigint, ids binary")
+    return found_path.select("unit", "n", ids.alias("ids")).mapInArrow(tidy(pack), "key bigint, n bigint, ids binary")
+
+
+def _hashed(units: pa.Array) -> np.ndarray:
+    """Hashes as those of the units of a text."""
+    data, bounds = text_buffers(units)
+    held = Words.__new__(Words)
+    held.bytes = np.concatenate([data[bounds[0] : bounds[-1]], np.zeros(16, np.uint8)])
+    held.starts, held.ends = bounds[:-1] - bounds[0], bounds[1:] - bounds[0]
+    return held.hashes()
 
 
 def _code(many: int) -> str:
@@ -346,7 +356,7 @@ class _Table:
         wide = np.dtype(code).itemsize
         bounds = np.frombuffer(ids.buffers()[1], np.int32)[ids.offset : ids.offset + len(ids) + 1].astype(np.int64) // wide if len(ids) else np.zeros(1, np.int64)
         self.ids = np.frombuffer(ids.buffers()[2], code) if len(ids) and ids.buffers()[2] is not None else np.zeros(0, code)
-        self.first, self.sizes = bounds[:-1][first], np.diff(bounds)[first]
+        self.first, self.sizes = bounds[:-1][first].astype(np.int32), np.diff(bounds)[first].astype(np.int32)
 
     def find(self, keys: np.ndarray) -> np.ndarray:
         if not len(self.keys):
@@ -399,8 +409,9 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: b
     docs, names = bundled(docs, keep), keep
     kinds = {f.name: f.dataType.simpleString() for f in docs.schema}
     keep = ("_kept",) if keep else ()
-    # what a unit's ids are doesn't depend on the text it is in, so rows that share a mark share what is found for it
-    rows = docs.withColumn("mark", F.xxhash64("doc_id", "text"))
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # 48 bits: where two rows share a mark, one of them doesn't spell out and is merged by the queue
+    rows = docs.withColumn("mark", F.shiftrightunsigned(F.xxhash64("doc_id", "text"), 16))
 
     def missing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = got(parcel)
@@ -409,64 +420,149 @@ def encoded(docs: DataFrame, pieces: Pieces | None = None, *keep: str, digest: b
             for lo, hi in steps(b):
                 u = Units(b.column("text").slice(lo, hi - lo))
                 keys = signed(u.hashes())
-                rare = np.flatnonzero(table.find(keys) < 0)
-                order = rare[np.lexsort((keys[rare], u.row[rare]))]
-                new = np.ones(len(order), bool)
-                new[1:] = (keys[order][1:] != keys[order][:-1]) | (u.row[order][1:] != u.row[order][:-1])
-                order = order[new]
-                yield batch(mark=marks[lo:hi][u.row[order]], key=keys[order])
+                order, first, place = _rare(u, keys, table.find(keys))
+                order, place = order[first], place[first]
+                yield batch(mark=marks[lo:hi][u.row[order]], place=place.astype(np.int32), key=keys[order])
 
     def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Rows come by mark, those of its rare units before its texts."""
+        """A bucket's blocks of rare units come first, then its blocks of rows."""
         table, held = got(parcel), got(model)
-        spelt, left = Spelling(spelling(held)), None
+        spelt, now, units, rare = Spelling(spelling(held)), None, [], None
         for b in batches:
-            is_text = b.column("key").is_null()
-            units = pa.Table.from_batches([b.select(["mark", "key", "ids"]).filter(pc.invert(is_text))])
-            left = pa.concat_tables([left, units]) if left is not None else units
-            texts = b.filter(is_text)
-            if len(texts):
-                marks, keys, ids = left.column("mark").to_numpy(), left.column("key").to_numpy(), left.column("ids").combine_chunks()
-                ids = ids.chunk(0) if isinstance(ids, pa.ChunkedArray) and ids.num_chunks else pa.array([], pa.binary()) if isinstance(ids, pa.ChunkedArray) else ids
-                own = texts.column("mark").to_numpy()
-                for lo, hi, u in _opened(texts.column("z")):
-                    a, z = np.searchsorted(marks, own[lo], "left"), np.searchsorted(marks, own[hi - 1], "right")
-                    rare = _Table(keys[a:z], ids.slice(a, z - a), code)
-                    whole, n, data, bytes_of = _row_ids(u, table, rare, held, spelt)
-                    out = pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum(n)]).astype(np.int32), pa.array(whole, pa.int32()))
-                    more_columns = {"decoded_sha256": pa.array(_digests(data, bytes_of), pa.string())} if digest else {}
-                    part = texts.slice(lo, hi - lo)
-                    yield batch(doc_id=part.column("doc_id"), n_tokens=n, ids=out, **{k: part.column(k) for k in keep}, **more_columns)
-            last = b.column("mark")[len(b) - 1].as_py() if len(b) else None
-            if last is not None and len(left):
-                left = left.slice(int(np.searchsorted(left.column("mark").to_numpy(), last, "left"))).combine_chunks()
-
-    tails = rows.select("text", "mark").mapInArrow(tidy(missing), "mark bigint, key bigint").join(words.where(F.col("n") < line).select("key", "ids"), "key")
-    both = tails.unionByName(packed(rows, "doc_id", "mark", *keep), allowMissingColumns=True).repartition("mark")
+            for bucket, of_rows, block in zip(*(b.column(c).to_pylist() for c in ("bucket", "of_rows", "block")), strict=True):
+                if bucket != now:
+                    now, units, rare = bucket, [], None
+                if not of_rows:
+                    units.append(block)
+                    continue
+                rare = rare or _Rare(units, code)
+                units = []
+                for part in _rows_of(block):
+                    for lo, hi in steps(part):
+                        own = part.slice(lo, hi - lo)
+                        u = Units(own.column("text"))
+                        whole, n, data, bytes_of = _row_ids(u, own.column("mark").to_numpy(), table, rare, held, spelt)
+                        out = pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum(n)]).astype(np.int32), pa.array(whole, pa.int32()))
+                        more_columns = {"decoded_sha256": pa.array(_digests(data, bytes_of), pa.string())} if digest else {}
+                        yield batch(doc_id=own.column("doc_id"), n_tokens=n, ids=out, **{k: own.column(k) for k in keep}, **more_columns)
+
+    tails = rows.select("text", "mark").mapInArrow(tidy(missing), "mark bigint, place int, key bigint").join(words.where(F.col("n") < line).select("key", "ids"), "key").select("mark", "place", "ids")
+    blocks = "bucket int, of_rows boolean, block binary"
+    both = tails.mapInArrow(tidy(lambda batches: _rare_blocks(batches, parts)), blocks).unionByName(rows.mapInArrow(tidy(lambda batches: _row_blocks(batches, parts)), blocks))
     columns = "doc_id bigint, n_tokens bigint, ids array<int>" + "".join(f", `{k}` {kinds[k]}" for k in keep) + ", decoded_sha256 string" * digest
-    return unbundled(both.sortWithinPartitions("mark", F.col("key").asc_nulls_last()).mapInArrow(tidy(joined), columns), names)
+    return unbundled(both.repartition(parts, "bucket").sortWithinPartitions("bucket", "of_rows").mapInArrow(tidy(joined), columns), names)
+
+
+def _rare(u: Units, keys: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Units that the head lacks, by row and key: which they are, which stand first of their like in the row, and the place of each among the row's kinds."""
+    rare = np.flatnonzero(at < 0)
+    order = rare[np.lexsort((keys[rare], u.row[rare]))]
+    row, key = u.row[order], keys[order]
+    new, top = np.ones(len(order), bool), np.ones(len(order), bool)
+    top[1:] = row[1:] != row[:-1]
+    new[1:] = top[1:] | (key[1:] != key[:-1])
+    kind = np.cumsum(new) - 1
+    base = np.maximum.accumulate(np.where(top, kind, 0)) if len(order) else kind
+    return order, np.flatnonzero(new), kind - base
+
+
+def _rare_blocks(batches: Iterator[pa.RecordBatch], buckets: int) -> Iterator[pa.RecordBatch]:
+    """(bucket, of_rows, block): columns of (mark, place, ids), compressed, for each bucket of marks."""
+    held, many = [], 0
+    for b in batches:
+        held.append(b)
+        many += len(b)
+        if many > 2_000_000:
+            yield _rare_flushed(held, buckets)
+            held, many = [], 0
+    if many:
+        yield _rare_flushed(held, buckets)
+
+
+def _rare_flushed(held: list[pa.RecordBatch], buckets: int) -> pa.RecordBatch:
+    table = pa.Table.from_batches(held).combine_chunks()
+    mark, place = table.column("mark").to_numpy(), table.column("place").to_numpy()
+    ids = table.column("ids").chunk(0)
+    bounds = np.frombuffer(ids.buffers()[1], np.int32)[ids.offset : ids.offset + len(ids) + 1].astype(np.int64)
+    flat = np.frombuffer(ids.buffers()[2], np.uint8)
+    bucket = mark % buckets
+    order = np.lexsort((place, mark, bucket))
+    names, starts = np.unique(bucket[order], return_index=True)
+    press, blocks = zstandard.ZstdCompressor(level=3), []
+    for lo, hi in zip(starts.tolist(), [*starts[1:].tolist(), len(order)], strict=True):
+        own = order[lo:hi]
+        size = np.diff(bounds)[own]
+        raw = [mark[own].astype("<i8").view(np.uint8).reshape(-1, 8)[:, :6].T.tobytes(), place[own].astype("<i4").tobytes(), size.astype("<i4").tobytes(), _gathered(flat, bounds[own], size).tobytes()]
+        blocks.append(len(own).to_bytes(4, "little") + press.compress(b"".join(raw)))
+    return batch(bucket=names.astype(np.int32), of_rows=pa.array(np.zeros(len(names), bool)), block=pa.array(blocks, pa.binary()))
+
+
+class _Rare:
+    """Ids of rare units by the mark of their row and their place in it."""
+
+    def __init__(self, blocks: list[bytes], code: str):
+        press, marks, places, sizes, flat = zstandard.ZstdDecompressor(), [], [], [], []
+        for block in blocks:
+            n = int.from_bytes(block[:4], "little")
+            raw = press.decompress(block[4:])
+            wide = np.zeros((n, 8), np.uint8)
+            wide[:, :6] = np.frombuffer(raw, np.uint8, 6 * n).reshape(6, n).T
+            marks.append(wide.view("<i8").ravel())
+            places.append(np.frombuffer(raw, "<i4", n, 6 * n))
+            sizes.append(np.frombuffer(raw, "<i4", n, 10 * n))
+            flat.append(raw[14 * n :])
+        mark = np.concatenate([*marks, np.zeros(0, np.int64)])
+        ends = np.concatenate([[0], np.cumsum(np.concatenate([*sizes, np.zeros(0, np.int32)]))]).astype(np.int32)
+        self.marks = np.unique(mark)
+        ids = pa.Array.from_buffers(pa.binary(), len(mark), [None, pa.py_buffer(ends.tobytes()), pa.py_buffer(b"".join(flat))])
+        self.table = _Table(self._key(mark, np.concatenate([*places, np.zeros(0, np.int32)])), ids, code)
+
+    def _key(self, mark: np.ndarray, place: np.ndarray) -> np.ndarray:
+        return (np.searchsorted(self.marks, mark) << 32) + place
+
+    def find(self, mark: np.ndarray, place: np.ndarray) -> np.ndarray:
+        known = np.searchsorted(self.marks, mark, "right") > np.searchsorted(self.marks, mark, "left")
+        return np.where(known, self.table.find(self._key(mark, place)), -1)
+
+
+def _row_blocks(batches: Iterator[pa.RecordBatch], buckets: int) -> Iterator[pa.RecordBatch]:
+    """(bucket, of_rows, block): whole rows, compressed, for each bucket of marks."""
+    held, size = [], 0
+    for b in batches:
+        for lo, hi in steps(b, most=FLUSH_BYTES):
+            held.append(b.slice(lo, hi - lo))
+            size += int(text_buffers(held[-1].column("text"))[1][[0, -1]] @ np.array([-1, 1]))
+            if size > FLUSH_BYTES:
+                yield from _rows_flushed(held, buckets)
+                held, size = [], 0
+    if held:
+        yield from _rows_flushed(held, buckets)
+
+
+def _rows_flushed(held: list[pa.RecordBatch], buckets: int) -> Iterator[pa.RecordBatch]:
+    table = pa.Table.from_batches(held).combine_chunks()
+    bucket = table.column("mark").to_numpy() % buckets
+    press = zstandard.ZstdCompressor(level=5)
+    for k in np.unique(bucket).tolist():
+        out = pa.BufferOutputStream()
+        part = table.take(pa.array(np.flatnonzero(bucket == k)))
+        with pa.ipc.new_stream(out, part.schema) as stream:
+            stream.write_table(part)
+        yield batch(bucket=pa.array([k], pa.int32()), of_rows=pa.array([True]), block=pa.array([press.compress(out.getvalue())], pa.binary()))
 
 
-def _opened(z: pa.Array) -> Iterator[tuple[int, int, Units]]:
-    """Units of compressed texts in steps of bounded bytes, with the rows each is of."""
-    press, start, held, size = zstandard.ZstdDecompressor(), 0, [], 0
-    for k in range(len(z)):
-        held.append(press.decompress(z[k].as_py()))
-        size += len(held[-1])
-        if size >= STEP_BYTES or k == len(z) - 1:
-            ends = np.cumsum([0, *map(len, held)]).astype(np.int32)
-            yield start, k + 1, Units(pa.StringArray.from_buffers(len(held), pa.py_buffer(ends.tobytes()), pa.py_buffer(b"".join(held))))
-            start, held, size = k + 1, [], 0
+def _rows_of(block: bytes) -> Iterator[pa.RecordBatch]:
+    yield from pa.ipc.open_stream(zstandard.ZstdDecompressor().decompress(block))
 
 
-def _row_ids(u: Units, head: _Table, rare: _Table, pieces: Pieces, spelt: Spelling) -> tuple[np.ndarray, ...]:
+def _row_ids(u: Units, marks: np.ndarray, head: _Table, rare: _Rare, pieces: Pieces, spelt: Spelling) -> tuple[np.ndarray, ...]:
     """Ids of all rows one after another and how many each has; the bytes they spell and how many of these."""
     keys = signed(u.hashes())
     at = head.find(keys)
-    left = np.flatnonzero(at < 0)
-    hit = rare.find(keys[left])
-    at[left] = np.where(hit >= 0, hit + len(head.keys), -1)
-    flat, sizes = _laid(at, (head, rare), len(head.keys))
+    order, _, place = _rare(u, keys, at)
+    hit = rare.find(marks[u.row[order]], place)
+    at[order] = np.where(hit >= 0, hit + len(head.keys), -1)
+    flat, sizes = _laid(at, (head, rare.table), len(head.keys))
     bounds = np.concatenate([[0], np.cumsum(sizes)])
     own = {}
     lone = pieces.ranks[SPACE][1]
