@@ -1,20 +1,24 @@
 """A content-addressed WARC archive: payloads stored once by digest, exact record headers apart, records by joins.
 
 The digest that addresses a payload is the base32 SHA-1 of WARC's digest fields, verified by a SHA-256 and the length:
-payloads are taken for equal only where all three are. Archives are two tables in a shared folder. ``write_files`` and
-``read_files`` turn records into WARC files and back.
+payloads are taken for equal only where all three are. Archives are two tables in a shared folder, payloads compressed.
+``records`` makes whole WARC records of them by joins, ``read_back`` parses these again, and ``write_files`` and
+``read_files`` turn them into WARC files and back.
 """
 
 from __future__ import annotations
 
+import base64
+import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
-import pandas as pd
+import pyarrow as pa
+import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import stage_path, written
+from .common import batch, stage_path, tidy, written
 
 VERSION = "WARC/1.1"
 END = "\r\n\r\n"
@@ -64,79 +68,163 @@ def stored(pages: DataFrame, least_bytes: int = 0) -> Archive:
     without a page_id revisit an equal payload that has one, and are responses otherwise. Other columns are not kept.
     """
     html = F.coalesce("html", F.lit(""))
-    read = pages.select("page_id", "url", html.alias("payload"))
-    marks = [base32_sha1(F.col("payload")).alias("digest"), F.sha2("payload", 256).alias("check"), F.octet_length("payload").cast("bigint").alias("size")]
-    slim = written(read.select("page_id", "url", *marks), "warc-index")
-    same = ADDRESS
-    first = slim.groupBy(*same).agg(F.max("page_id").alias("first"))
+    marks = [base32_sha1(html).alias("digest"), F.sha2(html, 256).alias("check"), F.octet_length(html).cast("bigint").alias("size")]
+    slim = written(pages.select("page_id", "url", *marks), "warc-index")
+    # one row of each group keeps the payload: that of the largest page_id, or one without an id where none has one
+    keepers = written(slim.groupBy(*ADDRESS).agg(F.max("page_id").alias("first")), "warc-groups")
     revisit = (F.col("size") >= least_bytes) & F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
-    kinds = slim.join(first, same).withColumn("kind", F.when(revisit, "revisit").otherwise("response"))
+    kinds = slim.join(keepers, ADDRESS).withColumn("kind", F.when(revisit, "revisit").otherwise("response"))
     lines = header(F.col("kind"), F.col("page_id"), F.col("url"), F.col("digest"), F.col("size"), F.col("first"))
-    headers = written(kinds.select("page_id", lines.alias("header"), *same), "warc-headers")
-    keepers = slim.groupBy(*same).agg(F.max("page_id").alias("page_id"))
-    named = read.where(F.col("page_id").isNotNull()).select("page_id", "payload").join(keepers.where(F.col("page_id").isNotNull()), "page_id")
-    named = named.where((base32_sha1(F.col("payload")) == F.col("digest")) & (F.sha2("payload", 256) == F.col("check"))).select(*same, "payload")
+    headers = written(kinds.select("page_id", "kind", lines.alias("header"), *ADDRESS), "warc-headers")
+    own = keepers.select(F.col("first").alias("page_id"), *ADDRESS)
+    held = pressed(pages)
+    named = held.where(F.col("page_id").isNotNull()).join(own.where(F.col("page_id").isNotNull()), ["page_id", *ADDRESS])
+    unnamed = held.where(F.col("page_id").isNull()).join(own.where(F.col("page_id").isNull()).select(*ADDRESS), ADDRESS)
     if _repeats(slim.where(F.col("page_id").isNotNull())):
-        named = named.dropDuplicates(same)
-    # payloads that only rows without a page_id have are found by what addresses them
-    unnamed = read.where(F.col("page_id").isNull()).select("payload", *marks).join(keepers.where(F.col("page_id").isNull()).select(*same), same)
-    whole = named.unionByName(unnamed.dropDuplicates(same).select(*same, "payload"))
+        named = named.dropDuplicates(ADDRESS)
+    whole = named.select(*ADDRESS, "z").unionByName(unnamed.dropDuplicates(ADDRESS).select(*ADDRESS, "z"))
     return Archive(headers, written(whole, "warc-payloads"))
 
 
+def pressed(pages: DataFrame) -> DataFrame:
+    """page_id, digest, check, size and the payload's bytes compressed, of pages: what a payload is addressed by is taken from its bytes."""
+
+    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        press = zstandard.ZstdCompressor(level=3)
+        for b in batches:
+            data = [(t or "").encode() for t in b.column("html").to_pylist()]
+            yield batch(
+                page_id=b.column("page_id"), digest=pa.array(map(_sha1, data), pa.string()), check=pa.array([hashlib.sha256(x).hexdigest() for x in data], pa.string()),
+                size=pa.array(map(len, data), pa.int64()), z=pa.array(map(press.compress, data), pa.binary()),
+            )
+
+    return pages.select(F.col("page_id").cast("bigint").alias("page_id"), "html").mapInArrow(tidy(step), "page_id bigint, digest string, check string, size bigint, z binary")
+
+
+def _sha1(data: bytes) -> str:
+    return base64.b32encode(hashlib.sha1(data).digest()).decode()
+
+
 def _repeats(slim: DataFrame) -> bool:
     """Whether a page_id is repeated, so that payloads need a pass of their own to be stored once."""
     return slim.groupBy("page_id").agg(F.count("*").alias("n")).where("n > 1").limit(1).count() > 0
 
 
-def _field(name: str) -> Column:
-    return F.regexp_extract("header", rf"(?m)^{name}: (?:<urn:page:|sha1:)?([^>\r\n]*)", 1)
+def records(archive: Archive) -> DataFrame:
+    """(page_id, record, size, digest): whole records, without the blank lines that end them, and what is stored for each.
+
+    A response's payload is joined by its address and goes into its record; a revisit has an empty block, and only the size
+    and digest of what it refers to are joined. A record whose payload isn't in the archive is an error.
+    """
+
+    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        press = zstandard.ZstdDecompressor()
+        for b in batches:
+            blocks = [press.decompress(z) for z in _all(b, "z")]
+            out = [h.encode() + END.encode() + x for h, x in zip(b.column("header").to_pylist(), blocks, strict=True)]
+            yield batch(page_id=b.column("page_id"), record=pa.array(out, pa.binary()), size=pa.array(map(len, blocks), pa.int64()), digest=pa.array(map(_sha1, blocks), pa.string()))
+
+    heads = archive.headers
+    responses = heads.where("kind = 'response'").join(archive.payloads, ADDRESS, "left").select("page_id", "header", "z")
+    revisits = heads.where("kind = 'revisit'").join(measured(archive), ADDRESS, "left")
+    empty = F.concat(F.encode("header", "UTF-8"), F.lit(END.encode()))
+    again = revisits.select("page_id", empty.alias("record"), _there("found_size").alias("size"), _there("found_digest").alias("digest"))
+    return responses.mapInArrow(tidy(step), "page_id bigint, record binary, size bigint, digest string").unionByName(again)
+
+
+def _there(column: str) -> Column:
+    return F.when(F.col(column).isNull(), F.raise_error(F.lit("a record's payload is not in the archive"))).otherwise(F.col(column))
+
+
+def _all(b: pa.RecordBatch, column: str) -> list:
+    if b.column(column).null_count:
+        raise ValueError("a record's payload is not in the archive")
+    return b.column(column).to_pylist()
+
+
+def measured(archive: Archive) -> DataFrame:
+    """The address of every payload, with size and digest of its bytes as stored."""
+
+    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        press = zstandard.ZstdDecompressor()
+        for b in batches:
+            data = [press.decompress(z) for z in b.column("z").to_pylist()]
+            yield batch(**{c: b.column(c) for c in ADDRESS}, found_size=pa.array(map(len, data), pa.int64()), found_digest=pa.array(map(_sha1, data), pa.string()))
+
+    return archive.payloads.mapInArrow(tidy(step), "digest string, check string, size bigint, found_size bigint, found_digest string")
+
+
+def parsed(data: bytes, at: int = 0) -> tuple[dict[str, str], bytes, int]:
+    """Header fields and block of the record that starts at a place, and where the block ends: it is as long as Content-Length says."""
+    stop = data.index(END.encode(), at)
+    lines = data[at:stop].decode().split("\r\n")
+    if not lines[0].startswith("WARC/"):
+        raise ValueError(f"not a WARC record: {lines[0][:40]!r}")
+    fields = dict(line.split(": ", 1) for line in lines[1:])
+    at = stop + len(END)
+    end = at + int(fields["Content-Length"])
+    if end > len(data):
+        raise ValueError("a record's block ends early")
+    return fields, data[at:end], end
 
 
 def read_back(archive: Archive) -> DataFrame:
-    """page_id, payload_bytes, payload_digest, record_type, refers_to of every record, from what the archive holds.
+    """page_id, payload_bytes, payload_digest, record_type, refers_to of every record, parsed from the records' bytes.
 
-    Sizes and digests are those of the payload found under a record's digest, computed anew.
+    A response's size and digest are those of its block; a revisit's are those of the stored payload that it refers to.
+    A record's digest field must say the same as its payload.
     """
-    held = archive.payloads.select(*ADDRESS, base32_sha1(F.col("payload")).alias("payload_digest"), F.octet_length("payload").cast("bigint").alias("payload_bytes"))
-    records = archive.headers.select("page_id", _field("WARC-Payload-Digest").alias("digest"), "check", "size", _field("WARC-Type").alias("record_type"), _field("WARC-Refers-To").alias("refers"))
-    refers = F.when(F.col("refers") != "", F.col("refers")).cast("bigint")
-    return records.join(held, ADDRESS).select("page_id", "payload_bytes", "payload_digest", "record_type", refers.alias("refers_to"))
-
 
-def records(archive: Archive) -> DataFrame:
-    """(page_id, record): whole records as written in a WARC file, without the blank lines that end them."""
-    own = F.when(_field("WARC-Type") == "revisit", F.lit("")).otherwise(F.col("payload"))
-    return archive.headers.join(archive.payloads, ADDRESS).select("page_id", F.concat("header", F.lit(END), own).alias("record"))
+    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            kinds, refers, sizes, digests = [], [], [], []
+            for record, size, digest in zip(*(b.column(c).to_pylist() for c in ("record", "size", "digest")), strict=True):
+                fields, block, end = parsed(record)
+                kinds.append(fields["WARC-Type"])
+                if kinds[-1] == "response":
+                    size, digest = len(block), _sha1(block)
+                if end != len(record) or fields["WARC-Payload-Digest"] != "sha1:" + digest:
+                    raise ValueError("a record's payload is not what its header says")
+                refer = fields.get("WARC-Refers-To")
+                refers.append(int(refer[len("<urn:page:") : -1]) if refer else None)
+                sizes.append(size)
+                digests.append(digest)
+            yield batch(page_id=b.column("page_id"), payload_bytes=pa.array(sizes, pa.int64()), payload_digest=pa.array(digests, pa.string()), record_type=pa.array(kinds, pa.string()), refers_to=pa.array(refers, pa.int64()))
+
+    kinds = "page_id bigint, payload_bytes bigint, payload_digest string, record_type string, refers_to bigint"
+    return records(archive).mapInArrow(tidy(step), kinds)
 
 
 def originals(archive: Archive) -> DataFrame:
     """(page_id, header, payload): every record with its full payload, revisits included."""
-    return archive.headers.join(archive.payloads, ADDRESS).select("page_id", "header", "payload")
+
+    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        press = zstandard.ZstdDecompressor()
+        for b in batches:
+            yield batch(page_id=b.column("page_id"), header=b.column("header"), payload=pa.array([press.decompress(z).decode() for z in _all(b, "z")], pa.string()))
+
+    return archive.headers.join(archive.payloads, ADDRESS, "left").select("page_id", "header", "z").mapInArrow(tidy(step), "page_id bigint, header string, payload string")
 
 
 def write_files(archive: Archive, path: str | None = None, rows_a_file: int = 10_000) -> str:
     """WARC files of all records: Spark's text writer ends each with the two line breaks of the format."""
     spark = archive.headers.sparkSession
     path = path or stage_path(spark, "warc-files")
-    records(archive).select("record").write.option("lineSep", END).option("maxRecordsPerFile", rows_a_file).text(path)
+    records(archive).select(F.decode("record", "UTF-8").alias("record")).write.option("lineSep", END).option("maxRecordsPerFile", rows_a_file).text(path)
     return path
 
 
 def read_files(spark: SparkSession, path: str) -> DataFrame:
     """(header, block) of each record in WARC files, cut by its Content-Length."""
 
-    def step(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            for data in frame["content"]:
+    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for data in b.column("content").to_pylist():
                 at, found = 0, []
                 while at < len(data):
-                    stop = data.index(END.encode(), at)
-                    head = data[at:stop].decode()
-                    size = next(int(x.partition(":")[2]) for x in head.split("\r\n") if x.lower().startswith("content-length:"))
-                    at = stop + len(END)
-                    found.append((head, data[at : at + size].decode()))
-                    at += size + len(END)
-                yield pd.DataFrame(found, columns=["header", "block"])
-
-    return spark.read.format("binaryFile").load(path).select("content").mapInPandas(step, "header string, block string")
+                    _, block, end = parsed(data, at)
+                    found.append((data[at : data.index(END.encode(), at)].decode(), block.decode()))
+                    at = end + len(END)
+                yield batch(header=pa.array([h for h, _ in found], pa.string()), block=pa.array([x for _, x in found], pa.string()))
+
+    return spark.read.format("binaryFile").load(path).select("content").mapInArrow(step, "header string, block string")
