@@ -1,16 +1,17 @@
 """URL filters: fixed rules on host and path, then naive Bayes over the words that hosts and paths are made of.
 
-Host names run words together; a unigram Viterbi splits each label into the likeliest words of a lexicon, whose counts come
-from the visible words of all pages. Multinomial naive Bayes then scores the words of host and path. No page is labelled:
-a url is a training example of ``block`` where its segmented host or path holds one of ``SEEDS``, and of ``allow``
-otherwise, and all urls are counted. Words common to many urls are scored from a broadcast table of bounded size (those
-with a share of ``HEAD_SHARE`` or more); the others, none of which is hot, through a join.
+Host names run words together; a unigram Viterbi splits each run of letters into the likeliest words of a lexicon, whose
+counts come from the visible words of all pages. The split is made once for each distinct run: its substrings are joined to
+the lexicon, whole, and the runs go back to their urls through joins. The urls that a rule judges are the examples of
+``block`` and ``allow``; what the rules themselves name (domains, path segments) is no evidence, so that the model learns
+from the words beside it. Multinomial naive Bayes then scores all other urls. Runs common to many urls are scored from a
+broadcast table of bounded size (those with a share of ``HEAD_SHARE`` or more); the others, none of which is hot, through
+a join.
 """
 
 from __future__ import annotations
 
 import math
-import re
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -18,19 +19,16 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch, got, sent, tidy, written
+from .common import batch, tidy, written
 
-#: Words that mark a url as one to block.
-SEEDS = (
-    "ads", "adserver", "adult", "bet", "bets", "betting", "casino", "clickbait", "doorway", "escort", "farm", "gambling", "jackpot", "loan",
-    "loans", "lottery", "malware", "phishing", "pill", "pills", "poker", "porn", "sex", "slots", "spam", "track", "tracker", "tracking", "viagra",
-    "warez", "xxx",
-)
-LEXICON_SHARE = 1e-6
+#: Runs of letters with a share of this or more are scored from a broadcast: at most 1 / ``HEAD_SHARE`` of them.
 HEAD_SHARE = 1e-4
-LONGEST = 20
-#: What is added to each word's counts: little, as few urls are block examples.
-SMOOTHING = 0.1
+#: Letters of the longest word that a run is split into.
+LONGEST = 40
+#: What is added to each word's counts.
+SMOOTHING = 1.0
+#: Log chance of each letter that no word covers.
+UNKNOWN = -12.0
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -74,87 +72,96 @@ def word_counts(html: DataFrame) -> DataFrame:
     return words.where(f"word is not null and length(word) between 1 and {LONGEST}").groupBy("word").agg(F.count("*").alias("n"))
 
 
-def lexicon(pages: DataFrame) -> dict[str, float]:
-    """Log shares of words, at most 1 / ``LEXICON_SHARE`` of them, and of the seeds."""
-    counts = written(word_counts(pages.select("html")), "lexicon")
+def runs_of(text: Column) -> Column:
+    """Runs of letters, and a 0 for each run of digits."""
+    return F.transform(F.regexp_extract_all(F.lower(text), F.lit(r"(\p{L}+|\d+)"), 1), lambda x: F.when(x.rlike(r"^\d"), "0").otherwise(x))
+
+
+def named(rules: tuple[Rule, ...]) -> list[str]:
+    """Words that the rules' hosts and paths are made of."""
+    return sorted({w for r in rules for part in (r.host.split("."), r.path.split("/")) for w in part if w})
+
+
+def best_split(length: int, edges: list[tuple[int, int, float]], unknown: float = UNKNOWN) -> list[tuple[int, int]]:
+    """Bounds of the likeliest words of a run: edges are (start, end, log chance); letters no word covers go one by one.
+
+    Of equal splits the one with the longer last word wins.
+    """
+    best, back = [0.0] + [-math.inf] * length, [0] * (length + 1)
+    by_end: list[list[tuple[int, float]]] = [[] for _ in range(length + 1)]
+    for start, end, log in edges:
+        by_end[end].append((start, log))
+    for end in range(1, length + 1):
+        for start, log in sorted([*by_end[end], (end - 1, unknown)]):
+            if best[start] + log > best[end]:
+                best[end], back[end] = best[start] + log, start
+    out, at = [], length
+    while at:
+        out.append((back[at], at))
+        at = back[at]
+    return out[::-1]
+
+
+def segmented(runs: DataFrame, counts: DataFrame) -> DataFrame:
+    """(run, words) for distinct runs: the likeliest split into words of (word, n), letters that no word covers alone.
+
+    Substrings of up to ``LONGEST`` letters are joined to all words. A run without any is all single letters.
+    """
     total = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    kept = counts.where(F.col("n") >= max(2, LEXICON_SHARE * total)).toPandas()
-    out = {w: math.log(n / (total + 1)) for w, n in zip(kept["word"], kept["n"], strict=True)}
-    usual = math.log(1e-5)
-    for w in SEEDS:
-        out[w] = max(out.get(w, usual), usual)
-    return out
-
-
-_PARTS = re.compile(r"[^\W\d_]+|\d+")
-
-
-def segmented(label: str, logs: dict[str, float], unknown: float = -12.0) -> list[str]:
-    """The likeliest split of a label's letters into words; letters no word covers go together at a price for each."""
-    out = []
-    for part in _PARTS.findall(label):
-        if part.isdigit():
-            out.append("0")
-            continue
-        n = len(part)
-        best, back = [0.0] + [-math.inf] * n, [0] * (n + 1)
-        for end in range(1, n + 1):
-            for start in range(max(0, end - LONGEST), end):
-                log = logs.get(part[start:end])
-                score = best[start] + (log if log is not None else unknown * (end - start))
-                if score > best[end]:
-                    best[end], back[end] = score, start
-        words, at = [], n
-        while at:
-            words.append(part[back[at] : at])
-            at = back[at]
-        out.extend(reversed(words))
-    return out
-
-
-def judged(pages: DataFrame, rules: tuple[Rule, ...] = RULES, seeds: tuple[str, ...] = SEEDS) -> DataFrame:
+    size = F.length("run")
+    starts = runs.select("run", F.explode(F.sequence(F.lit(0), size - 1)).alias("s"))
+    spans = starts.select("run", "s", F.explode(F.sequence(F.lit(1), F.least(F.lit(LONGEST), size - F.col("s")))).alias("l"))
+    found = spans.select("run", "s", "l", F.substring("run", F.col("s") + 1, F.col("l")).alias("word")).join(counts, "word")
+    edges = found.groupBy("run").agg(F.sort_array(F.collect_list(F.struct("s", (F.col("s") + F.col("l")).alias("e"), F.log(F.col("n") / F.lit(total + 1.0)).alias("log")))).alias("edges"))
+
+    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            out = []
+            for run, own in zip(b.column("run").to_pylist(), b.column("edges").to_pylist(), strict=True):
+                split = best_split(len(run), [(e["s"], e["e"], e["log"]) for e in own or []])
+                out.append([run[i:j] for i, j in split])
+            yield batch(run=b.column("run"), words=pa.array(out, pa.list_(pa.string())))
+
+    return runs.join(edges, "run", "left").mapInArrow(tidy(step), "run string, words array<string>")
+
+
+def judged(pages: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """page_id, host, path, rule, verdict, score for every row of pages.
 
     A null url, or one without ``://``, has an empty host and path: no rule fits, and the method judges it by its prior
-    alone. Repeated rows are judged each and counted each. Without any block example, everything that no rule blocks is
-    allowed. score is the log odds of ``block``. Other columns are not read.
+    alone. Repeated rows are judged each and counted each. Where rules block nothing, or allow nothing, there is nothing to
+    learn and what no rule judges is allowed, with a score of the prior. score is the log odds of ``block``. Other columns
+    are not read.
     """
-    spark = pages.sparkSession
     host, path = parsed(F.col("url"))
     name, verdict = ruled(F.col("host"), F.col("path"), rules)
     rows = pages.select("page_id", host.alias("host"), path.alias("path")).select("page_id", "host", "path", name.alias("rule"), verdict.alias("ruled"))
-    words = sent(spark, lexicon(pages))
-    marks = frozenset(seeds)
-
-    def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        logs = got(words)
-        for b in batches:
-            known: dict[str, list[str]] = {}
-            tokens, seeded = [], []
-            for h, p in zip(b.column("host").to_pylist(), b.column("path").to_pylist(), strict=True):
-                if h not in known:
-                    known[h] = [w for label in h.split(".") for w in segmented(label, logs)]
-                paths = [w for label in p.lower().split("/") for w in segmented(label, logs)]
-                tokens.append(["h:" + w for w in known[h]] + ["p:" + w for w in paths])
-                seeded.append(not marks.isdisjoint(known[h]) or not marks.isdisjoint(paths))
-            yield batch(**{c: b.column(c) for c in ("page_id", "host", "path", "rule", "ruled")}, tokens=pa.array(tokens, pa.list_(pa.string())), seeded=pa.array(seeded, pa.bool_()))
-
-    kinds = "page_id bigint, host string, path string, rule string, ruled string, tokens array<string>, seeded boolean"
-    urls = written(rows.mapInArrow(tidy(step), kinds).withColumn("row", F.monotonically_increasing_id()), "urls")
-    of = F.when(F.col("seeded"), 1).otherwise(0)
-    blocked, all_urls = urls.agg(F.coalesce(F.sum(of), F.lit(0)), F.count("*")).first()
-    each = urls.select("row", "seeded", F.explode("tokens").alias("token"))
-    counts = written(each.groupBy("token").agg(F.sum(of).alias("block"), F.count("*").alias("n")), "url-words")
-    in_block, in_all, kinds_n = counts.agg(F.coalesce(F.sum("block"), F.lit(0)), F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    spread = SMOOTHING * (kinds_n + 1)
-    odds = F.log((F.col("block") + SMOOTHING) / F.lit(in_block + spread)) - F.log((F.col("n") - F.col("block") + SMOOTHING) / F.lit(in_all - in_block + spread))
-    scores = counts.select("token", "n", odds.alias("odds"))
-    line = HEAD_SHARE * in_all
-    head, tail = F.broadcast(scores.where(F.col("n") >= line).select("token", "odds")), scores.where(F.col("n") < line).select("token", "odds")
-    token = each.select("row", "token")
-    said = token.join(head, "token").unionByName(token.join(head, "token", "left_anti").join(tail, "token"))
+    no_evidence = F.array(*(F.lit(w) for w in named(rules))).cast("array<string>")
+    mine = lambda text, side: F.transform(F.array_except(runs_of(text), no_evidence), lambda x: F.concat(F.lit(side), x))
+    urls = rows.withColumns({"row": F.monotonically_increasing_id(), "runs": F.concat(mine(F.col("host"), "h:"), mine(F.col("path"), "p:"))})
+    urls = written(urls, "urls")
+    blocks, allows = (F.when(F.col("ruled") == v, 1).otherwise(0) for v in ("block", "allow"))
+    blocked, allowed = urls.agg(F.coalesce(F.sum(blocks), F.lit(0)), F.coalesce(F.sum(allows), F.lit(0))).first()
+    each = urls.select("row", "ruled", F.explode("runs").alias("run"))
+    # a row for each distinct run of host or path, with how often it is in blocked and in allowed urls, and in all
+    runs = written(each.groupBy("run").agg(F.sum(blocks).alias("block"), F.sum(allows).alias("allow"), F.count("*").alias("n")), "url-runs")
+    side, text = F.substring("run", 1, 2).alias("side"), F.expr("substring(run, 3)")
+    counts = word_counts(pages.select("html"))
+    split = segmented(runs.select(text.alias("run")).distinct(), written(counts, "lexicon"))
+    words = runs.select(side, text.alias("run"), "block", "allow", "n").join(split, "run")
+    words = written(words.select("side", "run", "block", "allow", "n", F.explode("words").alias("w")).select("side", "run", "block", "allow", "n", F.concat("side", "w").alias("word")), "url-words")
+    totals = written(words.groupBy("word").agg(F.sum("block").alias("block"), F.sum("allow").alias("allow")), "url-word-counts")
+    in_block, in_allow, kinds = totals.agg(F.coalesce(F.sum("block"), F.lit(0)), F.coalesce(F.sum("allow"), F.lit(0)), F.count("*")).first()
+    spread = SMOOTHING * (kinds + 1)
+    odds = F.log((F.col("block") + SMOOTHING) / F.lit(in_block + spread)) - F.log((F.col("allow") + SMOOTHING) / F.lit(in_allow + spread))
+    learned = F.lit(bool(blocked and allowed))
+    scores = words.select("side", "run", "n", "word").join(totals.select("word", F.when(learned, odds).otherwise(0.0).alias("odds")), "word")
+    scores = written(scores.groupBy(F.concat("side", "run").alias("run")).agg(F.sum("odds").alias("odds"), F.max("n").alias("n")), "url-run-scores")
+    line = HEAD_SHARE * (runs.agg(F.sum("n")).first()[0] or 0)
+    head, tail = F.broadcast(scores.where(F.col("n") >= line).select("run", "odds")), scores.where(F.col("n") < line).select("run", "odds")
+    token = each.select("row", "run")
+    said = token.join(head, "run").unionByName(token.join(head, "run", "left_anti").join(tail, "run"))
     total = said.groupBy("row").agg(F.sum("odds").alias("odds"))
-    prior = math.log((blocked + 1) / (all_urls - blocked + 1))
-    score = F.coalesce("odds", F.lit(0.0)) + prior
-    method = F.when((score > 0) & F.lit(blocked > 0), "block").otherwise("allow")
+    score = F.coalesce("odds", F.lit(0.0)) + math.log((blocked + 1) / (allowed + 1))
+    method = F.when((score > 0) & learned, "block").otherwise("allow")
     return urls.join(total, "row", "left").select("page_id", "host", "path", "rule", F.coalesce("ruled", method).alias("verdict"), score.alias("score"))
