@@ -155,9 +155,10 @@ def units_of(docs: DataFrame) -> DataFrame:
             yield held.flush(buckets)
 
     blocks = docs.select("text").mapInArrow(tidy(step), "bucket int, block binary").repartition(parts, "bucket").sortWithinPartitions("bucket")
-    # what is merged has each unit once; the aggregation tells the optimizer so, and finds texts that share a hash
+    # what is merged has each unit once; the aggregation tells the optimizer so. Its partitions are asked for, as the lattice
+    # makes many edges of each unit and small ones would be put together
     units = blocks.mapInArrow(tidy(_merge_blocks), "unit string, n bigint")
-    return units.groupBy("unit").agg(F.sum("n").alias("n"), F.max(F.length("unit")).alias("size"))
+    return units.repartition(parts, "unit").groupBy("unit").agg(F.sum("n").alias("n"), F.max(F.length("unit")).alias("size"))
 
 
 def _merge_blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
