@@ -12,10 +12,9 @@ from ..sources.carriers import BASES, LETTERS
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
 
-#: Documents of smaller ids make the pairwise workloads over single documents; the size is part of the workload.
-PAIR_DOCS = 200
-USERS = 20
+#: Null datasets of the registered tests: few, as their oracles make them too.
 REPLICATES = 20
+COHORTS = 16
 
 
 def query(name: str, sql: str | None = None):
@@ -42,16 +41,19 @@ ACGTN = f"translate(regexp_replace(lower(text), '[^a-z]+', 'N', 'g'), '{LETTERS}
 SYMBOL = "CASE event_type WHEN 'click' THEN 'C' WHEN 'view' THEN 'V' WHEN 'purchase' THEN 'P' WHEN 'signup' THEN 'S' WHEN 'error' THEN 'E' END"
 
 
-def c1(below: int | None = None, encode: str = ACGT) -> str:
-    return f"seq AS (SELECT CAST(doc_id AS VARCHAR) AS seq_id, {encode} AS residues FROM documents WHERE text IS NOT NULL{f' AND doc_id < {below}' if below else ''})"
+def c1(encode: str = ACGT) -> str:
+    return f"seq AS (SELECT CAST(doc_id AS VARCHAR) AS seq_id, {encode} AS residues FROM documents WHERE text IS NOT NULL)"
 
 
 C5 = f"seq AS (SELECT lang || '/' || source AS seq_id, {ACGT} AS residues FROM documents WHERE text IS NOT NULL)"
 
 
-def c4(users: int | None = None) -> str:
-    some = f" WHERE user_id IN (SELECT DISTINCT user_id FROM events ORDER BY user_id LIMIT {users})" if users else ""
-    return f"seq AS (SELECT CAST(user_id AS VARCHAR) AS seq_id, string_agg({SYMBOL}, '' ORDER BY ts, event_id) AS residues FROM events{some} GROUP BY user_id)"
+def c4() -> str:
+    return f"seq AS (SELECT CAST(user_id AS VARCHAR) AS seq_id, 0 AS part_id, string_agg({SYMBOL}, '' ORDER BY ts, event_id) AS residues FROM events GROUP BY user_id)"
+
+
+#: Users' events in cohorts: a part for each user.
+C4C = f"seq AS (SELECT 'c' || (user_id % {COHORTS}) AS seq_id, user_id AS part_id, string_agg({SYMBOL}, '' ORDER BY ts, event_id) AS residues FROM events GROUP BY user_id)"
 
 
 def kmers(k: int, source: str = "seq", keys: str = "") -> str:
@@ -114,10 +116,23 @@ FUNCTION_SQL = {
 }
 
 
-def bootstrap_sql(q: int, replicates: int) -> str:
-    return f"""pre AS (SELECT seq_id AS src, residues, length(residues) - {q} + 1 AS n, sum(length(residues) - {q} + 1) OVER (ORDER BY seq_id) AS hi FROM seq WHERE length(residues) >= {q}),
-lens AS (SELECT seq_id, length(residues) AS len FROM seq),
-grid AS (SELECT seq_id, len, replicate, unnest(range(0, CAST(ceil(len / {q}) AS BIGINT))) AS block FROM (SELECT seq_id, len, unnest(range(0, {replicates})) AS replicate FROM lens)),
-drawn AS (SELECT *, ('0x' || substr(md5('1|' || replicate || '|' || seq_id || '|' || block), 1, 15))::BIGINT % (SELECT CAST(max(hi) AS BIGINT) FROM pre) AS address FROM grid),
-pieces AS (SELECT replicate, seq_id, len, block, substr(residues, CAST(address - (hi - n) + 1 AS BIGINT), {q}) AS piece FROM drawn JOIN pre ON address >= hi - n AND address < hi),
-made AS (SELECT CAST(replicate AS INTEGER) AS replicate, seq_id, substr(string_agg(piece, '' ORDER BY block), 1, max(len)) AS residues FROM pieces GROUP BY replicate, seq_id)"""
+def md5_number(text: str) -> str:
+    return f"('0x' || substr(md5({text}), 1, 15))::BIGINT"
+
+
+def bootstrap_sql(q: int, replicates: int, keys: str = "", each: int | None = None, name: str = "") -> str:
+    """Tables pre, lens, grid, drawn, pieces and made (with ``name`` after each). ``each``: so many replicates to a seed, from 1 on."""
+    seed = f"(1 + replicate // {each}) || '|' || " if each else "'1|' || "
+    number = f"(replicate % {each})" if each else "replicate"
+    key = "".join(f"{c.strip()} || '|' || " for c in keys.split(",") if c.strip())
+    over = f"PARTITION BY {keys.rstrip(', ')} " if keys else ""
+    on = "".join(f" AND drawn{name}.{c.strip()} = pre{name}.{c.strip()}" for c in keys.split(",") if c.strip())
+    mine = "".join(f"drawn{name}.{c.strip()}, " for c in keys.split(",") if c.strip())
+    total = f"JOIN (SELECT {keys}CAST(max(hi) AS BIGINT) AS total FROM pre{name} {'GROUP BY ' + keys.rstrip(', ') if keys else ''}) t {'USING (' + keys.rstrip(', ') + ')' if keys else 'ON true'}"
+    range_of = md5_number("'range|' || seq_id")
+    return f"""pre{name} AS (SELECT {keys}seq_id AS src, residues, length(residues) - {q} + 1 AS n, sum(length(residues) - {q} + 1) OVER ({over}ORDER BY {range_of} % 1024, seq_id, part_id) AS hi FROM seq WHERE length(residues) >= {q}),
+lens{name} AS (SELECT {keys}seq_id, sum(length(residues)) AS len FROM seq GROUP BY ALL),
+grid{name} AS (SELECT {keys}seq_id, len, replicate, unnest(range(0, CAST(ceil(len / {q}) AS BIGINT))) AS block FROM (SELECT {keys}seq_id, len, unnest(range(0, {replicates})) AS replicate FROM lens{name})),
+drawn{name} AS (SELECT *, {md5_number(f"{seed}{key}{number} || '|' || seq_id || '|' || block")} % total AS address FROM grid{name} {total}),
+pieces{name} AS (SELECT {mine}replicate, seq_id, len, block, substr(residues, CAST(address - (hi - n) + 1 AS BIGINT), {q}) AS piece FROM drawn{name} JOIN pre{name} ON address >= hi - n AND address < hi{on}),
+made{name} AS (SELECT {keys}CAST(replicate AS INTEGER) AS replicate, seq_id, substr(string_agg(piece, '' ORDER BY block), 1, CAST(max(len) AS BIGINT)) AS residues FROM pieces{name} GROUP BY {keys}replicate, seq_id)"""

@@ -10,7 +10,7 @@ from ..functions.library import HISTOGRAM, get
 from ..operators import stats
 from ..plans import matrix, pipeline
 from ..sources import carriers
-from .base import ACGT, C5, FUNCTION_SQL, NATION, PAIR_DOCS, c1, c4, full_pairs, query, r, rs, stat
+from .base import ACGT, C5, FUNCTION_SQL, NATION, c1, c4, full_pairs, query, r, rs, stat
 
 ALL = (*HISTOGRAM, "cosine", "angle", "containment", "minkowski3", "jeffrey")
 
@@ -41,8 +41,7 @@ _BG_SQL = {
 
 def _af(name: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        plan = "binned" if name not in ("chebyshev", "d2s", "d2star") else "none"
-        return matrix.compute(groups(spark, sf_dir), [made(name)], plan, k=4).select("i", "j", r(F.col("value")).alias("value"))
+        return matrix.compute(groups(spark, sf_dir), [made(name)], "binned", k=4).select("i", "j", r(F.col("value")).alias("value"))
 
     return run
 
@@ -56,10 +55,10 @@ for _name in ALL:
     query(f"af_{_name}", _sql)(_af(_name))
 
 
-@query("af_d2_documents", f"WITH {c1(PAIR_DOCS)}, {stat(4)}, long AS (SELECT DISTINCT seq_id FROM stat), met AS (SELECT a.seq_id AS i, c.seq_id AS j, sum(a.value * c.value) AS value FROM stat a JOIN stat c ON a.feature = c.feature AND a.seq_id < c.seq_id GROUP BY ALL) SELECT a.seq_id AS i, c.seq_id AS j, CAST(coalesce(value, 0) AS DOUBLE) AS value FROM long a JOIN long c ON a.seq_id < c.seq_id LEFT JOIN met ON met.i = a.seq_id AND met.j = c.seq_id")
+@query("af_d2_documents", f"WITH {c1()}, {stat(4)}, long AS (SELECT DISTINCT seq_id FROM stat), met AS (SELECT a.seq_id AS i, c.seq_id AS j, sum(a.value * c.value) AS value FROM stat a JOIN stat c ON a.feature = c.feature AND a.seq_id < c.seq_id GROUP BY ALL) SELECT a.seq_id AS i, c.seq_id AS j, CAST(coalesce(value, 0) AS DOUBLE) AS value FROM long a JOIN long c ON a.seq_id < c.seq_id LEFT JOIN met ON met.i = a.seq_id AND met.j = c.seq_id")
 def af_d2_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Single documents as sequences; pairs without a shared word are there with 0."""
-    return matrix.compute(stats.counts(carriers.documents(spark, sf_dir, below=PAIR_DOCS), 4), ["d2"], "none").select("i", "j", "value")
+    return matrix.compute(stats.counts(carriers.documents(spark, sf_dir), 4), ["d2"], "auto").select("i", "j", "value")
 
 
 for _plan in matrix.STRATEGIES:
@@ -76,16 +75,16 @@ def strategy_auto(spark: SparkSession, sf_dir: str) -> DataFrame:
 _MANY = ("d2", "euclidean", "manhattan", "intersection", "jsd", "chebyshev")
 
 
-@query("multi_function", f"WITH {c4(40)}, {stat(3)}, {full_pairs('CVPSE', 3)} " + " UNION ALL ".join(f"SELECT '{n}' AS fn, i, j, {rs(FUNCTION_SQL[n])} AS value FROM pairs GROUP BY i, j" for n in _MANY))
+@query("multi_function", f"WITH {c4()}, {stat(3)}, {full_pairs('CVPSE', 3)} " + " UNION ALL ".join(f"SELECT '{n}' AS fn, i, j, {rs(FUNCTION_SQL[n])} AS value FROM pairs GROUP BY i, j" for n in _MANY))
 def multi_function(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Several functions from one self-join."""
-    counts = stats.counts(carriers.user_events(spark, sf_dir, 40), 3)
-    return matrix.compute(counts, list(_MANY), "none").select("fn", "i", "j", r(F.col("value")).alias("value"))
+    counts = stats.counts(carriers.user_events(spark, sf_dir), 3)
+    return matrix.compute(counts, list(_MANY), "auto").select("fn", "i", "j", r(F.col("value")).alias("value"))
 
 
-@query("matrix_full", f"WITH {c4(40)}, {stat(3)}, {full_pairs('CVPSE', 3)}, up AS (SELECT i, j, {FUNCTION_SQL['d2']} AS value FROM pairs GROUP BY i, j) SELECT * FROM up UNION ALL SELECT j, i, value FROM up UNION ALL SELECT seq_id, seq_id, CAST(sum(value * value) AS DOUBLE) FROM stat GROUP BY seq_id")
+@query("matrix_full", f"WITH {c4()}, {stat(3)}, {full_pairs('CVPSE', 3)}, up AS (SELECT i, j, {FUNCTION_SQL['d2']} AS value FROM pairs GROUP BY i, j) SELECT * FROM up UNION ALL SELECT j, i, value FROM up UNION ALL SELECT seq_id, seq_id, CAST(sum(value * value) AS DOUBLE) FROM stat GROUP BY seq_id")
 def matrix_full(spark: SparkSession, sf_dir: str) -> DataFrame:
-    counts = stats.counts(carriers.user_events(spark, sf_dir, 40), 3)
+    counts = stats.counts(carriers.user_events(spark, sf_dir), 3)
     return matrix.mirror(matrix.compute(counts, ["d2"], "none"), matrix.self_values(counts, "d2"))
 
 
@@ -95,7 +94,7 @@ def nation_distances(spark: SparkSession, sf_dir: str) -> DataFrame:
     return matrix.compute(carriers.nation_histograms(spark, sf_dir), ["manhattan"], "none").select("i", "j", "value")
 
 
-@query("matrix_wide")
+@query("matrix_wide", f"WITH {NATION}, up AS (SELECT a.seq_id AS i, c.seq_id AS j, CAST(sum(a.value * c.value) AS DOUBLE) AS value FROM stat a JOIN stat c ON a.feature = c.feature GROUP BY ALL) SELECT * FROM (PIVOT up ON j USING max(value) GROUP BY i)")
 def matrix_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
     stat_rows = carriers.nation_histograms(spark, sf_dir)
     square = matrix.mirror(matrix.compute(stat_rows, ["d2"], "none"), matrix.self_values(stat_rows, "d2"))
@@ -108,27 +107,49 @@ for _mode, _expr in {"max": "max(value) OVER () - value", "cosine": "1 - value /
         lambda spark, sf_dir, mode=_mode: matrix.to_distance(matrix.compute(s := groups(spark, sf_dir), ["d2"], "binned"), mode, matrix.self_values(s, "d2")).select("i", "j", r(F.col("value")).alias("value"))
     )
 
-_SKETCH = f"""WITH {c1(60)}, km AS (SELECT DISTINCT seq_id, substr(residues, i, 8) AS w FROM (SELECT seq_id, residues, unnest(range(1, length(residues) - 6)) AS i FROM seq)),
+def _sketch_sql(k: int, size: int) -> str:
+    return f"""{C5}, km AS (SELECT DISTINCT seq_id, substr(residues, i, {k}) AS w FROM (SELECT seq_id, residues, unnest(range(1, length(residues) - {k} + 2)) AS i FROM seq)),
 h AS (SELECT DISTINCT seq_id, ('0x' || substr(md5(w), 1, 15))::BIGINT AS h FROM km),
-sk AS (SELECT seq_id, h FROM (SELECT seq_id, h, row_number() OVER (PARTITION BY seq_id ORDER BY h) AS rn FROM h) WHERE rn <= 64),
+sk AS (SELECT seq_id, h FROM (SELECT seq_id, h, row_number() OVER (PARTITION BY seq_id ORDER BY h) AS rn FROM h) WHERE rn <= {size}),
 ids AS (SELECT DISTINCT seq_id FROM sk),
-u0 AS (SELECT a.seq_id AS i, c.seq_id AS j, s.h AS h, count(*) AS n FROM ids a JOIN ids c ON a.seq_id < c.seq_id JOIN sk s ON s.seq_id IN (a.seq_id, c.seq_id) GROUP BY ALL),
+ij AS (SELECT a.seq_id AS i, c.seq_id AS j FROM ids a JOIN ids c ON a.seq_id < c.seq_id),
+u0 AS (SELECT i, j, h, count(*) AS n FROM (SELECT i, j, h FROM ij JOIN sk ON seq_id = i UNION ALL SELECT i, j, h FROM ij JOIN sk ON seq_id = j) GROUP BY ALL),
 u AS (SELECT i, j, h, n, row_number() OVER (PARTITION BY i, j ORDER BY h) AS rn FROM u0),
-t AS (SELECT i, j, sum(CASE WHEN n = 2 THEN 1 ELSE 0 END) AS shared, count(*) AS many FROM u WHERE rn <= 64 GROUP BY ALL)
-SELECT i, j, CAST(shared AS BIGINT) AS shared, round(CASE WHEN shared = 0 THEN 1.0 ELSE least(-ln(2.0 * shared / many / (1 + 1.0 * shared / many)) / 8, 1.0) END, 6) + 0.0 AS value FROM t"""
+t AS (SELECT i, j, sum(CASE WHEN n = 2 THEN 1 ELSE 0 END) AS shared, count(*) AS many FROM u WHERE rn <= {size} GROUP BY ALL)"""
 
 
-@query("af_sketch", _SKETCH)
+@query("af_sketch", f"WITH {_sketch_sql(12, 64)} SELECT i, j, CAST(shared AS BIGINT) AS shared, round(CASE WHEN shared = 0 THEN 1.0 ELSE least(-ln(2.0 * shared / many / (1 + 1.0 * shared / many)) / 12, 1.0) END, 6) + 0.0 AS value FROM t")
 def af_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
-    made_sketches = sketch.sketches(carriers.documents(spark, sf_dir, below=60), 8, 64, "md5", canonical=False)
-    return sketch.matrix(made_sketches, 8, 64).select("i", "j", "shared", r(F.col("value"), 6).alias("value"))
+    """Hashes by md5, as SQL elsewhere has them."""
+    made_sketches = sketch.sketches(carriers.language_sources(spark, sf_dir), 12, 64, "md5", canonical=False)
+    return sketch.matrix(made_sketches, 12, 64).select("i", "j", "shared", r(F.col("value"), 6).alias("value"))
 
 
-@query("sketch_jaccard")
+@query("af_minhash")
+def af_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same with hashes by numpy, of canonical words; every document's parts are sketched where they are read."""
+    made_sketches = sketch.sketches(carriers.language_sources(spark, sf_dir), 21, 1000)
+    return sketch.matrix(made_sketches, 21, 1000).select("i", "j", "shared", r(F.col("value"), 6).alias("value"))
+
+
+@query("sketch_union", f"WITH {_sketch_sql(12, 64)} SELECT seq_id, CAST(sum(h % 1000003) AS BIGINT) AS marks, count(*) AS n FROM sk GROUP BY seq_id")
+def sketch_union(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sketches of single documents, united by group: the combiner of sketches."""
+    docs = carriers.language_sources(spark, sf_dir)
+    each = sketch.sketches(docs.withColumn("group", F.col("seq_id")).withColumn("seq_id", F.col("part_id").cast("string")).drop("group"), 12, 64, "md5", canonical=False)
+    names = docs.select(F.col("part_id").cast("string").alias("part"), F.col("seq_id").alias("group"))
+    united = sketch.union(each.join(names, F.col("seq_id") == F.col("part")).select(F.col("group").alias("seq_id"), "sketch", "n_words"), 64)
+    return united.select("seq_id", F.aggregate("sketch", F.lit(0).cast("bigint"), lambda s, h: s + h % 1000003).alias("marks"), F.size("sketch").cast("bigint").alias("n"))
+
+
+_EXACT = "js AS (SELECT p.i, p.j, 1.0 * count(*) / (na.n + nb.n - count(*)) AS j_exact FROM ij p JOIN km a ON a.seq_id = p.i JOIN km c ON c.seq_id = p.j AND a.w = c.w JOIN wn na ON na.seq_id = p.i JOIN wn nb ON nb.seq_id = p.j GROUP BY p.i, p.j, na.n, nb.n)"
+
+
+@query("sketch_jaccard", f"WITH {_sketch_sql(10, 256)}, wn AS (SELECT seq_id, count(*) AS n FROM km GROUP BY seq_id), {_EXACT} SELECT i, j, {rs('1.0 * shared / many', 6)} AS j_est, {rs('coalesce(j_exact, 0)', 6)} AS j_exact, {rs('abs(1.0 * shared / many - coalesce(j_exact, 0))', 6)} AS error FROM t LEFT JOIN js USING (i, j)")
 def sketch_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The estimate beside the exact Jaccard index, and the distances of both."""
-    seq = carriers.documents(spark, sf_dir, below=60)
-    made_sketches = sketch.sketches(seq, 10, 256, canonical=False)
+    """The estimate beside the exact Jaccard index."""
+    seq = carriers.language_sources(spark, sf_dir)
+    made_sketches = sketch.sketches(seq, 10, 256, "md5", canonical=False)
     exact = matrix.compute(stats.counts(seq, 10), ["jaccard"], "none").select("i", "j", F.col("value").alias("j_exact"))
     est = sketch.matrix(made_sketches, 10, 256).select("i", "j", F.col("jaccard").alias("j_est"))
     off = F.abs(F.col("j_est") - F.col("j_exact"))
@@ -137,8 +158,23 @@ def sketch_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("af_spaced")
 def af_spaced(spark: SparkSession, sf_dir: str) -> DataFrame:
-    seq = carriers.benchmark_items(spark, sf_dir).where("part_id < 40")
-    return spaced.distance(seq, ["110010110010101100101"]).select("i", "j", "n_match", r(F.col("value"), 6).alias("value"))
+    return spaced.distance(carriers.benchmark_items(spark, sf_dir), ["110010110010101100101"]).select("i", "j", "n_match", r(F.col("value"), 6).alias("value"))
+
+
+@query("af_spaced_scores")
+def af_spaced_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Free symbols scored by a substitution matrix: changes within A and G, or C and T, cost less than others."""
+    scores = {("A", "G"): -31, ("C", "T"): -31, ("A", "C"): -114, ("A", "T"): -123, ("C", "G"): -125, ("G", "T"): -114, ("A", "A"): 91, ("C", "C"): 100, ("G", "G"): 100, ("T", "T"): 91}
+    return spaced.distance(carriers.benchmark_items(spark, sf_dir), ["110010110010101100101"], scores=scores).select("i", "j", "n_match", r(F.col("value"), 6).alias("value"))
+
+
+_IID = f"WITH {C5}, {stat(4)}, {full_pairs()} SELECT i, j, round((sum(x * y) - sum(x) * sum(y) / 256) / sqrt(sum(x) / 256 * (1 - 1.0 / 256) * sum(y) / 256 * (1 - 1.0 / 256)), 3) + 0.0 AS value FROM pairs GROUP BY i, j"
+
+
+@query("af_d2z_iid", _IID)
+def af_d2z_iid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Moments of a count where all words are equally likely."""
+    return matrix.compute(groups(spark, sf_dir), [get("d2z", words=256, moments="iid")], "binned").select("i", "j", r(F.col("value"), 3).alias("value"))
 
 
 @query("benchmark_in_documents", f"WITH q AS (SELECT 'b' || item_id AS seq_id, {ACGT} AS residues FROM benchmark), d AS (SELECT CAST(doc_id AS VARCHAR) AS seq_id, {ACGT} AS residues FROM documents WHERE text IS NOT NULL), qk AS (SELECT DISTINCT seq_id, substr(residues, i, 16) AS feature FROM (SELECT seq_id, residues, unnest(range(1, length(residues) - 14)) AS i FROM q)), dk AS (SELECT DISTINCT seq_id, substr(residues, i, 16) AS feature FROM (SELECT seq_id, residues, unnest(range(1, length(residues) - 14)) AS i FROM d)), n AS (SELECT seq_id, count(*) AS n FROM qk GROUP BY seq_id), m AS (SELECT qk.seq_id AS i, dk.seq_id AS j, count(*) AS shared FROM qk JOIN dk USING (feature) GROUP BY ALL) SELECT i, j, {rs('1.0 * shared / n', 6)} AS contained FROM m JOIN n ON n.seq_id = i WHERE shared >= 0.5 * n")
@@ -164,14 +200,17 @@ def top_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return matrix.compute(groups(spark, sf_dir), ["intersection"], "binned").select("i", "j", "value").orderBy(F.col("value").desc(), "i", "j").limit(20)
 
 
-@query("quality_by_distance")
+_NEAREST = f"WITH seq AS (SELECT CAST(d.doc_id AS VARCHAR) AS seq_id, {ACGT} AS residues, quality FROM documents d JOIN labels USING (doc_id) WHERE text IS NOT NULL), {stat(4)}, {full_pairs()}, v AS (SELECT i, j, round(sum(abs(p - q)), 9) AS value FROM pairs GROUP BY i, j), s AS (SELECT i, j, value FROM v UNION ALL SELECT j, i, value FROM v), near AS (SELECT i, j FROM (SELECT i, j, row_number() OVER (PARTITION BY i ORDER BY value, j) AS rnk FROM s) WHERE rnk = 1) SELECT a.quality, count(*) AS n, CAST(sum(CASE WHEN a.quality = b.quality THEN 1 ELSE 0 END) AS BIGINT) AS agree FROM near JOIN seq a ON a.seq_id = near.i JOIN seq b ON b.seq_id = near.j GROUP BY a.quality"
+
+
+@query("quality_by_distance", _NEAREST)
 def quality_by_distance(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Whether a labelled document's nearest labelled neighbour has its label."""
+    """Whether a labelled document's nearest labelled neighbour has its label; of equally near ones that of the least name."""
     labels = carriers.table(spark, sf_dir, "labels", "doc_id", "quality").select(F.col("doc_id").cast("string").alias("seq_id"), "quality")
-    seq = carriers.documents(spark, sf_dir, below=PAIR_DOCS).join(F.broadcast(labels), "seq_id", "left_semi")
-    mat = matrix.compute(stats.normalise(stats.counts(seq, 4), "frequency"), ["manhattan"], "binned").select("i", "j", "value")
+    seq = carriers.documents(spark, sf_dir).join(labels, "seq_id", "left_semi")
+    mat = matrix.compute(stats.normalise(stats.counts(seq, 4), "frequency"), ["manhattan"], "auto").select("i", "j", F.round("value", 9).alias("value"))
     both = mat.unionByName(mat.select(F.col("j").alias("i"), F.col("i").alias("j"), "value"))
-    near = both.withColumn("rnk", F.row_number().over(Window.partitionBy("i").orderBy("value", "j"))).where("rnk = 1")
+    near = both.groupBy("i").agg(F.min(F.struct("value", "j")).alias("near")).select("i", "near.j")
     mine, other = labels.select(F.col("seq_id").alias("i"), "quality"), labels.select(F.col("seq_id").alias("j"), F.col("quality").alias("near_quality"))
     return near.join(mine, "i").join(other, "j").groupBy("quality").agg(F.count("*").alias("n"), F.sum((F.col("quality") == F.col("near_quality")).cast("bigint")).alias("agree"))
 
@@ -186,7 +225,7 @@ def configured_pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pipeline.run(spark, config)
 
 
-@query("embedding_matrix", "WITH e AS (SELECT vec_id, unnest(embedding)::DOUBLE AS v, generate_subscripts(embedding, 1) AS f FROM embeddings WHERE vec_id < 50) SELECT CAST(a.vec_id AS VARCHAR) AS i, CAST(c.vec_id AS VARCHAR) AS j, round(sqrt(sum((a.v - c.v) * (a.v - c.v))), 4) + 0.0 AS value FROM e a JOIN e c ON a.f = c.f AND CAST(a.vec_id AS VARCHAR) < CAST(c.vec_id AS VARCHAR) GROUP BY ALL")
+@query("embedding_matrix", "WITH e AS (SELECT vec_id, unnest(embedding)::DOUBLE AS v, generate_subscripts(embedding, 1) AS f FROM embeddings) SELECT CAST(a.vec_id AS VARCHAR) AS i, CAST(c.vec_id AS VARCHAR) AS j, round(sqrt(sum((a.v - c.v) * (a.v - c.v))), 4) + 0.0 AS value FROM e a JOIN e c ON a.f = c.f AND CAST(a.vec_id AS VARCHAR) < CAST(c.vec_id AS VARCHAR) GROUP BY ALL")
 def embedding_matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ready-made vectors as statistics."""
-    return matrix.compute(carriers.embedding_statistics(spark, sf_dir, 50), ["euclidean"], "none").select("i", "j", r(F.col("value")).alias("value"))
+    return matrix.compute(carriers.embedding_statistics(spark, sf_dir), ["euclidean"], "auto").select("i", "j", r(F.col("value")).alias("value"))

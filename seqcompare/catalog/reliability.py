@@ -11,14 +11,16 @@ from ..operators import noise, nullmodel, significance, stats, trees
 from ..plans import matrix
 from ..sources import carriers
 from . import comparison
-from .base import C5, FUNCTION_SQL, REPLICATES, USERS, bootstrap_sql, c4, full_pairs, query, r, rs, stat
+from .base import C4C, C5, COHORTS, FUNCTION_SQL, REPLICATES, bootstrap_sql, c4, full_pairs, query, r, rs, stat
 
 Q = 7
 TESTED = ("d2", "manhattan", "intersection", "euclidean")
+#: Functions whose values are whole numbers or one operation away, so that SQL elsewhere has the very same ones.
+EXACT = ("d2", "manhattan", "intersection", "sqeuclidean", "euclidean", "chebyshev")
 
 
-def users(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return carriers.user_events(spark, sf_dir, USERS)
+def cohorts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return carriers.event_cohorts(spark, sf_dir, COHORTS)
 
 
 for _q in (1, 7, 10):
@@ -45,25 +47,31 @@ def shuffle_null(spark: SparkSession, sf_dir: str) -> DataFrame:
     return nullmodel.shuffled(carriers.user_events(spark, sf_dir), 2).select("replicate", "seq_id", "residues")
 
 
-def _null_sql(names: tuple[str, ...]) -> str:
-    made = f"{c4(USERS)}, {bootstrap_sql(Q, REPLICATES)}, {stat(3, 'replicate, ', 'made')}, {full_pairs('CVPSE', 3, 'replicate, ')}"
+def _null_sql(names: tuple[str, ...], q: int = Q, replicates: int = REPLICATES, each: int | None = None) -> str:
+    made = f"{C4C}, {bootstrap_sql(q, replicates, each=each)}, {stat(3, 'replicate, ', 'made')}, {full_pairs('CVPSE', 3, 'replicate, ')}"
     return made + ", nulls AS (" + " UNION ALL ".join(f"SELECT '{n}' AS fn, replicate, i, j, {FUNCTION_SQL[n]} AS value FROM pairs GROUP BY replicate, i, j" for n in names) + ")"
 
 
-def _test_sql(names: tuple[str, ...]) -> str:
-    own = f"ostat AS (SELECT seq_id, substr(residues, i, 3) AS feature, count(*) AS value FROM (SELECT seq_id, residues, unnest(range(1, length(residues) - 1)) AS i FROM seq) GROUP BY ALL), oids AS (SELECT DISTINCT seq_id FROM ostat), owhole AS (SELECT oids.seq_id, feature, CAST(coalesce(value, 0) AS DOUBLE) AS v FROM oids CROSS JOIN dict LEFT JOIN ostat USING (seq_id, feature)), opairs AS (SELECT a.seq_id AS i, c.seq_id AS j, a.v AS x, c.v AS y FROM owhole a JOIN owhole c ON a.feature = c.feature AND a.seq_id < c.seq_id)"
-    seen = "obs AS (" + " UNION ALL ".join(f"SELECT '{n}' AS fn, i, j, {FUNCTION_SQL[n]} AS t FROM opairs GROUP BY i, j" for n in names) + ")"
-    beats = "CASE WHEN fn IN ('manhattan', 'euclidean') THEN value > t ELSE value < t END"
-    return f"{_null_sql(names)}, {own}, {seen}, p AS (SELECT fn, i, j, t, CAST(sum(CASE WHEN {beats} THEN 1 ELSE 0 END) AS BIGINT) AS beaten FROM obs JOIN nulls USING (fn, i, j) GROUP BY fn, i, j, t)"
+_FAR = "fn IN ('manhattan', 'euclidean', 'sqeuclidean', 'chebyshev')"
+
+
+def _seen_sql(names: tuple[str, ...]) -> str:
+    own = "ostat AS (SELECT seq_id, substr(residues, i, 3) AS feature, count(*) AS value FROM (SELECT seq_id, residues, unnest(range(1, length(residues) - 1)) AS i FROM seq) GROUP BY ALL), oids AS (SELECT DISTINCT seq_id FROM ostat), owhole AS (SELECT oids.seq_id, feature, CAST(coalesce(value, 0) AS DOUBLE) AS v FROM oids CROSS JOIN dict LEFT JOIN ostat USING (seq_id, feature)), opairs AS (SELECT a.seq_id AS i, c.seq_id AS j, a.v AS x, c.v AS y FROM owhole a JOIN owhole c ON a.feature = c.feature AND a.seq_id < c.seq_id)"
+    return f"{own}, obs AS (" + " UNION ALL ".join(f"SELECT '{n}' AS fn, i, j, {FUNCTION_SQL[n]} AS t FROM opairs GROUP BY i, j" for n in names) + ")"
+
+
+def _test_sql(names: tuple[str, ...], q: int = Q, replicates: int = REPLICATES, each: int | None = None) -> str:
+    beats = f"CASE WHEN {_FAR} THEN value > t ELSE value < t END"
+    return f"{_null_sql(names, q, replicates, each)}, {_seen_sql(names)}, p AS (SELECT fn, i, j, t, CAST(sum(CASE WHEN {beats} THEN 1 ELSE 0 END) AS BIGINT) AS beaten FROM obs JOIN nulls USING (fn, i, j) GROUP BY fn, i, j, t)"
 
 
 @query("null_matrix", f"WITH {_null_sql(TESTED)} SELECT fn, replicate, i, j, {rs('value')} AS value FROM nulls")
 def null_matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return significance.null_matrix(users(spark, sf_dir), list(TESTED), 3, Q, REPLICATES).select("fn", "replicate", "i", "j", r(F.col("value")).alias("value"))
+    return significance.null_matrix(cohorts(spark, sf_dir), list(TESTED), 3, Q, REPLICATES).select("fn", "replicate", "i", "j", r(F.col("value")).alias("value"))
 
 
 def _p(spark: SparkSession, sf_dir: str, names: tuple[str, ...]) -> DataFrame:
-    seq = users(spark, sf_dir)
+    seq = cohorts(spark, sf_dir)
     observed = matrix.compute(stats.counts(seq, 3), list(names), "none", k=3)
     return significance.pvalues(observed, significance.null_matrix(seq, list(names), 3, Q, REPLICATES), REPLICATES)
 
@@ -85,12 +93,22 @@ def pair_test_distance(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _shown(_p(spark, sf_dir, ("manhattan",)))
 
 
-@query("pair_scope_test")
+_SCOPED = f"""WITH {C4C.replace('seq AS', 'all_seq AS')}, names AS (SELECT DISTINCT seq_id FROM all_seq), scopes AS (SELECT a.seq_id AS i, b.seq_id AS j, a.seq_id || '|' || b.seq_id AS scope FROM names a JOIN names b ON a.seq_id < b.seq_id),
+seq AS (SELECT scope, all_seq.* FROM scopes JOIN all_seq ON seq_id IN (i, j)), {bootstrap_sql(Q, 4, 'scope, ')},
+ostat AS (SELECT scope, seq_id, substr(residues, i, 3) AS feature, count(*) AS value FROM (SELECT scope, seq_id, residues, unnest(range(1, length(residues) - 1)) AS i FROM seq) GROUP BY ALL),
+nstat AS (SELECT scope, replicate, seq_id, substr(residues, i, 3) AS feature, count(*) AS value FROM (SELECT scope, replicate, seq_id, residues, unnest(range(1, length(residues) - 1)) AS i FROM made) GROUP BY ALL),
+obs AS (SELECT a.scope, a.seq_id AS i, b.seq_id AS j, CAST(sum(a.value * b.value) AS DOUBLE) AS t FROM ostat a JOIN ostat b ON a.scope = b.scope AND a.feature = b.feature AND a.seq_id < b.seq_id GROUP BY ALL),
+nulls AS (SELECT a.scope, a.replicate, CAST(sum(a.value * b.value) AS DOUBLE) AS value FROM nstat a JOIN nstat b ON a.scope = b.scope AND a.replicate = b.replicate AND a.feature = b.feature AND a.seq_id < b.seq_id GROUP BY ALL)
+SELECT 'd2' AS fn, i, j, {rs('t')} AS t, CAST(sum(CASE WHEN value < t THEN 1 ELSE 0 END) AS BIGINT) AS beaten, {rs('1 - sum(CASE WHEN value < t THEN 1 ELSE 0 END) / 4.0', 6)} AS p FROM obs JOIN nulls USING (scope) GROUP BY i, j, t"""
+
+
+@query("pair_scope_test", _SCOPED)
 def pair_scope_test(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Null values from each pair's own words."""
-    seq = users(spark, sf_dir)
-    names = sorted(row.seq_id for row in seq.select("seq_id").collect())
-    return _shown(significance.pair_scope_test(seq, ["d2"], 3, Q, [(names[0], names[1]), (names[0], names[2])], 10))
+    """Null values from each pair's own words, for all pairs."""
+    seq = cohorts(spark, sf_dir)
+    names = seq.select("seq_id").distinct()
+    pairs = names.select(F.col("seq_id").alias("i")).join(F.broadcast(names.select(F.col("seq_id").alias("j"))), F.col("i") < F.col("j"))
+    return _shown(significance.pair_scope_test(seq, ["d2"], 3, Q, pairs, 4))
 
 
 _LEVEL = "0.01 / ((SELECT count(*) FROM lens) * ((SELECT count(*) FROM lens) - 1) / 2)"
@@ -98,7 +116,7 @@ _LEVEL = "0.01 / ((SELECT count(*) FROM lens) * ((SELECT count(*) FROM lens) - 1
 
 @query("matrix_test", f"WITH {_test_sql(TESTED)} SELECT fn, i, j, {rs(f'1 - beaten / {REPLICATES}.0', 6)} AS p, round({_LEVEL}, 9) AS level, 1 - beaten / {REPLICATES}.0 <= {_LEVEL} + 1e-15 AS reject FROM p")
 def matrix_test(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = significance.matrix_test(users(spark, sf_dir), list(TESTED), 3, Q, REPLICATES)
+    out = significance.matrix_test(cohorts(spark, sf_dir), list(TESTED), 3, Q, REPLICATES)
     return out.select("fn", "i", "j", r(F.col("p"), 6).alias("p"), F.round("level", 9).alias("level"), "reject")
 
 
@@ -107,14 +125,72 @@ _SUMMARY = f"s AS (SELECT fn, count(*) AS m, CAST(sum(CASE WHEN beaten = {REPLIC
 
 @query("significance_summary", f"WITH {_test_sql(TESTED)}, {_SUMMARY} SELECT fn, m, passed, {rs('passed / m', 6)} AS share, CASE WHEN passed / m >= 0.75 THEN 'green' WHEN passed = 0 THEN 'red' ELSE 'yellow' END AS class, passed / m >= 0.95 AS in_range FROM s")
 def significance_summary(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = significance.summary(significance.matrix_test(users(spark, sf_dir), list(TESTED), 3, Q, REPLICATES))
+    out = significance.summary(significance.matrix_test(cohorts(spark, sf_dir), list(TESTED), 3, Q, REPLICATES))
     return out.select("fn", "m", "passed", r(F.col("share"), 6).alias("share"), "class", significance.in_range(out).alias("in_range"))
 
 
-@query("consistent_set", f"WITH {_test_sql(TESTED)}, {_SUMMARY} SELECT fn, {rs('passed / m', 6)} AS min_share, passed / m >= 0.75 AS consistent FROM s")
+_QS, _FEW = (1, 7, 10), 5
+
+
+def _sweep_sql(names: tuple[str, ...]) -> str:
+    """Tests of each null model as a table of its own, then in one."""
+    parts = ", ".join(f"p{q} AS (SELECT * FROM (WITH {_test_sql(names, q, _FEW)} SELECT {q} AS q, fn, i, j, beaten FROM p))" for q in _QS)
+    return f"{parts}, p AS ({' UNION ALL '.join(f'SELECT * FROM p{q}' for q in _QS)}), s AS (SELECT q, fn, count(*) AS m, CAST(sum(CASE WHEN beaten = {_FEW} THEN 1 ELSE 0 END) AS BIGINT) AS passed FROM p GROUP BY q, fn)"
+
+
+def _exact_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    sig = significance.matrix_test(cohorts(spark, sf_dir), list(EXACT), 3, _QS, _FEW, strategy="binned", alphabet="CVPSE")
+    return significance.summary(sig, keys=("q", "fn"))
+
+
+@query("reliability_models", f"WITH {_sweep_sql(EXACT)} SELECT CAST(q AS INTEGER) AS q, fn, m, passed, {rs('passed / m', 6)} AS share, CASE WHEN passed / m >= 0.75 THEN 'green' WHEN passed = 0 THEN 'red' ELSE 'yellow' END AS class FROM s")
+def reliability_models(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All null models in one plan, for functions that SQL elsewhere has to the last bit."""
+    return _exact_sweep(spark, sf_dir).select("q", "fn", "m", "passed", r(F.col("share"), 6).alias("share"), "class")
+
+
+@query("consistent_models", f"WITH {_sweep_sql(EXACT)} SELECT fn, {rs('min(passed / m)', 6)} AS min_share, min(passed / m) >= 0.75 AS consistent FROM s GROUP BY fn")
+def consistent_models(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return significance.consistent(_exact_sweep(spark, sf_dir)).select("fn", r(F.col("min_share"), 6).alias("min_share"), "consistent")
+
+
+def _datasets(spark: SparkSession, sf_dir: str) -> dict[str, tuple[DataFrame, int, str]]:
+    return {"event_cohorts": (cohorts(spark, sf_dir), 3, "CVPSE"), "conversation_groups": (carriers.conversation_groups(spark, sf_dir), 4, "ACGT"), "benchmark_items": (carriers.benchmark_items(spark, sf_dir), 4, "ACGT")}
+
+
+@query("reliability_sweep")
+def reliability_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All eighteen functions on three datasets under null models of 1, 7 and 10 symbols."""
+    return experiments.reliability(_datasets(spark, sf_dir), replicates=_FEW)
+
+
+@query("consistent_set")
 def consistent_set(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = significance.consistent(significance.summary(significance.matrix_test(users(spark, sf_dir), list(TESTED), 3, Q, REPLICATES)))
-    return out.select("fn", r(F.col("min_share"), 6).alias("min_share"), "consistent")
+    """Functions whose share is high on all of the sweep's datasets and null models."""
+    return significance.consistent(experiments.reliability(_datasets(spark, sf_dir), replicates=_FEW))
+
+
+@query("reliability_groups")
+def reliability_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Histogram functions on all documents, by language and source."""
+    functions = experiments.histogram_functions(256)
+    sig = significance.matrix_test(carriers.language_sources(spark, sf_dir), functions, 4, _QS, 1, strategy="binned")
+    return significance.summary(sig, keys=("q", "fn"))
+
+
+@query("matrix_test_users")
+def matrix_test_users(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every user a sequence, all pairs of them: quadratic in the users."""
+    seq = carriers.user_events(spark, sf_dir)
+    return significance.matrix_test(seq, ["d2", "manhattan"], 3, Q, 2, strategy="binned", alphabet="CVPSE").select("fn", "i", "j", "beaten", "p", "reject")
+
+
+@query("af_d2z_null")
+def af_d2z_null(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """D2 on the scale of its null values."""
+    seq = cohorts(spark, sf_dir)
+    observed = matrix.compute(stats.counts(seq, 3), ["d2"], "binned", k=3)
+    return significance.standardised(observed, significance.null_matrix(seq, ["d2"], 3, Q, REPLICATES)).select("i", "j", r(F.col("value"), 4).alias("value"))
 
 
 @query("pvalue_rank", f"WITH {_test_sql(TESTED)} SELECT fn, i, j, {rs('percent_rank() OVER (PARTITION BY fn ORDER BY beaten)', 6)} AS pr, {rs('cume_dist() OVER (PARTITION BY fn ORDER BY beaten)', 6)} AS cd FROM p")
@@ -127,27 +203,17 @@ def pvalue_rank(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("null_quantiles", f"WITH {_null_sql(TESTED)} SELECT fn, {rs('quantile_cont(value, 0.5)')} AS q50, {rs('quantile_cont(value, 0.95)')} AS q95, {rs('quantile_cont(value, 0.99)')} AS q99 FROM nulls GROUP BY fn")
 def null_quantiles(spark: SparkSession, sf_dir: str) -> DataFrame:
-    nulls = significance.null_matrix(users(spark, sf_dir), list(TESTED), 3, Q, REPLICATES)
+    nulls = significance.null_matrix(cohorts(spark, sf_dir), list(TESTED), 3, Q, REPLICATES)
     return nulls.groupBy("fn").agg(*(r(F.percentile("value", F.lit(p))).alias(n) for n, p in (("q50", 0.5), ("q95", 0.95), ("q99", 0.99))))
 
 
-@query("reliability_sweep")
-def reliability_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All histogram functions on users' sequences under null models of 1, 7 and 10 symbols."""
-    functions = experiments.histogram_functions(125)
-    functions = [f for f in functions if f.name not in ("d2s", "d2star")]
-    return experiments.reliability({"user_events": users(spark, sf_dir)}, functions, 3, replicates=5)
-
-
 @query("spaced_significance")
 def spaced_significance(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The spaced-word distance's p-values, with no estimate as the farthest."""
-    seq = carriers.benchmark_items(spark, sf_dir).where("part_id < 12")
-    pattern = ["1100101100101011"]
-    from ..functions import spaced
-
-    observed = spaced.distance(seq, pattern).select(F.lit("spaced").alias("fn"), "i", "j", "value")
-    nulls = experiments.spaced_null(seq, pattern, 7, 5)
+    """The spaced-word distance's p-values on all passages, with no estimate as the farthest."""
+    seq = carriers.benchmark_items(spark, sf_dir)
+    observed = experiments.spaced_values(seq, [experiments.PATTERN])
+    made, keys = significance.synthesised(seq, 7, 5, overlap=len(experiments.PATTERN) - 1)
+    nulls = experiments.spaced_values(made, [experiments.PATTERN], keys=keys)
     return significance.pvalues(observed, nulls, 5).select("fn", "i", "j", r(F.col("t"), 6).alias("t"), "beaten", r(F.col("p"), 6).alias("p"))
 
 
@@ -170,7 +236,7 @@ def noise_additive(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("noise_histogram", f"WITH {_test_sql(('d2',))}, mat AS (SELECT i, j, t AS value FROM obs), {_RANKED}, rn AS (SELECT value AS null_value, row_number() OVER (ORDER BY replicate, i, j) AS place FROM nulls), ch AS (SELECT *, CASE WHEN rank <= ceil(round(CAST(level AS DOUBLE) * m, 9)) THEN ('0x' || substr(md5('1|value|' || trial || '|' || i || '|' || j), 1, 15))::BIGINT % (SELECT max(place) FROM rn) + 1 END AS place FROM rk, lv) SELECT CAST(level AS DOUBLE) AS level, CAST(trial AS INTEGER) AS trial, i, j, coalesce(null_value, value) AS value FROM ch LEFT JOIN rn USING (place)")
 def noise_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
-    seq = users(spark, sf_dir)
+    seq = cohorts(spark, sf_dir)
     observed = matrix.compute(stats.counts(seq, 3), ["d2"], "none")
     nulls = significance.null_matrix(seq, ["d2"], 3, Q, REPLICATES)
     return noise.from_nulls(noise.select(observed, [0.02, 0.1, 0.5], 2), nulls).select("level", F.col("trial").cast("int").alias("trial"), "i", "j", "value")
@@ -192,22 +258,21 @@ def nj_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("rf_distance")
 def rf_distance(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return trees.scores(trees.build(_group_distances(spark, sf_dir), ["fn"]), experiments.taxonomy_newick(spark, sf_dir), ("rf",)).drop("newick")
+    return trees.scores(trees.build(_group_distances(spark, sf_dir), ["fn"]), experiments.group_taxonomy(carriers.language_sources(spark, sf_dir)), ("rf",)).drop("newick")
 
 
 @query("matching_cluster")
 def matching_cluster(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return trees.scores(trees.build(_group_distances(spark, sf_dir), ["fn"]), experiments.taxonomy_newick(spark, sf_dir), ("mc",)).drop("newick")
+    return trees.scores(trees.build(_group_distances(spark, sf_dir), ["fn"]), experiments.group_taxonomy(carriers.language_sources(spark, sf_dir)), ("mc",)).drop("newick")
 
 
 def _nation_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The nations' curve against regions: a small one, for reports."""
+    """The nations' curve against regions, with added noise, as these histograms have no null model."""
     region = carriers.table(spark, sf_dir, "region")
     nation = carriers.table(spark, sf_dir, "nation").join(F.broadcast(region), F.col("n_regionkey") == F.col("r_regionkey"))
-    gold = trees.newick(trees.from_taxonomy([(x.r_name, x.n_name) for x in nation.select("r_name", "n_name").collect()]))
     mat = matrix.compute(carriers.nation_histograms(spark, sf_dir), ["d2", "manhattan"], "none")
-    noisy = noise.additive(noise.select(mat, [0.0, 0.02, 0.1, 0.5], 3))
-    return experiments.curve_scores(noisy, gold)
+    noisy = noise.additive(noise.select(mat, list(experiments.LEVELS), 3))
+    return experiments.curve_scores(noisy, experiments.taxonomy_newick(nation.select("r_name", "n_name")))
 
 
 @query("noise_curve_nations")
@@ -215,24 +280,68 @@ def noise_curve_nations(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _nation_curve(spark, sf_dir)
 
 
+def _study(spark: SparkSession, sf_dir: str) -> DataFrame:
+    seq = carriers.conversation_groups(spark, sf_dir)
+    return experiments.noise_study(seq, experiments.group_taxonomy(seq))
+
+
 @query("noise_curve")
 def noise_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return experiments.noise_curve(spark, sf_dir, ["d2", "manhattan"], levels=(0.0, 0.1, 0.5), trials=1, replicates=1)
+    """D2, D2S, D2Z, D2* and the spaced-word distance on groups of conversations, for three null models, all levels and three trials."""
+    return _study(spark, sf_dir)
+
+
+@query("noise_curve_groups")
+def noise_curve_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """D2 and D2* on all documents by language and source, values drawn from null matrices."""
+    seq = carriers.language_sources(spark, sf_dir)
+    return experiments.noise_study(seq, experiments.group_taxonomy(seq), ("d2", "d2star"), levels=(0.0, 0.1, 0.5), trials=2, replicates=1, with_spaced=False)
 
 
 @query("noise_loss")
 def noise_loss(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return noise.loss(_nation_curve(spark, sf_dir))
+    return noise.loss(_study(spark, sf_dir), ("q",))
 
 
 @query("noise_report")
 def noise_report(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return noise.report(noise.loss(_nation_curve(spark, sf_dir)))
+    return noise.report(noise.loss(_study(spark, sf_dir), ("q",)), keys=("q",))
 
 
 @query("noise_breakpoint")
 def noise_breakpoint(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return noise.breakpoint(noise.loss(_nation_curve(spark, sf_dir)))
+    return noise.breakpoint(noise.loss(_study(spark, sf_dir), ("q",)), keys=("q",))
+
+
+# The arithmetic of losses over a fixed table of scores, which SQL elsewhere has, too.
+
+_SCORES = "sc AS (SELECT 'f' || (n_nationkey % 3) AS fn, CASE WHEN n_nationkey % 2 = 0 THEN 'nj' ELSE 'upgma' END AS builder, 'rf' AS metric, CAST(n_nationkey // 6 AS INTEGER) AS trial, level, CAST((n_nationkey % 6) * 10 + n_nationkey % 6 * level * (n_nationkey // 6 - 1) * 20 + CASE WHEN n_nationkey % 6 = 0 THEN level * 8 ELSE 0 END AS DOUBLE) AS score FROM nation, (VALUES (CAST(0.0 AS DOUBLE)), (0.1), (0.5)) lv(level) WHERE n_nationkey < 24)"
+_LOSSES = f"{_SCORES}, ls AS (SELECT a.fn, a.builder, a.metric, a.trial, a.level, b.score AS clean, a.score AS noisy, a.score - b.score AS delta FROM sc a JOIN sc b ON a.fn = b.fn AND a.builder = b.builder AND a.trial = b.trial AND b.level = 0)"
+
+
+def _fixed_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    n = F.col("n_nationkey")
+    levels = F.explode(F.array(*(F.lit(x) for x in (0.0, 0.1, 0.5)))).alias("level")
+    rows = carriers.table(spark, sf_dir, "nation", "n_nationkey").where(n < 24).select("n_nationkey", levels)
+    score = (n % 6) * 10 + n % 6 * F.col("level") * (F.floor(n / 6) - 1) * 20 + F.when(n % 6 == 0, F.col("level") * 8).otherwise(0)
+    return rows.select(F.concat(F.lit("f"), (n % 3).cast("string")).alias("fn"), F.when(n % 2 == 0, "nj").otherwise("upgma").alias("builder"), F.lit("rf").alias("metric"), F.floor(n / 6).cast("int").alias("trial"), "level", score.cast("double").alias("score"))
+
+
+@query("loss_arithmetic", f"WITH {_LOSSES} SELECT fn, builder, metric, trial, level, {rs('clean')} AS clean, {rs('noisy')} AS noisy, {rs('delta')} AS delta, CASE WHEN clean = 0 THEN CASE WHEN delta = 0 THEN '0.0' ELSE 'Inf' END ELSE format('{{:.1f}}', 100 * delta / clean) END AS pct FROM ls")
+def loss_arithmetic(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = noise.loss(_fixed_scores(spark, sf_dir))
+    return out.select("fn", "builder", "metric", "trial", "level", *(r(F.col(c)).alias(c) for c in ("clean", "noisy", "delta")), "pct")
+
+
+@query("report_arithmetic", f"WITH {_LOSSES}, rp AS (SELECT fn, builder, metric, avg(delta) AS delta, avg(clean) AS clean FROM ls WHERE level = 0.1 GROUP BY ALL) SELECT fn, builder, metric, {rs('delta')} AS delta, CASE WHEN abs(delta) <= 3 THEN '-' WHEN clean = 0 THEN 'Inf' ELSE format('{{:.1f}}', 100 * delta / clean) END AS shown FROM rp")
+def report_arithmetic(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = noise.report(noise.loss(_fixed_scores(spark, sf_dir)))
+    return out.select("fn", "builder", "metric", r(F.col("delta")).alias("delta"), "shown")
+
+
+@query("breakpoint_arithmetic", f"WITH {_LOSSES}, lv AS (SELECT fn, builder, metric, level, avg(noisy) AS noisy, avg(clean) AS clean FROM ls GROUP BY ALL) SELECT fn, builder, metric, min(CASE WHEN level > 0 AND noisy >= 1.1 * clean AND noisy > clean THEN level END) AS level FROM lv GROUP BY fn, builder, metric")
+def breakpoint_arithmetic(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return noise.breakpoint(noise.loss(_fixed_scores(spark, sf_dir)))
 
 
 @query("sketch_error")
@@ -242,27 +351,27 @@ def sketch_errors(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("strategy_times")
 def strategy_times(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds of all histogram functions under three plans; the figures change with the machine."""
-    functions = experiments.histogram_functions(125)
-    return experiments.strategies(spark, stats.counts(users(spark, sf_dir), 3), functions, 3).select("strategy", "entries")
+    """One significance instance of all histogram functions at three sizes under three plans: seconds, and what was shuffled."""
+    sizes = {"small": (cohorts(spark, sf_dir), 3, "CVPSE"), "large": (carriers.conversation_groups(spark, sf_dir), 6, "ACGT"), "very large": (carriers.language_sources(spark, sf_dir), 6, "ACGT")}
+    return experiments.strategies(sizes)
 
 
 @query("scaling")
 def scaling(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds for one and two workers of the sketch distance, here and in one process."""
-    return experiments.scaling(spark, carriers.documents(spark, sf_dir, below=40), (1, 2), k=12, size=200)
+    """Seconds for one, two and four workers of the sketch distance and of a binned matrix, here and in one process."""
+    return experiments.scaling(carriers.language_sources(spark, sf_dir), (1, 2, 4))
 
 
 @query("scaling_spaced")
 def scaling_spaced(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The same for the spaced-word distance, on short passages."""
-    return experiments.scaling(spark, carriers.benchmark_items(spark, sf_dir).where("part_id < 20"), (1, 2), "spaced")
+    """The same for the spaced-word distance, on all passages."""
+    return experiments.scaling(carriers.benchmark_items(spark, sf_dir), (1, 2, 4), "spaced")
 
 
-@query("early_stop")
+@query("early_stop", f"WITH {_test_sql(('d2', 'manhattan'), Q, 4, 2)} SELECT fn, i, j, {rs('t')} AS value FROM p WHERE beaten = 4")
 def early_stop(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Entries that no null value of two batches reaches: only these can pass at few replicates."""
-    return significance.early_stop(users(spark, sf_dir), ["d2", "manhattan"], 3, Q, 2, 5).select("fn", "i", "j", r(F.col("value")).alias("value"))
+    return significance.early_stop(cohorts(spark, sf_dir), ["d2", "manhattan"], 3, Q, 2, 2).select("fn", "i", "j", r(F.col("value")).alias("value"))
 
 
 @query("mixed_sizes")

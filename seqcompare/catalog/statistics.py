@@ -45,7 +45,7 @@ def kmer_packed(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts.select("seq_id", stats.packed(F.col("feature")).alias("packed"), F.col("value").cast("bigint").alias("value"))
 
 
-@query("kmer_no_n", f"WITH {c1(None, ACGTN)}, {stat(4)} SELECT * FROM stat WHERE NOT contains(feature, 'N')")
+@query("kmer_no_n", f"WITH {c1(ACGTN)}, {stat(4)} SELECT * FROM stat WHERE NOT contains(feature, 'N')")
 def kmer_no_n(spark: SparkSession, sf_dir: str) -> DataFrame:
     return value_long(stats.counts(carriers.documents(spark, sf_dir, carriers.acgtn), 4, without="N"))
 
@@ -73,7 +73,7 @@ def allowlist_semi(spark: SparkSession, sf_dir: str) -> DataFrame:
     return value_long(stats.only_in(_doc_words(spark, sf_dir), _bench_words(spark, sf_dir)))
 
 
-@query("alphabet_filter", f"WITH {c1(None, ACGTN)}, {stat(3)} SELECT * FROM stat WHERE regexp_full_match(feature, '[ACGT]+')")
+@query("alphabet_filter", f"WITH {c1(ACGTN)}, {stat(3)} SELECT * FROM stat WHERE regexp_full_match(feature, '[ACGT]+')")
 def alphabet_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return value_long(stats.alphabet(stats.counts(carriers.documents(spark, sf_dir, carriers.acgtn), 3), "ACGT"))
 

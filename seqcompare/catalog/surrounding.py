@@ -161,9 +161,9 @@ def props_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
     return carriers.table(spark, sf_dir, "events", "props").groupBy(F.from_json("props", "k int").k.alias("k")).agg(F.count("*").alias("n"))
 
 
-@query("embedding_distances", "WITH e AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS v FROM embeddings WHERE vec_id < 50) SELECT a.vec_id AS i, c.vec_id AS j, round(list_distance(a.v, c.v), 4) + 0.0 AS euclid, round(list_sum(list_transform(list_zip(a.v, c.v), lambda z: abs(z[1] - z[2]))), 4) + 0.0 AS manhattan, round(list_max(list_transform(list_zip(a.v, c.v), lambda z: abs(z[1] - z[2]))), 4) + 0.0 AS chebyshev, round(list_cosine_similarity(a.v, c.v), 4) + 0.0 AS cosine FROM e a JOIN e c ON a.vec_id < c.vec_id")
+@query("embedding_distances", "WITH e AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS v FROM embeddings) SELECT a.vec_id AS i, c.vec_id AS j, round(list_distance(a.v, c.v), 4) + 0.0 AS euclid, round(list_sum(list_transform(list_zip(a.v, c.v), lambda z: abs(z[1] - z[2]))), 4) + 0.0 AS manhattan, round(list_max(list_transform(list_zip(a.v, c.v), lambda z: abs(z[1] - z[2]))), 4) + 0.0 AS chebyshev, round(list_cosine_similarity(a.v, c.v), 4) + 0.0 AS cosine FROM e a JOIN e c ON a.vec_id < c.vec_id")
 def embedding_distances(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = carriers.table(spark, sf_dir, "embeddings", "vec_id", "embedding").where("vec_id < 50").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
+    e = carriers.table(spark, sf_dir, "embeddings", "vec_id", "embedding").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
     a, b = e.select(F.col("vec_id").alias("i"), F.col("v").alias("a")), e.select(F.col("vec_id").alias("j"), F.col("v").alias("b"))
     total = lambda c: F.aggregate(c, F.lit(0.0), lambda s, x: s + x)
     off = F.zip_with("a", "b", lambda x, y: x - y)
@@ -192,9 +192,9 @@ def encode_check(spark: SparkSession, sf_dir: str) -> DataFrame:
     return carriers.documents(spark, sf_dir).select("seq_id", F.md5("residues").alias("md5"))
 
 
-@query("levenshtein_pairs", f"WITH b AS (SELECT item_id, substr({ACGT}, 1, 60) AS t FROM benchmark WHERE item_id < 10) SELECT x.item_id AS i, y.item_id AS j, CAST(levenshtein(x.t, y.t) AS INTEGER) AS d FROM b x JOIN b y ON x.item_id < y.item_id")
+@query("levenshtein_pairs", f"WITH b AS (SELECT item_id, {ACGT} AS t FROM benchmark) SELECT x.item_id AS i, y.item_id AS j, CAST(levenshtein(x.t, y.t) AS INTEGER) AS d FROM b x JOIN b y ON x.item_id < y.item_id")
 def levenshtein_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    b = carriers.table(spark, sf_dir, "benchmark", "item_id", "text").where("item_id < 10").select("item_id", F.substring(carriers.acgt(F.col("text")), 1, 60).alias("t"))
+    b = carriers.table(spark, sf_dir, "benchmark", "item_id", "text").select("item_id", carriers.acgt(F.col("text")).alias("t"))
     x, y = b.select(F.col("item_id").alias("i"), F.col("t").alias("a")), b.select(F.col("item_id").alias("j"), F.col("t").alias("b"))
     return x.join(F.broadcast(y), F.col("i") < F.col("j")).select("i", "j", F.levenshtein("a", "b").alias("d"))
 
@@ -215,11 +215,11 @@ def language_vocabulary(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _doc_words(spark, sf_dir).join(langs, "seq_id").select("lang", "feature").distinct().groupBy("lang").agg(F.count("*").alias("n"))
 
 
-_D2_USERS = f"WITH {c4(40)}, {stat(3)}, met AS (SELECT a.seq_id AS i, c.seq_id AS j, sum(a.value * c.value) AS value FROM stat a JOIN stat c ON a.feature = c.feature AND a.seq_id < c.seq_id GROUP BY ALL) SELECT i, j, CAST(value AS DOUBLE) AS value FROM met"
+_D2_USERS = f"WITH {c4()}, {stat(3)}, met AS (SELECT a.seq_id AS i, c.seq_id AS j, sum(a.value * c.value) AS value FROM stat a JOIN stat c ON a.feature = c.feature AND a.seq_id < c.seq_id GROUP BY ALL) SELECT i, j, CAST(value AS DOUBLE) AS value FROM met"
 
 
 def _users(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return value_long(stats.counts(carriers.user_events(spark, sf_dir, 40), 3))
+    return value_long(stats.counts(carriers.user_events(spark, sf_dir), 3))
 
 
 @register_function("udf_product", "similarity")
@@ -244,7 +244,7 @@ def _times(x: pd.Series, y: pd.Series) -> pd.Series:
     return x * y
 
 
-@query("grouped_agg_udf", f"WITH {c4(40)}, {stat(3)} SELECT seq_id, CAST(max(value) - min(value) AS DOUBLE) AS spread FROM stat GROUP BY seq_id")
+@query("grouped_agg_udf", f"WITH {c4()}, {stat(3)} SELECT seq_id, CAST(max(value) - min(value) AS DOUBLE) AS spread FROM stat GROUP BY seq_id")
 def grouped_agg_udf(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A user's combiner on the values of a group."""
     spread = pandas_udf(_spread, "double")
@@ -264,10 +264,10 @@ class Kmers:
             yield (text[i : i + k],)
 
 
-@query("udtf_kmers", f"WITH {c4(40)}, {stat(3)} SELECT * FROM stat")
+@query("udtf_kmers", f"WITH {c4()}, {stat(3)} SELECT * FROM stat")
 def udtf_kmers(spark: SparkSession, sf_dir: str) -> DataFrame:
     spark.udtf.register("kmers", Kmers)
-    carriers.user_events(spark, sf_dir, 40).createOrReplaceTempView("user_seq")
+    carriers.user_events(spark, sf_dir).createOrReplaceTempView("user_seq")
     return spark.sql("SELECT seq_id, k.feature, count(*) AS value FROM user_seq, LATERAL kmers(residues, 3) k GROUP BY ALL")
 
 

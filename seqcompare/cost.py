@@ -1,12 +1,14 @@
-"""Cost and accuracy measures: elapsed time, shuffles of a plan, sketch error."""
+"""Cost and accuracy measures: elapsed time, what jobs shuffled, shuffles of a plan, sketch error."""
 
 from __future__ import annotations
 
 import re
 import time
+import uuid
 from collections.abc import Callable
+from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -16,6 +18,49 @@ def timed(action: Callable[[], object]) -> tuple[float, object]:
     return time.perf_counter() - start, out
 
 
+@dataclass
+class Measured:
+    """What an action took: elapsed seconds of its jobs as Spark has them, and of the wall clock; bytes and records that its stages shuffled."""
+
+    seconds: float
+    wall: float
+    shuffle_bytes: int
+    shuffle_records: int
+    result: object
+
+
+def measured(spark: SparkSession, action: Callable[[], object]) -> Measured:
+    sc, group = spark.sparkContext, uuid.uuid4().hex
+    sc.setJobGroup(group, "measured")
+    try:
+        wall, out = timed(action)
+    finally:
+        sc.setLocalProperty("spark.jobGroup.id", None)
+        sc.setLocalProperty("spark.job.description", None)
+    core = sc._jsc.sc()
+    core.listenerBus().waitUntilEmpty()
+    store, tracker = core.statusStore(), sc.statusTracker()
+    spans, stages = [], set()
+    for job in tracker.getJobIdsForGroup(group):
+        data = store.job(job)
+        if data.submissionTime().isDefined() and data.completionTime().isDefined():
+            spans.append((data.submissionTime().get().getTime(), data.completionTime().get().getTime()))
+        stages.update(tracker.getJobInfo(job).stageIds)
+    moved = [0, 0]
+    for stage in stages:
+        try:
+            data = store.lastStageAttempt(stage)
+        except Exception:  # a stage that was skipped, as its output was there, has no attempt
+            continue
+        moved[0] += data.shuffleWriteBytes()
+        moved[1] += data.shuffleWriteRecords()
+    busy, end = 0, 0
+    for lo, hi in sorted(spans):  # jobs that overlap count once
+        busy += max(0, hi - max(lo, end))
+        end = max(end, hi)
+    return Measured(busy / 1000, wall, moved[0], moved[1], out)
+
+
 def plan_of(df: DataFrame) -> str:
     return df._jdf.queryExecution().executedPlan().toString()
 

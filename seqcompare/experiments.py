@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import baselines
+from . import baselines, cost
+from .cost import timed
 from .functions import sketch, spaced
 from .functions.library import HISTOGRAM, get
 from .operators import noise, significance, stats, trees
@@ -17,110 +19,157 @@ from .plans import matrix
 from .sources import carriers
 
 LEVELS = (0.0, 0.02, 0.04, 0.06, 0.08, 0.10, 0.2, 0.5, 0.9)
+QS = (1, 7, 10)
+PATTERN = "1100101100101011"
+#: Functions of the robustness study: those that hold on all datasets, and the two nearest to them.
+ROBUST = ("d2", "d2s", "d2z", "d2star")
 
 
-def timed(action: Callable[[], object]) -> tuple[float, object]:
-    start = time.perf_counter()
-    out = action()
-    return time.perf_counter() - start, out
+def histogram_functions(words: int, names: tuple[str, ...] = HISTOGRAM) -> list:
+    return [get(n, words=words) if n == "d2z" else get(n) for n in names]
 
 
-def histogram_functions(words: int) -> list:
-    return [get(n, words=words) if n == "d2z" else get(n) for n in HISTOGRAM]
+def sketch_values(seq: DataFrame, k: int, size: int, keys: tuple[str, ...] = ()) -> DataFrame:
+    found = sketch.matrix(sketch.sketches(seq, k, size, canonical=False, keys=keys), k, size, keys)
+    return found.select(*keys, F.lit("minhash").alias("fn"), "i", "j", "value")
 
 
-def spaced_null(seq: DataFrame, patterns: list[str], q: int, replicates: int, seed: int = 1) -> DataFrame:
-    """(fn, replicate, i, j, value): the spaced-word distance on synthetic sequences, which carry their replicate in their name."""
-    from .operators import nullmodel
+def spaced_values(seq: DataFrame, patterns: list[str], alphabet: str = "ACGT", keys: tuple[str, ...] = (), **options) -> DataFrame:
+    found = spaced.distance(seq, patterns, alphabet=alphabet, keys=keys, **options)
+    return found.select(*keys, F.lit("spaced").alias("fn"), "i", "j", "value")
 
-    made = nullmodel.bootstrap(seq, q, replicates, seed).withColumn("seq_id", F.concat_ws("\x01", F.col("replicate").cast("string"), "seq_id")).drop("replicate")
-    found = spaced.distance(made, patterns)
-    a, b = F.split("i", "\x01"), F.split("j", "\x01")
-    return found.where(a[0] == b[0]).select(F.lit("spaced").alias("fn"), a[0].cast("int").alias("replicate"), a[1].alias("i"), b[1].alias("j"), "value")
 
+def all_tests(seq: DataFrame, k: int, alphabet: str, qs: tuple[int, ...] = QS, replicates: int = 100, alpha: float = 0.01, seed: int = 1, sketch_k: int = 8, size: int = 256, patterns: tuple[str, ...] = (PATTERN,), strategy: str = "binned", **options) -> DataFrame:
+    """(q, fn, i, j, t, beaten, p, level, reject): every entry of all eighteen functions under every null model.
 
-def reliability(seqs: dict[str, DataFrame], functions: list, k: int, qs: tuple[int, ...] = (1, 7, 10), replicates: int = 100, alpha: float = 0.01) -> DataFrame:
-    """(dataset, q, fn, m, passed, share, class): every function on every dataset under every null model."""
-    out = None
-    for name, seq in seqs.items():
-        for q in qs:
-            sig = significance.matrix_test(seq, functions, k, q, replicates, alpha)
-            part = significance.summary(sig).select(F.lit(name).alias("dataset"), F.lit(q).alias("q"), "fn", "m", "passed", "share", "class")
-            out = part if out is None else out.unionByName(part)
-    return out
+    Histogram functions share one plan for all null models and replicates; the sketch and the spaced-word distance have
+    theirs, on the same synthetic sequences.
+    """
+    histogram = significance.matrix_test(seq, histogram_functions(len(alphabet) ** k), k, qs, replicates, alpha, seed, strategy, alphabet=alphabet)
+    tests = [histogram]
+    for values, span in (
+        (lambda s, keys: sketch_values(s, sketch_k, size, keys), sketch_k),
+        (lambda s, keys: spaced_values(s, list(patterns), alphabet, keys, **options), max(map(len, patterns))),
+    ):
+        made, inner = significance.synthesised(seq, qs, replicates, seed, overlap=span - 1)
+        p = significance.pvalues(values(seq, ()), values(made, inner), replicates, keys=("q",))
+        tests.append(significance.bonferroni(p, significance.entries_of(seq), alpha))
+    return reduce(lambda a, b: a.unionByName(b.select(a.columns)), tests)
 
 
-def consistent(summaries: DataFrame, share: float = 0.75) -> DataFrame:
-    return significance.consistent(summaries, share)
+def reliability(datasets: dict[str, tuple[DataFrame, int, str]], qs: tuple[int, ...] = QS, replicates: int = 100, alpha: float = 0.01, **options) -> DataFrame:
+    """(dataset, q, fn, m, passed, share, class): every function on every dataset (sequences, k, alphabet) under every null model."""
+    tests = [all_tests(seq, k, alphabet, qs, replicates, alpha, **options).withColumn("dataset", F.lit(name)) for name, (seq, k, alphabet) in datasets.items()]
+    return significance.summary(reduce(DataFrame.unionByName, tests), keys=("dataset", "q", "fn"))
 
 
-def taxonomy_newick(spark: SparkSession, sf_dir: str) -> str:
-    """Languages, and their sources under them, as the gold tree of the groups."""
-    rows = carriers.table(spark, sf_dir, "documents", "lang", "source").distinct().collect()
-    return trees.newick(trees.from_taxonomy([(r.lang, f"{r.lang}/{r.source}") for r in rows]))
+def taxonomy_newick(rows: DataFrame) -> str:
+    """Rows of (group, leaf) as a gold tree; leaves are few, a row each in the result."""
+    return trees.newick(trees.from_taxonomy(sorted(tuple(r) for r in rows.distinct().collect())))
 
 
-def noise_curve(spark: SparkSession, sf_dir: str, functions: list[str], k: int = 4, q: int = 1, levels: tuple[float, ...] = LEVELS, trials: int = 3, replicates: int = 3, seed: int = 1) -> DataFrame:
-    """(fn, builder, metric, level, trial, score): tree distances from the taxonomy as entries are replaced by null values."""
-    seq = carriers.language_sources(spark, sf_dir)
-    observed = matrix.compute(stats.counts(seq, k), functions, "binned", k=k)
-    nulls = significance.null_matrix(seq, functions, k, q, replicates, seed)
-    noisy = noise.from_nulls(noise.select(observed, list(levels), trials, seed), nulls, seed)
-    return curve_scores(noisy, taxonomy_newick(spark, sf_dir))
+def group_taxonomy(seq: DataFrame) -> str:
+    """Groups named before the slash of a sequence's name."""
+    return taxonomy_newick(seq.select(F.split("seq_id", "/")[0].alias("group"), "seq_id"))
 
 
-def curve_scores(noisy: DataFrame, gold: str) -> DataFrame:
-    from pyspark.sql import Window
+def noise_study(seq: DataFrame, gold: str, names: tuple[str, ...] = ROBUST, k: int = 4, qs: tuple[int, ...] = QS, levels: tuple[float, ...] = LEVELS, trials: int = 3, replicates: int = 2, seed: int = 1, patterns: tuple[str, ...] = (PATTERN,), with_spaced: bool = True) -> DataFrame:
+    """(q, fn, builder, metric, level, trial, score): tree distances from the gold tree as entries turn to noise.
 
-    kinds = {f: significance.kind_of(f) for f in HISTOGRAM if f != "d2z"}
-    similar = F.col("fn").isin([f for f, kind in kinds.items() if kind == "similarity"] + ["d2z"])
-    w = Window.partitionBy("fn", "level", "trial")
-    value = F.coalesce("value", F.max("value").over(w))
-    far = noisy.withColumn("value", value).withColumn("value", F.when(similar, F.max("value").over(w) - F.col("value")).otherwise(F.col("value")))
-    built = trees.build(far.select("fn", "level", "trial", "i", "j", "value"), ["fn", "level", "trial"])
+    Entries of histogram functions take values of the null matrices of q; those of the spaced-word distance, whose null
+    matrices have gaps, gain a uniform value instead, the same for every q.
+    """
+    spark, functions = seq.sparkSession, histogram_functions(4**k, names)
+    models = F.broadcast(spark.createDataFrame([(q,) for q in qs], "q int"))
+    observed = matrix.compute(stats.counts(seq, k), functions, "binned", k=k)
+    nulls = significance.null_matrix(seq, functions, k, qs, replicates, seed, strategy="binned")
+    chosen = noise.select(observed, list(levels), trials, seed).join(models, F.lit(True))
+    noisy = noise.from_nulls(chosen, nulls, seed, ("q",)).select("q", "fn", "level", "trial", "i", "j", "value")
+    if with_spaced:
+        own = noise.additive(noise.select(spaced_values(seq, list(patterns)), list(levels), trials, seed), seed=seed).join(models, F.lit(True))
+        noisy = noisy.unionByName(own.select(noisy.columns))
+    return curve_scores(noisy, gold, ("q",))
+
+
+def as_distances(noisy: DataFrame, keys: tuple[str, ...], kinds: dict[str, str] | None = None) -> DataFrame:
+    """Similarities become the largest of their matrix less the value; then null ones the largest distance of it."""
+    similar = F.col("fn").isin([f for f in [*HISTOGRAM, "minhash", "spaced"] if significance.kind_of(f, kinds) == "similarity"])
+    by = [*keys, "fn", "level", "trial"]
+    range_of = noisy.groupBy(*by).agg(F.max("value").alias("top"), F.min("value").alias("low"))
+    far = F.when(similar, F.col("top") - F.col("value")).otherwise(F.col("value"))
+    farthest = F.coalesce(F.when(similar, F.col("top") - F.col("low")).otherwise(F.col("top")), F.lit(1.0))
+    return noisy.join(range_of, by).select(*by, "i", "j", F.coalesce(far, farthest).alias("value"))
+
+
+def curve_scores(noisy: DataFrame, gold: str, keys: tuple[str, ...] = ()) -> DataFrame:
+    built = trees.build(as_distances(noisy, keys), [*keys, "fn", "level", "trial"])
     return trees.scores(built, gold)
 
 
-def strategies(spark: SparkSession, stat: DataFrame, functions: list, k: int, plans: tuple[str, ...] = ("none", "binned", "total")) -> DataFrame:
-    """(strategy, seconds, entries): the same functions under each plan; null where a plan refuses the size."""
-    rows = []
-    for plan in plans:
-        try:
-            seconds, n = timed(lambda plan=plan: matrix.compute(stat, functions, plan, k=k).where("value is not null").count())
-            rows.append((plan, float(seconds), int(n)))
-        except ValueError:
-            rows.append((plan, None, None))
-    return spark.createDataFrame(rows, "strategy string, seconds double, entries bigint")
-
-
-def scaling(spark: SparkSession, seq: DataFrame, threads: tuple[int, ...] = (1, 2, 4), fn: str = "minhash", k: int = 21, size: int = 1000, pattern: str = "110010110010101100101") -> DataFrame:
-    """(method, workers, seconds, speedup, efficiency): a distance here, dealt into as many tasks, and in one process.
-
-    The stand-in of the spaced-word distance has one thread, whatever the workers.
+@contextmanager
+def workers(spark: SparkSession, n: int) -> Iterator[None]:
+    """No more than n tasks at a time: shuffles of n partitions, which are not split or dealt anew. For eager actions only."""
+    wanted = {"spark.sql.shuffle.partitions": str(n), "spark.sql.adaptive.enabled": "false"}
+    held = {k: spark.conf.get(k) for k in wanted}
+    try:
+        for k, v in wanted.items():
+            spark.conf.set(k, v)
+        yield
+    finally:
+        for k, v in held.items():
+            spark.conf.set(k, v)
+
+
+def strategies(datasets: dict[str, tuple[DataFrame, int, str]], plans: tuple[str, ...] = ("none", "binned", "total"), q: int = 1, replicates: int = 1, names: tuple[str, ...] = HISTOGRAM) -> DataFrame:
+    """(dataset, sequences, strategy, seconds, entries, shuffle_bytes, shuffle_records): one significance instance of all
+    histogram functions under each plan, with what it shuffled. Null where a plan refuses the size."""
+    rows, spark = [], None
+    for name, (seq, k, alphabet) in datasets.items():
+        spark = seq.sparkSession
+        n = seq.select("seq_id").distinct().count()
+        for plan in plans:
+            run = lambda seq=seq, k=k, alphabet=alphabet, plan=plan: significance.matrix_test(seq, histogram_functions(len(alphabet) ** k, names), k, q, replicates, strategy=plan, alphabet=alphabet).where("p is not null").count()
+            try:
+                took = cost.measured(spark, run)
+                rows.append((name, n, plan, took.seconds, int(took.result), took.shuffle_bytes, took.shuffle_records))
+            except ValueError:
+                rows.append((name, n, plan, None, None, None, None))
+    return spark.createDataFrame(rows, "dataset string, sequences bigint, strategy string, seconds double, entries bigint, shuffle_bytes bigint, shuffle_records bigint")
+
+
+def scaling(seq: DataFrame, counts: tuple[int, ...] = (1, 2, 4), fn: str = "minhash", k: int = 21, size: int = 1000, pattern: str = PATTERN, plan: str = "binned") -> DataFrame:
+    """(method, workers, seconds, speedup, efficiency): a distance here with so many tasks at a time, and in one process.
+
+    ``process`` is the stand-in of a tool for one machine; it is given the whole residues, so the sequences must be of a
+    moderate size. ``plan`` is that of the D2 matrix, which is timed beside the distance as the platform's own work.
     """
-    rows = []
+    spark = seq.sparkSession
+    rows: list[tuple] = []
     base: dict[str, float] = {}
-    texts = {r.seq_id: r.residues for r in seq.groupBy("seq_id").agg(F.array_join(F.collect_list("residues"), "N").alias("residues")).toLocalIterator()}
-    for n in threads:
-        dealt = seq.repartition(n, "seq_id")
-        if fn == "minhash":
-            actions = (("spark", lambda dealt=dealt: sketch.matrix(sketch.sketches(dealt, k, size), k, size).count()), ("process", lambda n=n: len(baselines.local_sketch(texts, k, size, n))))
-        else:
-            actions = (("spark", lambda dealt=dealt: spaced.distance(dealt, [pattern]).count()), ("process", lambda: len(baselines.local_spaced(texts, pattern))))
-        for method, action in actions:
-            seconds, _ = timed(action)
-            base.setdefault(method, seconds)
-            rows.append((method, n, seconds, base[method] / seconds, base[method] / seconds / n))
+    texts = {r.seq_id: r.residues for r in seq.groupBy("seq_id").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("part_id", "residues"))), lambda x: x.residues), "N").alias("residues")).toLocalIterator()}
+    for n in counts:
+        with workers(spark, n):
+            dealt = seq.repartition(n)
+            if fn == "minhash":
+                actions: tuple[tuple[str, Callable], ...] = (("spark", lambda dealt=dealt: sketch.matrix(sketch.sketches(dealt, k, size), k, size).count()), ("process", lambda n=n: len(baselines.local_sketch(texts, k, size, n))))
+            else:
+                actions = (("spark", lambda dealt=dealt: spaced.distance(dealt, [pattern]).count()), ("process", lambda n=n: len(baselines.local_spaced(texts, pattern, threads=n))))
+            for method, action in (*actions, (f"d2 {plan}", lambda dealt=dealt, n=n: matrix.compute(stats.counts(dealt, 4), ["d2"], plan, bins=n).count())):
+                seconds, _ = timed(action)
+                first = base.setdefault(method, seconds * n)  # as if with one worker
+                rows.append((method, n, seconds, first / seconds, first / seconds / n))
     return spark.createDataFrame(rows, "method string, workers int, seconds double, speedup double, efficiency double")
 
 
 def mixed_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(carrier, sequences, rows, strategy): what the planner chooses for many short and for few long sequences."""
+    """(carrier, sequences, rows, strategy, entries): many short and few long sequences, each under the plan that is chosen for it."""
     out = []
     for name, seq in (("benchmark_items", carriers.benchmark_items(spark, sf_dir)), ("language_sources", carriers.language_sources(spark, sf_dir))):
         stat = stats.counts(seq, 6)
-        out.append((name, seq.select("seq_id").distinct().count(), stat.count(), matrix.choose(stat)))
-    return spark.createDataFrame(out, "carrier string, sequences bigint, rows bigint, strategy string")
+        plan, options = matrix.plan_for(stat)
+        entries = matrix.compute(stat, ["d2"], plan, **options).where("value is not null").count()
+        out.append((name, seq.select("seq_id").distinct().count(), stat.count(), plan, entries))
+    return spark.createDataFrame(out, "carrier string, sequences bigint, rows bigint, strategy string, entries bigint")
 
 
 def local_spaced_agreement(seq: DataFrame, pattern: str) -> float:

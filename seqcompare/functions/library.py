@@ -20,18 +20,21 @@ Terms = dict[str, Column]
 
 @dataclass(frozen=True)
 class PairFunction:
-    """``terms``: for each shared feature, from values x, y and shares p, q; ``finish`` makes the value from their sums t
-    and the totals a, b of both sequences. ``numpy_terms`` are the same for vectorised plans. ``reduce`` of terms is sum or max.
+    """``terms``: for each shared feature, from values x, y, shares p, q and expectations e, f (only functions with a
+    background use these); ``finish`` makes the value from their sums t and the totals a, b of both sequences.
+    ``numpy_terms`` are the same for vectorised plans. ``reduce`` of terms is sum or max. With a background, ``gain`` is what
+    any word adds, and what words outside a pair's shared ones add is worked out by composition (``plans.matrix``).
     """
 
     name: str
     kind: str
-    terms: Callable[[Column, Column, Column, Column], Terms]
+    terms: Callable[..., Terms]
     finish: Callable[[Terms, "Side", "Side"], Column]
     numpy_terms: Callable[..., dict[str, np.ndarray]]
     reduce: str = "sum"
     background: bool = False
     extreme: bool = False
+    gain: Callable | None = None
     options: dict = field(default_factory=dict)
 
 
@@ -51,13 +54,19 @@ REGISTRY: dict[str, Callable[..., PairFunction]] = {}
 def register_function(name: str, kind: str, **more):
     """Register a pair function by a maker of (terms, finish); terms are written once, for columns and for numpy arrays.
 
-    ``terms(m, x, y, p, q)`` gets the module of functions: ``m.least``, ``m.sqrt``, ``m.log``, ``m.abs``.
+    ``terms(m, x, y, p, q)`` gets the module of functions: ``m.least``, ``m.sqrt``, ``m.log``, ``m.abs``. With
+    ``background=True`` it is ``gain(m, x, y, e, f)`` that is given in its place, with expectations e and f.
     """
 
     def put(make: Callable) -> Callable:
         def build(**options) -> PairFunction:
             terms, finish = make(**options)
-            return PairFunction(name, kind, lambda x, y, p, q: terms(_Columns, x, y, p, q), finish, lambda x, y, p, q: terms(_Arrays, x, y, p, q), options=options, **more)
+            if more.get("background"):
+                gain = terms
+                # what a shared word adds beyond what it adds where it is in one of the two, or in none
+                beyond = lambda m, x, y, e, f: {name: gain(m, x, y, e, f) - gain(m, x, m.zero(y), e, f) - gain(m, m.zero(x), y, e, f) + gain(m, m.zero(x), m.zero(y), e, f)}
+                return PairFunction(name, kind, lambda x, y, p, q, e, f: beyond(_Columns, x, y, e, f), finish, lambda x, y, p, q, e, f: beyond(_Arrays, x, y, e, f), gain=lambda x, y, e, f: gain(_Arrays, x, y, e, f), options=options, **more)
+            return PairFunction(name, kind, lambda x, y, p, q, e, f: terms(_Columns, x, y, p, q), finish, lambda x, y, p, q, e, f: terms(_Arrays, x, y, p, q), options=options, **more)
 
         REGISTRY[name] = build
         return make
@@ -72,6 +81,14 @@ class _Columns:
     def ones(x: Column) -> Column:
         return F.when(x.isNotNull(), 1.0)
 
+    @staticmethod
+    def zero(x: Column) -> Column:
+        return F.lit(0.0)
+
+    @staticmethod
+    def over(value: Column, size: Column) -> Column:
+        return F.when(size > 0, value / size).otherwise(0.0)
+
 
 class _Arrays:
     least, sqrt, log, abs = np.minimum, np.sqrt, np.log, np.abs
@@ -80,6 +97,14 @@ class _Arrays:
     def ones(x: np.ndarray) -> np.ndarray:
         return np.ones_like(x)
 
+    @staticmethod
+    def zero(x: np.ndarray) -> np.ndarray:
+        return np.zeros_like(x)
+
+    @staticmethod
+    def over(value: np.ndarray, size: np.ndarray) -> np.ndarray:
+        return np.divide(value, size, out=np.zeros(np.broadcast_shapes(np.shape(value), np.shape(size))), where=size > 0)
+
 
 def get(name: str, **options) -> PairFunction:
     if name not in REGISTRY:
@@ -100,12 +125,24 @@ def _d2(as_distance: bool = False):
 
 
 @register_function("d2z", "similarity")
-def _d2z(words: int):
-    """Counts as z-scores over the dictionary of ``words`` words, then their inner product."""
+def _d2z(words: int, moments: str = "words"):
+    """Counts as z-scores, then their inner product.
+
+    ``moments``: mean and deviation of a count over the dictionary of ``words`` words; ``iid``: those of a word's count where
+    all words are equally likely at each of the sequence's places; ``null``: d2 is brought to the scale of its null values
+    afterwards (``operators.significance.standardised``), so that here it is d2 itself.
+    """
+    if moments not in ("words", "iid", "null"):
+        raise ValueError("moments are words, iid or null")
 
     def finish(t, a, b):
+        if moments == "null":
+            return t["xy"]
         mean_a, mean_b = a.total / words, b.total / words
-        sd = F.sqrt((a.sumsq / words - mean_a * mean_a) * (b.sumsq / words - mean_b * mean_b))
+        if moments == "iid":
+            sd = F.sqrt(mean_a * (1 - 1 / words) * mean_b * (1 - 1 / words))
+        else:
+            sd = F.sqrt((a.sumsq / words - mean_a * mean_a) * (b.sumsq / words - mean_b * mean_b))
         return _or_zero(t["xy"] - mean_a * mean_b * words, sd)
 
     return lambda m, x, y, p, q: {"xy": x * y}, finish
@@ -230,13 +267,13 @@ def _chebyshev():
 @register_function("d2s", "similarity", background=True)
 def _d2s():
     """Products of counts less their expectation, over the root of the sum of squares; absent words by composition."""
-    return lambda m, x, y, p, q: {"xy": x * y}, lambda t, a, b: F.col("d2s_value")
+    return lambda m, x, y, e, f: m.over((x - e) * (y - f), m.sqrt((x - e) * (x - e) + (y - f) * (y - f))), lambda t, a, b: t["d2s"] + F.col("d2s_rest")
 
 
 @register_function("d2star", "similarity", background=True)
 def _d2star():
     """Products of counts less their expectation, over the root of the product of expectations."""
-    return lambda m, x, y, p, q: {"xy": x * y}, lambda t, a, b: F.col("d2star_value")
+    return lambda m, x, y, e, f: m.over((x - e) * (y - f), m.sqrt(e * f)), lambda t, a, b: t["d2star"] + F.col("d2star_rest")
 
 
 def classes(alphabet: str, k: int) -> list[tuple[str, int]]:

@@ -2,10 +2,19 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..operators.stats import KmerCount
+from ..operators import stats, windows
+
+#: Hashes that a task holds of all its sequences before it hands sketches on.
+HELD = 4_000_000
+#: Sketches of a sequence's parts are merged in so many groups first.
+SALTS = 32
 
 
 def hashed(word: Column, how: str = "xxhash64", seed: int = 42) -> Column:
@@ -15,23 +24,76 @@ def hashed(word: Column, how: str = "xxhash64", seed: int = 42) -> Column:
     return F.xxhash64(F.lit(seed), word)
 
 
-def sketches(seq: DataFrame, k: int = 21, size: int = 1000, how: str = "xxhash64", canonical: bool = True) -> DataFrame:
-    """(seq_id, sketch, n_words): each part keeps its smallest ``size`` before the shuffle, then a sequence's parts merge.
+def _low(lists: Column, size: int) -> Column:
+    return F.slice(F.sort_array(F.array_distinct(F.flatten(lists))), 1, size)
+
+
+def _bottoms(batches: Iterator[pa.RecordBatch], k: int, size: int, canonical: bool) -> Iterator[pa.RecordBatch]:
+    """(seq_id, salt, low, n) of a task: each sequence's smallest hashes there, and its windows."""
+    low: dict[str, np.ndarray] = {}
+    many: dict[str, int] = {}
+
+    def flush() -> pa.RecordBatch:
+        names = list(low)
+        out = [pa.array(names, pa.string()), pa.array([hash_place(n) for n in names], pa.int32()), pa.array([low[n] for n in names], pa.list_(pa.int64())), pa.array([many[n] for n in names], pa.int64())]
+        low.clear()
+        many.clear()
+        return pa.RecordBatch.from_arrays(out, names=["seq_id", "salt", "low", "n"])
+
+    batch = 0
 
-    A part is a row of chunked residues, so that what is collected is bounded by parts times ``size``.
+    def hash_place(name: str) -> int:
+        return (batch + len(name)) % SALTS
+
+    for b in batches:
+        batch += 1
+        ids = b.column("seq_id").to_pylist()
+        data, bounds = windows.symbols(b.column("residues"))
+        for part, starts, rows in windows.steps(data, bounds, k):
+            if not len(starts):
+                continue
+            h = windows.word_hashes(part, k, canonical)[starts]
+            cuts = np.flatnonzero(np.append(True, rows[1:] != rows[:-1]))
+            for lo, hi in zip(cuts.tolist(), [*cuts[1:].tolist(), len(rows)], strict=True):
+                name, own = ids[rows[lo]], h[lo:hi]
+                old = low.get(name)
+                if old is not None and len(old) == size:
+                    own = own[own < old[-1]]
+                low[name] = np.unique(own if old is None else np.concatenate([old, own]))[:size]
+                many[name] = many.get(name, 0) + hi - lo
+        if len(low) * size > HELD:
+            yield flush()
+    if low:
+        yield flush()
+
+
+def sketches(seq: DataFrame, k: int = 21, size: int = 1000, how: str = "mixed", canonical: bool = True, keys: tuple[str, ...] = ()) -> DataFrame:
+    """(keys, seq_id, sketch, n_words): the smallest ``size`` distinct hashes of a sequence's words, and its windows.
+
+    ``mixed`` hashes by numpy: a task keeps the smallest of each of its sequences, so that what is shuffled is bounded by
+    tasks times ``size``, and they are merged in two rounds. ``md5`` and ``xxhash64`` hash by SQL functions, after the words
+    are made distinct.
     """
-    words = KmerCount(k, canonical=canonical).extract(seq).select("seq_id", hashed(F.col("feature"), how).alias("h"))
-    distinct = words.distinct()
-    # the rank of a hash within a salt of its sequence: only the smallest of each salt can be among the smallest of all
-    salted = distinct.withColumn("salt", F.pmod("h", F.lit(16)))
-    part = salted.groupBy("seq_id", "salt").agg(F.slice(F.array_sort(F.collect_list("h")), 1, size).alias("low"), F.count("*").alias("n"))
-    merged = F.slice(F.array_sort(F.flatten(F.collect_list("low"))), 1, size)
-    return part.groupBy("seq_id").agg(merged.alias("sketch"), F.sum("n").alias("n_words"))
+    named = stats.keyed(seq, keys)
+    if how == "mixed":
+        part = named.select("seq_id", "residues").mapInArrow(lambda batches: _bottoms(batches, k, size, canonical), "seq_id string, salt int, low array<bigint>, n bigint")
+    else:
+        words = stats.KmerCount(k, canonical=canonical).extract(named).groupBy("seq_id", hashed(F.col("feature"), how).alias("h")).agg(F.sum("value").alias("n"))
+        salted = words.withColumn("salt", F.pmod("h", F.lit(256)).cast("int"))
+        part = salted.groupBy("seq_id", "salt").agg(F.array(F.slice(F.sort_array(F.collect_list("h")), 1, size)).alias("l"), F.sum("n").alias("n")).select("seq_id", "salt", F.flatten("l").alias("low"), "n")
+    some = part.groupBy("seq_id", "salt").agg(_low(F.collect_list("low"), size).alias("low"), F.sum("n").alias("n"))
+    whole = some.groupBy("seq_id").agg(_low(F.collect_list("low"), size).alias("sketch"), F.sum("n").alias("n_words"))
+    return stats.unkeyed(whole, keys, seq)
+
+
+def union(parts: DataFrame, size: int = 1000) -> DataFrame:
+    """Sketches of the same sequence in one: the combiner of sketches (seq_id, sketch, n_words)."""
+    return parts.groupBy("seq_id").agg(_low(F.collect_list("sketch"), size).alias("sketch"), F.sum("n_words").alias("n_words"))
 
 
 def estimated(a: Column, b: Column, size: int) -> tuple[Column, Column]:
     """Shared hashes among the smallest of the union, and how many those are."""
-    union = F.slice(F.array_sort(F.array_union(a, b)), 1, size)
+    union = F.slice(F.sort_array(F.array_union(a, b)), 1, size)
     shared = F.size(F.array_intersect(union, F.array_intersect(a, b)))
     return shared, F.size(union)
 
@@ -41,14 +103,16 @@ def distance(jaccard: Column, k: int) -> Column:
     return F.when(jaccard > 0, F.least(-F.log(2 * jaccard / (1 + jaccard)) / k, F.lit(1.0))).otherwise(1.0)
 
 
-def matrix(sketched: DataFrame, k: int, size: int) -> DataFrame:
-    """(i, j, shared, jaccard, value): pairs that share a hash are found by a join on hashes, all others have distance 1."""
-    ids = sketched.select("seq_id")
-    each = sketched.select("seq_id", F.explode("sketch").alias("h"))
-    met = each.withColumnRenamed("seq_id", "i").join(each.withColumnRenamed("seq_id", "j"), "h").where("i < j").select("i", "j").distinct()
-    a, b = sketched.select(F.col("seq_id").alias("i"), F.col("sketch").alias("a")), sketched.select(F.col("seq_id").alias("j"), F.col("sketch").alias("b"))
+def matrix(sketched: DataFrame, k: int, size: int, keys: tuple[str, ...] = ()) -> DataFrame:
+    """(keys, i, j, shared, jaccard, value): pairs that share a hash are found by a join on hashes, all others have distance 1."""
+    ids = sketched.select(*keys, "seq_id")
+    each = sketched.select(*keys, "seq_id", F.explode("sketch").alias("h"))
+    pair = [*keys, "i", "j"]
+    met = each.withColumnRenamed("seq_id", "i").join(each.withColumnRenamed("seq_id", "j"), [*keys, "h"]).where("i < j").select(*pair).distinct()
+    a, b = sketched.select(*keys, F.col("seq_id").alias("i"), F.col("sketch").alias("a")), sketched.select(*keys, F.col("seq_id").alias("j"), F.col("sketch").alias("b"))
     shared, many = estimated(F.col("a"), F.col("b"), size)
-    scored = met.join(a, "i").join(b, "j").select("i", "j", shared.cast("bigint").alias("shared"), (shared / many).alias("jaccard"))
-    grid = ids.withColumnRenamed("seq_id", "i").join(F.broadcast(ids.withColumnRenamed("seq_id", "j")), F.col("i") < F.col("j"))
-    filled = grid.join(scored, ["i", "j"], "left").fillna(0, ["shared", "jaccard"])
-    return filled.select("i", "j", "shared", "jaccard", distance(F.col("jaccard"), k).alias("value"))
+    scored = met.join(a, [*keys, "i"]).join(b, [*keys, "j"]).select(*pair, shared.cast("bigint").alias("shared"), (shared / many).alias("jaccard"))
+    one, two = ids.withColumnRenamed("seq_id", "i"), ids.withColumnRenamed("seq_id", "j")
+    grid = one.join(F.broadcast(two), list(keys)).where("i < j") if keys else one.join(F.broadcast(two), F.col("i") < F.col("j"))
+    filled = grid.join(scored, pair, "left").fillna(0, ["shared", "jaccard"])
+    return filled.select(*pair, "shared", "jaccard", distance(F.col("jaccard"), k).alias("value"))

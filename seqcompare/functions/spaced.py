@@ -2,61 +2,86 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.stats import SpacedWord
 
-SCHEMA = "i string, j string, word string, place_i bigint, place_j bigint, part_i bigint, part_j bigint, score int, differ int"
+#: Matches that have to be chosen from are dealt out by pair and so many ranges of words.
+RANGES = 16
+Scores = dict[tuple[str, str], int]
+
 
+def scored(free_i: Column, free_j: Column, places: int, match: int, mismatch: int, scores: Scores | None) -> tuple[Column, Column]:
+    """Score of the free symbols, and how many differ. ``scores`` has the score of a pair of symbols, either way round;
+    pairs that it lacks score ``match`` or ``mismatch``."""
+    at = [(F.substring(free_i, n + 1, 1), F.substring(free_j, n + 1, 1)) for n in range(places)]
+    differ = reduce(lambda x, y: x + y, ((a != b).cast("int") for a, b in at), F.lit(0))
+    if not scores:
+        return (places - differ) * match + differ * mismatch, differ
+    table = F.create_map(*(F.lit(x) for (a, b), s in {**{(b, a): s for (a, b), s in scores.items()}, **scores}.items() for x in (a + b, int(s))))
+    each = (F.coalesce(F.try_element_at(table, F.concat(a, b)), F.when(a == b, match).otherwise(mismatch)) for a, b in at)
+    return reduce(lambda x, y: x + y, each, F.lit(0)), differ
 
-def matches(seq: DataFrame, pattern: str, threshold: int = 0, match: int = 1, mismatch: int = -1, max_occurrences: int | None = None) -> DataFrame:
+
+def matches(seq: DataFrame, pattern: str, threshold: int = 0, match: int = 1, mismatch: int = -1, max_occurrences: int | None = None, scores: Scores | None = None, keys: tuple[str, ...] = ()) -> DataFrame:
     """Pairs of occurrences of a spaced word in two sequences whose free symbols score ``threshold`` or more.
 
+    ``scores`` is a substitution matrix. ``lone`` marks words that each of the two sequences has once.
     ``max_occurrences`` leaves out words more frequent in a sequence; it is off unless asked for.
     """
-    found = SpacedWord(pattern).occurrences(seq)
+    found = SpacedWord(pattern).occurrences(seq, keys)
+    times = found.groupBy(*keys, "seq_id", "word").agg(F.count("*").alias("n"))
     if max_occurrences is not None:
-        few = found.groupBy("seq_id", "word").agg(F.count("*").alias("n")).where(F.col("n") <= max_occurrences).drop("n")
-        found = found.join(few, ["seq_id", "word"], "left_semi")
-    a = found.select("word", *(F.col(c).alias(f"{c}_i") for c in ("part_id", "place", "free")), F.col("seq_id").alias("i"))
-    b = found.select("word", *(F.col(c).alias(f"{c}_j") for c in ("part_id", "place", "free")), F.col("seq_id").alias("j"))
-    free = pattern.count("0")
-    differ = sum((F.substring("free_i", k + 1, 1) != F.substring("free_j", k + 1, 1)).cast("int") for k in range(free))
-    pairs = a.join(b, "word").where("i < j").select("i", "j", "word", F.col("place_i"), F.col("place_j"), F.col("part_id_i").alias("part_i"), F.col("part_id_j").alias("part_j"), differ.alias("differ"))
-    score = (free - F.col("differ")) * match + F.col("differ") * mismatch
-    return pairs.withColumn("score", score.cast("int")).where(F.col("score") >= threshold)
-
-
-def one_to_one(pdf: pd.DataFrame) -> pd.DataFrame:
+        times = times.where(F.col("n") <= max_occurrences)
+    found = found.join(times, [*keys, "seq_id", "word"])
+    side = lambda s: found.select(*keys, "word", F.col("seq_id").alias(s), F.col("n").alias(f"n_{s}"), F.col("part_id").alias(f"part_{s}"), F.col("place").alias(f"place_{s}"), F.col("free").alias(f"free_{s}"))
+    score, differ = scored(F.col("free_i"), F.col("free_j"), pattern.count("0"), match, mismatch, scores)
+    pairs = side("i").join(side("j"), [*keys, "word"]).where("i < j").withColumns({"score": score.cast("int"), "differ": differ.cast("int"), "lone": F.expr("n_i = 1 and n_j = 1")})
+    return pairs.where(F.col("score") >= threshold).select(*keys, "i", "j", "word", "place_i", "place_j", "part_i", "part_j", "score", "differ", "lone")
+
+
+def one_to_one(pdf: pd.DataFrame) -> np.ndarray:
     """Best first: a match stands if neither of its occurrences is in a better one. Ties go by part and place."""
-    pdf = pdf.sort_values(["score", "part_i", "place_i", "part_j", "place_j"], ascending=[False, True, True, True, True])
-    left, right, keep = set(), set(), np.zeros(len(pdf), bool)
-    for k, (w, pi, i, pj, j) in enumerate(zip(pdf["word"], pdf["part_i"], pdf["place_i"], pdf["part_j"], pdf["place_j"], strict=True)):
+    order = pdf.sort_values(["score", "part_i", "place_i", "part_j", "place_j"], ascending=[False, True, True, True, True]).index
+    left, right, keep = set(), set(), []
+    for at, w, pi, i, pj, j in zip(order, *(pdf.loc[order, c] for c in ("word", "part_i", "place_i", "part_j", "place_j")), strict=True):
         if (w, pi, i) not in left and (w, pj, j) not in right:
             left.add((w, pi, i))
             right.add((w, pj, j))
-            keep[k] = True
-    return pdf[keep]
+            keep.append(at)
+    return np.array(keep, int)
+
+
+def _chosen(pdf: pd.DataFrame, names: list[str]) -> pd.DataFrame:
+    keep = one_to_one(pdf.reset_index(drop=True))
+    return pd.DataFrame({**{n: [pdf[n].iloc[0]] for n in names}, "n_match": [len(keep)], "differ": [int(pdf["differ"].to_numpy()[keep].sum())]})
 
 
-def distance(seq: DataFrame, patterns: list[str], threshold: int = 0, alphabet: str = "ACGT", **options) -> DataFrame:
-    """(i, j, n_match, value) for all pairs; null where no match survives, or too many symbols differ to tell.
+def distance(seq: DataFrame, patterns: list[str], threshold: int = 0, alphabet: str = "ACGT", keys: tuple[str, ...] = (), **options) -> DataFrame:
+    """(keys, i, j, n_match, value) for all pairs; null where no match survives, or too many symbols differ to tell.
 
-    Matches of several patterns are pooled. Within a pair and word they are chosen best first, one to one.
+    Matches of several patterns are pooled. Within a pair and word they are chosen best first, one to one; words that both
+    sequences have once are summed as they are.
     """
-    parts = None
-    for k, pattern in enumerate(patterns):
-        found = matches(seq, pattern, threshold, **options).withColumn("word", F.concat(F.lit(f"{k}:"), "word"))
-        chosen = found.select("i", "j", "word", "place_i", "place_j", "part_i", "part_j", "score", "differ").groupBy("i", "j", "word").applyInPandas(one_to_one, SCHEMA)
-        summed = chosen.groupBy("i", "j").agg(F.count("*").alias("n_match"), F.sum("differ").alias("differ"), (F.count("*") * pattern.count("0")).alias("free"))
-        parts = summed if parts is None else parts.unionByName(summed)
-    total = parts.groupBy("i", "j").agg(*(F.sum(c).alias(c) for c in ("n_match", "differ", "free")))
-    ids = seq.select("seq_id").distinct()
-    grid = ids.withColumnRenamed("seq_id", "i").join(F.broadcast(ids.withColumnRenamed("seq_id", "j")), F.col("i") < F.col("j"))
+    pair, parts = [*keys, "i", "j"], []
+    kinds = {**dict(seq.dtypes), "i": "string", "j": "string"}
+    for pattern in patterns:
+        found = matches(seq, pattern, threshold, keys=keys, **options)
+        lone = found.where("lone").groupBy(*pair).agg(F.count("*").alias("n_match"), F.sum("differ").alias("differ"))
+        schema = ", ".join([f"`{c}` {kinds[c]}" for c in pair] + ["n_match bigint", "differ bigint"])
+        rest = found.where("not lone").drop("lone").withColumn("range", F.pmod(F.xxhash64("word"), F.lit(RANGES)))
+        chosen = rest.groupBy(*pair, "range").applyInPandas(lambda pdf: _chosen(pdf, pair), schema)
+        parts.append(lone.unionByName(chosen).withColumn("free", F.col("n_match") * pattern.count("0")))
+    total = reduce(DataFrame.unionByName, parts).groupBy(*pair).agg(*(F.sum(c).alias(c) for c in ("n_match", "differ", "free")))
+    ids = seq.select(*keys, "seq_id").distinct()
+    one, two = ids.withColumnRenamed("seq_id", "i"), ids.withColumnRenamed("seq_id", "j")
+    grid = one.join(F.broadcast(two), list(keys)).where("i < j") if keys else one.join(F.broadcast(two), F.col("i") < F.col("j"))
     limit = (len(alphabet) - 1) / len(alphabet)
     rate = F.col("differ") / F.col("free")
     value = F.when(rate < limit, -limit * F.log(1 - rate / limit))
-    return grid.join(total, ["i", "j"], "left").select("i", "j", F.coalesce("n_match", F.lit(0)).alias("n_match"), value.alias("value"))
+    return grid.join(total, pair, "left").select(*pair, F.coalesce("n_match", F.lit(0)).alias("n_match"), value.alias("value"))

@@ -1,52 +1,88 @@
-"""Synthetic sequences of the same number and lengths: by drawing q-mers of the data, or from a simple source."""
+"""Synthetic sequences of the same number and lengths: by drawing q-mers of the data, or from a simple source.
+
+``keys`` are columns of the sequences (a scope, a dataset) within which everything happens apart; they go along.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..rng import draw
+from .windows import mixed
 
-
-def sources(seq: DataFrame, q: int) -> DataFrame:
-    """(src_seq, src_part, src, lo, hi): parts with a whole q-mer, and the range of addresses of their starts.
-
-    Addresses run in order of (seq_id, part_id): parts within a sequence by a window of its own, and sequences by one over
-    their totals, a row each. The result is broadcast by ``bootstrap``, which is for datasets of a moderate size.
-    """
-    whole = seq.where(F.length("residues") >= q).select(F.col("seq_id").alias("src_seq"), F.col("part_id").alias("src_part"), F.col("residues").alias("src"), (F.length("residues") - q + 1).cast("bigint").alias("n"))
-    of_seq = whole.groupBy("src_seq").agg(F.sum("n").alias("all"))
-    before = of_seq.select("src_seq", (F.sum("all").over(Window.orderBy("src_seq")) - F.col("all")).alias("before"))
-    upto = F.sum("n").over(Window.partitionBy("src_seq").orderBy("src_part"))
-    return whole.withColumn("upto", upto).join(F.broadcast(before), "src_seq").select("src_seq", "src_part", "src", (F.col("before") + F.col("upto") - F.col("n")).alias("lo"), (F.col("before") + F.col("upto")).alias("hi"))
-
-
-def lengths(seq: DataFrame) -> DataFrame:
-    return seq.groupBy("seq_id").agg(F.sum(F.length("residues")).cast("bigint").alias("len"))
+#: Sequences are dealt into so many ranges of addresses, so that no window is over all of them.
+RANGES = 1024
+#: Addresses of a block: what is drawn meets the text of its block only.
+BLOCK = 1024
+#: Symbols of a synthetic part.
+PART = 1 << 16
 
 
-def bootstrap(seq: DataFrame, q: int, replicates: int, seed: int = 1, first: int = 0) -> DataFrame:
-    """(replicate, seq_id, part_id, offset, residues): q-mers of the whole data, drawn with replacement, until each length is reached.
+def addressed(seq: DataFrame, q: int, keys: tuple[str, ...] = ()) -> tuple[DataFrame, DataFrame]:
+    """(keys, src_seq, src_part, src, lo, hi) and (keys, total): the range of addresses of each part's q-mers.
 
-    Sequences shorter than q give no q-mers but are made at their length. An error where no part has q symbols.
+    Addresses run in order of (range, seq_id, part_id); the range of a sequence is a hash of its name. So the prefix sums
+    are windows over the parts of a range, and one over at most ``RANGES`` rows of each key.
     """
-    prefix = sources(seq, q)
-    total = prefix.agg(F.max("hi")).first()[0]
-    if not total:
+    whole = seq.where(F.length("residues") >= q).select(
+        *keys, F.col("seq_id").alias("src_seq"), F.col("part_id").alias("src_part"), F.col("residues").alias("src"), (F.length("residues") - q + 1).cast("bigint").alias("n"), F.pmod(draw("range", F.col("seq_id")), F.lit(RANGES)).cast("int").alias("range")
+    )
+    of_range = whole.groupBy(*keys, "range").agg(F.sum("n").alias("all"))
+    upto_range = F.sum("all").over(Window.partitionBy(*keys).orderBy("range") if keys else Window.orderBy("range"))
+    before = of_range.select(*keys, "range", (upto_range - F.col("all")).alias("before"))
+    total = of_range.groupBy(*keys).agg(F.sum("all").alias("total"))
+    upto = F.sum("n").over(Window.partitionBy(*keys, "range").orderBy("src_seq", "src_part"))
+    placed = whole.withColumn("upto", upto).join(F.broadcast(before) if not keys else before, [*keys, "range"])
+    return placed.select(*keys, "src_seq", "src_part", "src", (F.col("before") + F.col("upto") - F.col("n")).alias("lo"), (F.col("before") + F.col("upto")).alias("hi")), total
+
+
+def blocks_of(placed: DataFrame, q: int, keys: tuple[str, ...] = ()) -> DataFrame:
+    """(keys, address_block, lo, hi, src): parts cut at the blocks of addresses, each with the q - 1 symbols after it."""
+    cut = F.explode(F.sequence(F.floor(F.col("lo") / BLOCK), F.floor((F.col("hi") - 1) / BLOCK))).alias("address_block")
+    each = placed.select(*keys, "src", "lo", "hi", cut)
+    low, high = F.greatest("lo", F.col("address_block") * BLOCK), F.least("hi", (F.col("address_block") + 1) * BLOCK)
+    text = F.substring("src", (low - F.col("lo") + 1).cast("int"), (high - low + (q - 1)).cast("int"))
+    return each.select(*keys, "address_block", low.alias("lo"), high.alias("hi"), text.alias("src"))
+
+
+def lengths(seq: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
+    return seq.groupBy(*keys, "seq_id").agg(F.sum(F.length("residues")).cast("bigint").alias("len"))
+
+
+def bootstrap(seq: DataFrame, q: int, replicates: int, seed: int = 1, first: int = 0, keys: tuple[str, ...] = (), overlap: int = 0, only: DataFrame | None = None) -> DataFrame:
+    """(keys, replicate, seq_id, part_id, offset, residues): q-mers of the whole data, drawn with replacement, until each length is reached.
+
+    What is drawn is joined to the text by its block of addresses. A sequence comes in parts of ``PART`` symbols, with
+    ``overlap`` symbols of the next part after each, so that windows across parts aren't lost. Sequences shorter than q give
+    no q-mers but are made at their length; an error where no part has q symbols. With ``only`` (seq_id), just those
+    sequences are made, from the q-mers of all.
+    """
+    placed, totals = addressed(seq, q, keys)
+    if not keys and not totals.first()["total"]:
         raise ValueError(f"no sequence has {q} symbols")
-    blocks = F.explode(F.sequence(F.lit(0), F.ceil(F.col("len") / q).cast("int") - 1)).alias("block")
-    grid = lengths(seq).where("len > 0").select("seq_id", "len", F.explode(F.sequence(F.lit(first), F.lit(first + replicates - 1))).alias("replicate")).select("*", blocks)
-    drawn = grid.withColumn("address", F.pmod(draw(seed, F.col("replicate"), F.col("seq_id"), F.col("block")), F.lit(total)))
-    met = drawn.join(F.broadcast(prefix), (F.col("address") >= F.col("lo")) & (F.col("address") < F.col("hi")))
+    a_part = max(1, PART // q)
+    wanted = lengths(seq, keys).where("len > 0")
+    if only is not None:
+        wanted = wanted.join(only, [c for c in only.columns if c in wanted.columns], "left_semi")
+    every = F.explode(F.sequence(F.lit(first), F.lit(first + replicates - 1))).alias("replicate")
+    parts = wanted.select(*keys, "seq_id", "len", every).select("*", F.explode(F.sequence(F.lit(0).cast("bigint"), F.floor((F.col("len") - 1) / (a_part * q)))).alias("part_id"))
+    own = F.least(F.lit(a_part * q).cast("bigint") + overlap, F.col("len") - F.col("part_id") * (a_part * q))
+    start = F.col("part_id") * a_part
+    grid = parts.withColumn("own", own).select("*", F.explode(F.sequence(start, start + F.floor((F.col("own") - 1) / q))).alias("block"))
+    grid = grid.join(F.broadcast(totals), list(keys)) if keys else grid.join(F.broadcast(totals), F.lit(True))
+    key = [F.col(k) for k in keys]
+    drawn = grid.withColumn("address", F.pmod(draw(seed, *key, F.col("replicate"), F.col("seq_id"), F.col("block")), F.col("total"))).withColumn("address_block", F.floor(F.col("address") / BLOCK))
+    met = drawn.join(blocks_of(placed, q, keys), [*keys, "address_block"]).where("address >= lo and address < hi")
     piece = F.substring("src", (F.col("address") - F.col("lo") + 1).cast("int"), F.lit(q))
-    pieces = met.select("replicate", "seq_id", "len", F.struct("block", piece.alias("piece")).alias("b"))
-    made = pieces.groupBy("replicate", "seq_id").agg(F.array_sort(F.collect_list("b")).alias("b"), F.max("len").alias("len"))
-    residues = F.substring(F.array_join(F.transform("b", lambda x: x.piece), ""), F.lit(1), F.col("len").cast("int"))
-    return made.select("replicate", "seq_id", F.lit(0).cast("bigint").alias("part_id"), F.lit(0).cast("bigint").alias("offset"), residues.alias("residues"))
+    pieces = met.select(*keys, "replicate", "seq_id", "part_id", "own", F.struct("block", piece.alias("piece")).alias("b"))
+    made = pieces.groupBy(*keys, "replicate", "seq_id", "part_id").agg(F.sort_array(F.collect_list("b")).alias("b"), F.max("own").alias("own"))
+    residues = F.substring(F.array_join(F.transform("b", lambda x: x.piece), ""), F.lit(1), F.col("own").cast("int"))
+    return made.select(*keys, "replicate", "seq_id", "part_id", (F.col("part_id") * (a_part * q)).alias("offset"), residues.alias("residues"))
 
 
 def uniform(seq: DataFrame, alphabet: str, replicates: int, seed: int = 1) -> DataFrame:
@@ -57,26 +93,57 @@ def uniform(seq: DataFrame, alphabet: str, replicates: int, seed: int = 1) -> Da
     return grid.select("replicate", "seq_id", F.lit(0).cast("bigint").alias("part_id"), F.lit(0).cast("bigint").alias("offset"), F.array_join(F.transform(places, symbol), "").alias("residues"))
 
 
+def _chains(texts: list[str], names: list[str], order: int, replicates: int, seed: int) -> list[list[str]]:
+    """Synthetic texts of each replicate: all chains take a step at once, each by its own text's transitions."""
+    kinds = {c: i for i, c in enumerate(sorted({c for t in texts for c in t}))}
+    many, size = max(1, len(kinds)), np.array([len(t) for t in texts])
+    code = [np.array([kinds[c] for c in t], np.int64) for t in texts]
+    contexts, follow = [], []
+    for s, c in enumerate(code):
+        state = np.full(max(0, len(c) - order), s, np.int64)
+        for k in range(order):
+            state = state * many + c[k : k + len(state)]
+        contexts.append(state)
+        follow.append(c[order:])
+    context, nxt = np.concatenate(contexts), np.concatenate(follow)
+    by = np.argsort(context, kind="stable")
+    context, nxt = context[by], nxt[by]
+    flat, first = np.concatenate(code), np.cumsum(size) - size
+    who = np.tile(np.arange(len(texts)), replicates)
+    salt = np.array([mixed(np.frombuffer(n.encode().ljust(8 * (1 + len(n.encode()) // 8), b"\0"), "<u8").astype(np.uint64)).sum(dtype=np.uint64) for n in names], np.uint64)
+    own = mixed(salt[who] + np.uint64(seed) * np.uint64(0x9E3779B97F4A7C15) + np.repeat(np.arange(replicates, dtype=np.uint64), len(texts)) * np.uint64(0xD1B54A32D192ED03))
+    top = int(size.max(initial=0))
+    made = np.zeros((len(who), top), np.int64)
+    for t in range(top):
+        live = np.flatnonzero(size[who] > t)
+        mine = who[live]
+        if t < order:
+            made[live, t] = flat[first[mine] + t]
+            continue
+        state = mine.copy()
+        for k in range(order):
+            state = state * many + made[live, t - order + k]
+        lo, hi = np.searchsorted(context, state, "left"), np.searchsorted(context, state, "right")
+        number = (mixed(own[live] + np.uint64(t + 1)) >> np.uint64(1)).astype(np.int64)
+        seen = hi > lo
+        made[live, t] = np.where(seen, nxt[np.minimum(lo + number % np.maximum(hi - lo, 1), max(0, len(nxt) - 1))] if len(nxt) else 0, flat[first[mine] + number % size[mine]])
+    letters = np.array(list(kinds) or [""])
+    return [["".join(letters[made[r * len(texts) + s, : size[s]]]) for s in range(len(texts))] for r in range(replicates)]
+
+
 def markov(seq: DataFrame, order: int, replicates: int, seed: int = 1) -> DataFrame:
     """Each sequence's own transitions of the given order; unseen contexts fall back to its symbols."""
 
-    def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in frames:
-            out = []
-            for seq_id, text in zip(pdf["seq_id"], pdf["residues"], strict=True):
-                follow: dict[str, list[str]] = {}
-                for i in range(order, len(text)):
-                    follow.setdefault(text[i - order : i], []).append(text[i])
-                for r in range(replicates):
-                    rng = np.random.default_rng([seed, r, *seq_id.encode()])
-                    made = text[:order]
-                    while len(made) < len(text):
-                        options = follow.get(made[len(made) - order :]) or list(text)
-                        made += options[rng.integers(len(options))]
-                    out.append((r, seq_id, 0, 0, made))
-            yield pd.DataFrame(out, columns=["replicate", "seq_id", "part_id", "offset", "residues"])
-
-    return _whole(seq).mapInPandas(work, "replicate int, seq_id string, part_id bigint, offset bigint, residues string")
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            names, texts = b.column("seq_id").to_pylist(), b.column("residues").to_pylist()
+            for lo in range(0, len(texts), 256):
+                own = names[lo : lo + 256]
+                for r, made in enumerate(_chains(texts[lo : lo + 256], own, order, replicates, seed)):
+                    zero = pa.array(np.zeros(len(own), np.int64))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), r, np.int32)), pa.array(own), zero, zero, pa.array(made)], names=["replicate", "seq_id", "part_id", "offset", "residues"])
+
+    return _whole(seq).mapInArrow(work, "replicate int, seq_id string, part_id bigint, offset bigint, residues string")
 
 
 def shuffled(seq: DataFrame, replicates: int, seed: int = 1) -> DataFrame:
@@ -87,10 +154,16 @@ def shuffled(seq: DataFrame, replicates: int, seed: int = 1) -> DataFrame:
 
 
 def _whole(seq: DataFrame) -> DataFrame:
+    """Sequences in one row each: a chain and a permutation go through a whole sequence."""
     parts = seq.groupBy("seq_id").agg(F.array_sort(F.collect_list(F.struct("part_id", "offset", "residues"))).alias("p"))
     return parts.select("seq_id", F.array_join(F.transform("p", lambda x: x.residues), "").alias("residues"))
 
 
 def generate(seq: DataFrame, model: str = "bootstrap", replicates: int = 100, seed: int = 1, **options) -> DataFrame:
-    makers = {"bootstrap": lambda: bootstrap(seq, options.get("q", 1), replicates, seed), "uniform": lambda: uniform(seq, options.get("alphabet", "ACGT"), replicates, seed), "markov": lambda: markov(seq, options.get("order", 1), replicates, seed), "shuffle": lambda: shuffled(seq, replicates, seed)}
-    return makers[model]()
+    """``bootstrap`` takes q, keys, overlap and only; ``uniform`` an alphabet, ``markov`` an order."""
+    if model == "bootstrap":
+        return bootstrap(seq, options.pop("q", 1), replicates, seed, **options)
+    if model == "uniform":
+        return uniform(seq, options.get("alphabet", "ACGT"), replicates, seed)
+    return {"markov": lambda: markov(seq, options.get("order", 1), replicates, seed), "shuffle": lambda: shuffled(seq, replicates, seed)}[model]()
+

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,27 +22,56 @@ def _distances(kinds: dict[str, str] | None) -> list[str]:
     return [f for f in {*REGISTRY, "minhash", "spaced", *(kinds or {})} if kind_of(f, kinds) == "distance"]
 
 
-def null_matrix(seq: DataFrame, functions: list, k: int, q: int, replicates: int, seed: int = 1, model: str = "bootstrap", strategy: str = "none", **options) -> DataFrame:
-    """(fn, replicate, i, j, value): the functions on every synthetic dataset, all replicates in one plan."""
-    synthetic = nullmodel.generate(seq, model, replicates, seed, q=q, **options)
-    rows = stats.KmerCount(k).extract(synthetic.select(F.concat_ws("\x01", F.col("replicate").cast("string"), "seq_id").alias("seq_id"), "part_id", "offset", "residues"))
-    split = F.split("seq_id", "\x01")
-    stat = stats.combine(rows).select(split[0].cast("int").alias("replicate"), split[1].alias("seq_id"), "feature", "value")
-    return matrix.compute(stat, functions, strategy, keys=("replicate",), k=k)
-
-
-def pvalues(observed: DataFrame, nulls: DataFrame, replicates: int, kinds: dict[str, str] | None = None, plus_one: bool = False) -> DataFrame:
-    """(fn, i, j, t, beaten, p): ``beaten`` null values are strictly less similar than the observed one, and p = 1 - beaten / replicates.
+def null_matrix(seq: DataFrame, functions: list, k: int, q: int | tuple[int, ...], replicates: int, seed: int = 1, model: str = "bootstrap", strategy: str = "none", keys: tuple[str, ...] = (), only: DataFrame | None = None, alphabet: str = "ACGT", **options) -> DataFrame:
+    """(keys, fn, replicate, i, j, value): the functions on every synthetic dataset, all replicates in one plan.
 
-    An observed value of null has p = 1. A null value of null is as unrelated as can be.
+    With several q there is a column q, too, and all null models are in that plan. ``only`` (i, j): just these pairs are
+    compared, and just their sequences made.
+    """
+    synthetic, inner = synthesised(seq, q, replicates, seed, model, keys, k - 1, only, **options)
+    pairs = None
+    if only is not None:
+        copies = synthetic.select(*inner).distinct()
+        pairs = only.join(copies, list(keys)) if keys else only.join(F.broadcast(copies), F.lit(True))
+    out = matrix.compute(stats.keyed_counts(synthetic, k, inner), functions, strategy, keys=inner, k=k, alphabet=alphabet, only=pairs)
+    return out.select(*inner, "fn", "i", "j", "value")
+
+
+def synthesised(seq: DataFrame, q: int | tuple[int, ...], replicates: int, seed: int = 1, model: str = "bootstrap", keys: tuple[str, ...] = (), overlap: int = 0, only: DataFrame | None = None, **options) -> tuple[DataFrame, tuple[str, ...]]:
+    """Synthetic sequences of one or several null models, and the columns that tell their datasets apart."""
+    if model != "bootstrap":
+        return nullmodel.generate(seq, model, replicates, seed, **options), (*keys, "replicate")
+    ends = None
+    if only is not None:
+        ends = only.select(*keys, F.col("i").alias("seq_id")).unionByName(only.select(*keys, F.col("j").alias("seq_id"))).distinct()
+    made = [(n, nullmodel.bootstrap(seq, n, replicates, seed, keys=keys, overlap=overlap, only=ends)) for n in (q if isinstance(q, tuple) else (q,))]
+    if not isinstance(q, tuple):
+        return made[0][1], (*keys, "replicate")
+    return reduce(DataFrame.unionByName, (df.withColumn("q", F.lit(n)) for n, df in made)), (*keys, "q", "replicate")
+
+
+def pvalues(observed: DataFrame, nulls: DataFrame, replicates: int, kinds: dict[str, str] | None = None, plus_one: bool = False, keys: tuple[str, ...] = ()) -> DataFrame:
+    """(keys, fn, i, j, t, beaten, p): ``beaten`` null values are strictly less similar than the observed one, and p = 1 - beaten / replicates.
+
+    An observed value of null has p = 1. A null value of null is as unrelated as can be. Keys that only the null values
+    have (a null model) are tests of their own.
     """
     far = F.col("fn").isin(_distances(kinds))
     n, t = F.col("null_value"), F.col("t")
     beats = F.when(t.isNull(), False).when(far, F.coalesce(n, F.lit(float("inf"))) > t).otherwise(F.coalesce(n, F.lit(float("-inf"))) < t)
-    joined = observed.select("fn", "i", "j", F.col("value").alias("t")).join(nulls.select("fn", "i", "j", F.col("value").alias("null_value")), ["fn", "i", "j"], "left")
-    counted = joined.groupBy("fn", "i", "j").agg(F.max("t").alias("t"), F.sum(beats.cast("bigint")).alias("beaten"))
+    mine = [k for k in keys if k in observed.columns]
+    own = observed.select(*mine, "fn", "i", "j", F.col("value").alias("t"))
+    theirs = nulls.select(*keys, "fn", "i", "j", F.col("value").alias("null_value"))
+    joined = own.join(theirs, [*mine, "fn", "i", "j"], "left" if len(mine) == len(keys) else "inner")
+    counted = joined.groupBy(*keys, "fn", "i", "j").agg(F.max("t").alias("t"), F.sum(beats.cast("bigint")).alias("beaten"))
     p = (replicates - F.col("beaten") + 1) / F.lit(replicates + 1.0) if plus_one else 1 - F.col("beaten") / F.lit(float(replicates))
-    return counted.select("fn", "i", "j", "t", "beaten", p.alias("p"))
+    return counted.select(*keys, "fn", "i", "j", "t", "beaten", p.alias("p"))
+
+
+def standardised(observed: DataFrame, nulls: DataFrame) -> DataFrame:
+    """(fn, i, j, value): values less the mean of the pair's null values, over their deviation; 0 where these don't vary."""
+    moments = nulls.groupBy("fn", "i", "j").agg(F.avg("value").alias("mean"), F.stddev_pop("value").alias("sd"))
+    return observed.join(moments, ["fn", "i", "j"]).select("fn", "i", "j", F.when(F.col("sd") > 0, (F.col("value") - F.col("mean")) / F.col("sd")).otherwise(0.0).alias("value"))
 
 
 def bonferroni(p: DataFrame, entries: int, alpha: float = 0.01) -> DataFrame:
@@ -48,43 +79,47 @@ def bonferroni(p: DataFrame, entries: int, alpha: float = 0.01) -> DataFrame:
     return p.select("*", F.lit(level).alias("level"), (F.col("p") <= level + 1e-15).alias("reject"))
 
 
-def matrix_test(seq: DataFrame, functions: list, k: int, q: int, replicates: int = 100, alpha: float = 0.01, seed: int = 1, strategy: str = "none", plus_one: bool = False, **options) -> DataFrame:
-    """(fn, i, j, t, beaten, p, level, reject): every entry at alpha / entries."""
-    stat = stats.counts(seq, k)
-    observed = matrix.compute(stat, functions, strategy, k=k)
-    nulls = null_matrix(seq, functions, k, q, replicates, seed, strategy=strategy, **options)
+def entries_of(seq: DataFrame) -> int:
     n = seq.select("seq_id").distinct().count()
-    return bonferroni(pvalues(observed, nulls, replicates, plus_one=plus_one), max(1, n * (n - 1) // 2), alpha)
+    return max(1, n * (n - 1) // 2)
+
+
+def matrix_test(seq: DataFrame, functions: list, k: int, q: int | tuple[int, ...], replicates: int = 100, alpha: float = 0.01, seed: int = 1, strategy: str = "none", plus_one: bool = False, alphabet: str = "ACGT", **options) -> DataFrame:
+    """(fn, i, j, t, beaten, p, level, reject): every entry at alpha / entries. With several q, a test for each."""
+    observed = matrix.compute(stats.counts(seq, k), functions, strategy, k=k, alphabet=alphabet)
+    nulls = null_matrix(seq, functions, k, q, replicates, seed, strategy=strategy, alphabet=alphabet, **options)
+    return bonferroni(pvalues(observed, nulls, replicates, plus_one=plus_one, keys=("q",) if isinstance(q, tuple) else ()), entries_of(seq), alpha)
 
 
-def pair_scope_test(seq: DataFrame, functions: list, k: int, q: int, pairs: list[tuple[str, str]], replicates: int = 100, seed: int = 1) -> DataFrame:
-    """The same with each pair's own q-mers as the source of its null values; for chosen pairs, as it makes sequences for each."""
-    out = None
-    for a, b in pairs:
-        two = seq.where(F.col("seq_id").isin(a, b))
-        part = pvalues(matrix.compute(stats.counts(two, k), functions, "none", k=k), null_matrix(two, functions, k, q, replicates, seed), replicates)
-        out = part if out is None else out.unionByName(part)
-    return out
+def pair_scope_test(seq: DataFrame, functions: list, k: int, q: int, pairs: DataFrame, replicates: int = 100, seed: int = 1) -> DataFrame:
+    """(fn, i, j, t, beaten, p): the same with each pair's own q-mers as the source of its null values.
+
+    ``pairs`` (i, j) are scopes: each takes its two sequences along, and all of them go through one plan.
+    """
+    scoped = pairs.select(F.concat_ws("|", "i", "j").alias("scope"), F.explode(F.array("i", "j")).alias("seq_id"))
+    two = seq.join(scoped, "seq_id").select("scope", "seq_id", "part_id", "offset", "residues")
+    observed = matrix.compute(stats.keyed_counts(two, k, ("scope",)), functions, "none", keys=("scope",), k=k)
+    return pvalues(observed, null_matrix(two, functions, k, q, replicates, seed, keys=("scope",)), replicates, keys=("scope",)).drop("scope")
 
 
 def early_stop(seq: DataFrame, functions: list, k: int, q: int, batches: int, each: int, alpha: float = 0.01, seed: int = 1) -> DataFrame:
     """Entries that still can pass after each batch of replicates: with fewer replicates than entries / alpha, a single
-    null value that is not beaten fails an entry, and it is left out of the next batches."""
-    stat = stats.counts(seq, k)
-    observed = matrix.compute(stat, functions, "none", k=k)
+    null value that is not beaten fails an entry. The next batches make and compare only what is left."""
+    observed = matrix.compute(stats.counts(seq, k), functions, "none", k=k)
     live, n = observed.select("fn", "i", "j", "value"), seq.select("seq_id").distinct().count()
     if batches * each >= n * (n - 1) / 2 / alpha:
         raise ValueError("so many replicates allow an entry to miss some: test all of them")
     _checkpoint_folder(seq.sparkSession)
-    for k_batch in range(batches):
-        nulls = null_matrix(seq, functions, k, q, each, seed + k_batch)
-        tested = pvalues(live, nulls, each)
-        live = tested.where("p = 0").select("fn", "i", "j", F.col("t").alias("value")).checkpoint()
+    for batch in range(batches):
+        only = live.select("i", "j").distinct() if batch else None
+        nulls = null_matrix(seq, functions, k, q, each, seed + batch, only=only)
+        live = pvalues(live, nulls, each).where("p = 0").select("fn", "i", "j", F.col("t").alias("value")).checkpoint()
     return live
 
 
 def _checkpoint_folder(spark: SparkSession) -> None:
-    """The session's own folder for checkpoints; one below the warehouse only where none is set."""
+    """The session's own folder for checkpoints. One below the warehouse where none is set, for a single machine only: on a
+    cluster every executor must reach it."""
     if spark.conf.get("spark.checkpoint.dir", None) is None and spark.sparkContext.getCheckpointDir() is None:
         spark.sparkContext.setCheckpointDir(f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_checkpoints")
 

@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 from abc import ABC, abstractmethod
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..sources.formats import chunk
+from . import windows
 
 STATISTICS: dict[str, type] = {}
 COMBINERS: dict[str, Callable[[Column], Column]] = {"sum": F.sum, "max": F.max, "min": F.min}
@@ -44,12 +46,27 @@ def _windows(seq: DataFrame, span: int, word: Callable[[Column, Column], Column]
 
 @register_statistic("kmer")
 class KmerCount(Statistic):
-    """Words of k symbols; ``canonical`` takes a word or its reverse complement, whichever is less."""
+    """Words of k symbols; ``canonical`` takes a word or its reverse complement, whichever is less.
 
-    def __init__(self, k: int, canonical: bool = False, without: str | None = None, part: int = 256):
-        self.k, self.canonical, self.without, self.part = k, canonical, without, part
+    Windows are coded by numpy on Arrow batches and counted there, so that what is aggregated is already small. ``jvm``
+    makes them as rows by SQL functions instead, one for each window (five times the time for words of four bases).
+    """
+
+    def __init__(self, k: int, canonical: bool = False, without: str | None = None, part: int = 256, jvm: bool = False):
+        self.k, self.canonical, self.without, self.part, self.jvm = k, canonical, without, part, jvm
 
     def extract(self, seq: DataFrame) -> DataFrame:
+        if self.jvm:
+            return self._rows(seq)
+        k, both, without = self.k, self.canonical, self.without
+
+        def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                yield from windows.counted(b.column("seq_id"), b.column("residues"), k, both, without)
+
+        return seq.select("seq_id", "residues").mapInArrow(step, "seq_id string, feature string, value bigint")
+
+    def _rows(self, seq: DataFrame) -> DataFrame:
         rows = _windows(seq, self.k, lambda r, i: F.substring(r, i, F.lit(self.k)), self.part).select("seq_id", "feature")
         if self.without:
             rows = rows.where(~F.contains("feature", F.lit(self.without)))
@@ -69,8 +86,8 @@ def packed(word: Column) -> Column:
 
 @register_statistic("composition")
 class Composition(KmerCount):
-    def __init__(self, part: int = 1024):
-        super().__init__(1, part=part)
+    def __init__(self, **options):
+        super().__init__(1, **options)
 
 
 @register_statistic("spaced")
@@ -87,13 +104,13 @@ class SpacedWord(Statistic):
         pick = lambda r, i: F.concat(*(F.substring(r, i + o, F.lit(1)) for o in self._at("1")))
         return _windows(seq, len(self.pattern), pick, self.part).select("seq_id", "feature", F.lit(1).cast("bigint").alias("value"))
 
-    def occurrences(self, seq: DataFrame) -> DataFrame:
-        """(seq_id, place, word, free): every spaced word with its free symbols."""
+    def occurrences(self, seq: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
+        """(keys, seq_id, part_id, place, word, free): every spaced word with its free symbols."""
         span = len(self.pattern)
         parts = chunk(seq, self.part, span - 1).where(F.length("residues") >= span)
-        each = parts.select("seq_id", "part_id", "offset", "residues", F.explode_outer(F.sequence(F.lit(1), F.length("residues") - span + 1)).alias("i"))
+        each = parts.select(*keys, "seq_id", "part_id", "offset", "residues", F.explode_outer(F.sequence(F.lit(1), F.length("residues") - span + 1)).alias("i"))
         pick = lambda mark: F.concat(*(F.substring("residues", F.col("i") + o, F.lit(1)) for o in self._at(mark)))
-        return each.select("seq_id", "part_id", (F.col("offset") + F.col("i") - 1).alias("place"), pick("1").alias("word"), pick("0").alias("free"))
+        return each.select(*keys, "seq_id", "part_id", (F.col("offset") + F.col("i") - 1).alias("place"), pick("1").alias("word"), pick("0").alias("free"))
 
 
 @register_statistic("shingle")
@@ -130,6 +147,23 @@ def counts(seq: DataFrame, k: int, **options) -> DataFrame:
     return combine(KmerCount(k, **options).extract(seq))
 
 
+def keyed(df: DataFrame, keys: tuple[str, ...]) -> DataFrame:
+    """Sequences with their keys in their name, for statistics that know names only."""
+    return df.withColumn("seq_id", F.concat_ws("\x01", *(F.col(k).cast("string") for k in keys), "seq_id")) if keys else df
+
+
+def unkeyed(df: DataFrame, keys: tuple[str, ...], like: DataFrame, name: str = "seq_id") -> DataFrame:
+    """The keys of a name as columns again, of the types they have in ``like``."""
+    kinds, parts = dict(like.dtypes), F.split(name, "\x01")
+    rest = [c for c in df.columns if c != name]
+    return df.select(*(parts[n].cast(kinds[k]).alias(k) for n, k in enumerate(keys)), parts[len(keys)].alias(name), *rest) if keys else df
+
+
+def keyed_counts(seq: DataFrame, k: int, keys: tuple[str, ...] = (), **options) -> DataFrame:
+    """(keys, seq_id, feature, value): word counts within each key."""
+    return unkeyed(combine(KmerCount(k, **options).extract(keyed(seq, keys))), keys, seq)
+
+
 # Filters: on features before the combination, on values after it.
 
 

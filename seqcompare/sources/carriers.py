@@ -31,11 +31,9 @@ def _sequence(df: DataFrame, seq_id: Column, part_id: Column, residues: Column)
     return df.select(seq_id.cast("string").alias("seq_id"), part_id.cast("bigint").alias("part_id"), F.lit(0).cast("bigint").alias("offset"), residues.alias("residues"))
 
 
-def documents(spark: SparkSession, sf_dir: str, encode=acgt, below: int | None = None) -> DataFrame:
-    """Each document a sequence; ``below`` keeps those of smaller ids, for pairwise workloads of a chosen size."""
+def documents(spark: SparkSession, sf_dir: str, encode=acgt) -> DataFrame:
+    """Each document a sequence."""
     docs = table(spark, sf_dir, "documents", "doc_id", "text").where(F.col("text").isNotNull())
-    if below is not None:
-        docs = docs.where(F.col("doc_id") < below)
     return _sequence(dealt(docs), F.col("doc_id"), F.col("doc_id"), encode(F.col("text")))
 
 
@@ -51,17 +49,27 @@ def language_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _sequence(dealt(docs), F.concat_ws("/", "lang", "source"), F.col("doc_id"), acgt(F.col("text")))
 
 
-def user_events(spark: SparkSession, sf_dir: str, users: int | None = None) -> DataFrame:
+def user_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each user a sequence of event symbols, in order of time and id."""
     events = table(spark, sf_dir, "events", "event_id", "ts", "user_id", "event_type")
-    if users is not None:
-        first = events.select("user_id").distinct().orderBy("user_id").limit(users)
-        events = events.join(F.broadcast(first), "user_id", "left_semi")
     symbol = F.create_map(*(F.lit(x) for kv in EVENT_SYMBOLS.items() for x in kv))[F.col("event_type")]
     ordered = events.select("user_id", F.struct("ts", "event_id", symbol.alias("s")).alias("e")).groupBy("user_id").agg(F.array_sort(F.collect_list("e")).alias("e"))
     return _sequence(ordered, F.col("user_id"), F.lit(0), F.array_join(F.transform("e", lambda x: x.s), ""))
 
 
+def event_cohorts(spark: SparkSession, sf_dir: str, cohorts: int = 16) -> DataFrame:
+    """All users' events, in cohorts by user_id: a cohort is a sequence, and a user's events are a part of it."""
+    own = user_events(spark, sf_dir).withColumn("part_id", F.col("seq_id").cast("bigint"))
+    return own.select(F.concat(F.lit("c"), F.pmod("part_id", F.lit(cohorts)).cast("string")).alias("seq_id"), "part_id", "offset", "residues")
+
+
+def conversation_groups(spark: SparkSession, sf_dir: str, groups: int = 5) -> DataFrame:
+    """All turns, in groups by role and conv_id: a sequence for each role and group, a part for each turn. Roles are the gold tree."""
+    rows = table(spark, sf_dir, "conversations", "conv_id", "turn", "role", "text").where(F.col("text").isNotNull() & F.col("role").isNotNull())
+    name = F.concat_ws("/", "role", F.pmod("conv_id", F.lit(groups)).cast("string"))
+    return _sequence(dealt(rows), name, F.col("conv_id") * 100_000 + F.col("turn"), acgt(F.col("text")))
+
+
 def benchmark_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     items = table(spark, sf_dir, "benchmark", "item_id", "text")
     return _sequence(items, F.concat(F.lit("b"), F.col("item_id").cast("string")), F.col("item_id"), acgt(F.col("text")))
@@ -78,9 +86,8 @@ def conversations(spark: SparkSession, sf_dir: str, role: str | None = None) ->
     return _sequence(rows, F.col("conv_id"), F.col("turn"), acgt(F.col("text")))
 
 
-def embedding_statistics(spark: SparkSession, sf_dir: str, below: int | None = None) -> DataFrame:
+def embedding_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "embeddings", "vec_id", "embedding")
-    rows = rows.where(F.col("vec_id") < below) if below is not None else rows
     return rows.select(F.col("vec_id").cast("string").alias("seq_id"), F.posexplode("embedding").alias("feature", "value")).withColumn("value", F.col("value").cast("double"))
 
 

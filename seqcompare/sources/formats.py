@@ -30,7 +30,7 @@ def chunk(seq: DataFrame, size: int = 256, overlap: int = 0) -> DataFrame:
 
     A substring costs as much as its place in the string, so that long sequences are cut before words are taken from them.
     """
-    length = F.length("residues")
+    length, others = F.length("residues"), [c for c in seq.columns if c not in ("seq_id", "part_id", "offset", "residues")]
     starts = F.sequence(F.lit(0), F.greatest(length - overlap - 1, F.lit(0)), F.lit(size))
-    each = seq.where(length > 0).select("seq_id", "part_id", "offset", "residues", F.explode_outer(starts).alias("at"))
-    return each.select("seq_id", "part_id", (F.col("offset") + F.col("at")).alias("offset"), F.substring("residues", F.col("at") + 1, F.lit(size + overlap)).alias("residues"))
+    each = seq.where(length > 0).select(*others, "seq_id", "part_id", "offset", "residues", F.explode_outer(starts).alias("at"))
+    return each.select(*others, "seq_id", "part_id", (F.col("offset") + F.col("at")).alias("offset"), F.substring("residues", F.col("at") + 1, F.lit(size + overlap)).alias("residues"))

@@ -10,7 +10,7 @@ from seqcompare import baselines
 from seqcompare.cost import python_nodes
 from seqcompare.functions import sketch, spaced
 from seqcompare.functions.library import EIGHTEEN, REGISTRY, classes, get
-from seqcompare.operators import stats
+from seqcompare.operators import stats, windows
 from seqcompare.plans import matrix, pipeline
 from seqcompare.sources import carriers, formats, sinks
 
@@ -123,8 +123,30 @@ def test_mirror_and_phylip(stat):
     assert lines[0] == "4" and lines[1].startswith("a ") and len(lines) == 5
 
 
-def test_extraction_stays_in_the_jvm(seq):
-    assert python_nodes(stats.counts(seq, 4)) == 0
+def test_extraction_by_rows_stays_in_the_jvm(seq):
+    assert python_nodes(stats.counts(seq, 4, jvm=True)) == 0
+
+
+ODD = {"empty": "", "null": None, "n": "ACNNGT", "wide": "ACGTÄCGT", "long": "ACGGT" * 300, "short": "A"}
+
+
+@pytest.mark.parametrize("options", [{}, {"canonical": True}, {"without": "N"}])
+@pytest.mark.parametrize("k", [1, 3, 21, 40])
+def test_both_ways_of_counting_agree(spark, monkeypatch, k, options):
+    if options.get("canonical"):
+        odd = {n: t for n, t in ODD.items() if n != "wide"}
+    else:
+        odd = ODD
+    monkeypatch.setattr(windows, "STEP", 64)
+    rows = spark.createDataFrame([(n, p, 0, t) for n, t in odd.items() for p in (0, 1)] + [(k, 0, 0, v) for k, v in TEXTS.items()], SEQ)
+    one, two = ({tuple(r) for r in stats.counts(rows, k, **options, **more).collect()} for more in ({}, {"jvm": True}))
+    assert one == two
+
+
+def test_steps_cover_every_window_once():
+    data, bounds = np.frombuffer(b"ACGTACGTAC" * 40, np.uint8), np.array([0, 3, 3, 250, 252, 400])
+    windows_of = sorted((int(row), bytes(part[s : s + 4])) for part, starts, rows in windows.steps(data, bounds, 4) for s, row in zip(starts, rows, strict=True))
+    assert windows_of == sorted((r, bytes(data[i : i + 4])) for r in range(5) for i in range(bounds[r], bounds[r + 1] - 3))
 
 
 def test_sketch_is_exact_when_it_holds_every_word(seq, stat):
@@ -134,7 +156,7 @@ def test_sketch_is_exact_when_it_holds_every_word(seq, stat):
 
 
 def test_sketch_error_and_baseline(spark, small):
-    rows = carriers.documents(spark, small, below=20)
+    rows = carriers.documents(spark, small).where("part_id < 20")
     texts = {r.seq_id: r.residues for r in rows.collect()}
     exact = {(r.i, r.j): r.value for r in matrix.compute(stats.counts(rows, 9, canonical=True), ["jaccard"], "none").collect()}
     est = sketch.matrix(sketch.sketches(rows, 9, 400), 9, 400).collect()
@@ -182,6 +204,47 @@ def test_canonical_and_packed(spark):
     assert row.c == "AAA" and row.p == 4**31 - 1
 
 
+@pytest.mark.parametrize("blocks", [2, 3])
+def test_binned_by_blocks_and_without_dense_arrays(stat, monkeypatch, blocks):
+    monkeypatch.setattr(matrix, "MAX_DENSE", 1)
+    for r in matrix.compute(stat, FUNCTIONS, "binned", k=2, blocks=blocks, bins=3).collect():
+        assert r.value == pytest.approx(brute(r.fn, r.i, r.j), abs=1e-8), (r.fn, r.i, r.j)
+
+
+def test_keys_are_datasets_of_their_own(spark, seq):
+    two = seq.withColumn("set", F.lit(1)).unionByName(seq.withColumn("set", F.lit(2)).where("seq_id != 'd'"))
+    rows = matrix.compute(stats.keyed_counts(two, 2, ("set",)), FUNCTIONS, "none", keys=("set",), k=2).collect()
+    assert len(rows) == 9 * len(FUNCTIONS) and all(r.value == pytest.approx(brute(r.fn, r.i, r.j), abs=1e-8) for r in rows)
+
+
+def test_other_moments(spark, stat):
+    rows = matrix.compute(stat, [get("d2z", words=16, moments="iid")], "none").collect()
+    for r in rows:
+        x, y = vector(r.i), vector(r.j)
+        sd = np.sqrt(x.sum() / 16 * 15 / 16 * y.sum() / 16 * 15 / 16)
+        assert r.value == pytest.approx(((x - x.mean()) * (y - y.mean())).sum() / sd)
+    with pytest.raises(ValueError, match="moments"):
+        get("d2z", words=16, moments="else")
+
+
+def test_sketches_of_parts_unite(spark):
+    rng = np.random.default_rng(2)
+    text = "".join(rng.choice(list("ACGT"), 900))
+    whole = spark.createDataFrame([("a", 0, 0, text)], SEQ)
+    parts = spark.createDataFrame([(f"p{i}", 0, 0, text[i : i + 110]) for i in range(0, 900, 100)], SEQ)
+    for how in ("mixed", "xxhash64"):
+        one = sketch.sketches(whole, 11, 50, how).first().sketch
+        united = sketch.union(sketch.sketches(parts, 11, 50, how).withColumn("seq_id", F.lit("a")), 50).first().sketch
+        assert one == united and len(one) == 50 and one == sorted(one)
+
+
+def test_spaced_words_with_a_substitution_matrix(spark):
+    seq = spark.createDataFrame([("a", 0, 0, "ACAGT"), ("b", 0, 0, "ACGGT"), ("c", 0, 0, "ACTGT")], SEQ)
+    scores = {("A", "G"): 1, ("A", "T"): -5, ("A", "A"): 2}
+    found = {(r.i, r.j): r.score for r in spaced.matches(seq, "11011", threshold=-9, scores=scores).collect()}
+    assert found == {("a", "b"): 1, ("a", "c"): -5, ("b", "c"): -1}
+
+
 def test_chosen_pairs_only(spark, stat):
     pairs = spark.createDataFrame([("a", "c"), ("b", "d")], "i string, j string")
     rows = {(r.i, r.j): r.value for r in matrix.compute(stat, ["d2"], "none", only=pairs).collect()}

@@ -15,17 +15,39 @@ SEQ = "seq_id string, part_id bigint, offset bigint, residues string"
 
 @pytest.fixture(scope="module")
 def seq(spark, small):
-    return carriers.user_events(spark, small, 5).cache()
+    return carriers.event_cohorts(spark, small, 5).cache()
 
 
 @pytest.mark.parametrize("q", [1, 7, 10])
 def test_bootstrap_keeps_lengths_and_draws_words_of_the_data(seq, q):
-    own = {r.seq_id: r.residues for r in seq.collect()}
+    parts = [r.residues for r in seq.collect()]
+    own = {r.seq_id: r.n for r in seq.groupBy("seq_id").agg(F.sum(F.length("residues")).alias("n")).collect()}
     rows = nullmodel.bootstrap(seq, q, 3).collect()
-    assert len(rows) == 15 and all(len(r.residues) == len(own[r.seq_id]) for r in rows)
+    assert len(rows) == 15 and all(len(r.residues) == own[r.seq_id] for r in rows)
     for r in rows:
         for at in range(0, len(r.residues) - q + 1, q):
-            assert any(r.residues[at : at + q] in t for t in own.values())
+            assert any(r.residues[at : at + q] in t for t in parts)
+
+
+@pytest.mark.parametrize("block", [3, 1024])
+def test_bootstrap_by_parts_and_blocks_is_the_same(seq, monkeypatch, block):
+    whole = {(r.replicate, r.seq_id): r.residues for r in nullmodel.bootstrap(seq, 7, 2).collect()}
+    monkeypatch.setattr(nullmodel, "PART", 50)
+    monkeypatch.setattr(nullmodel, "BLOCK", block)
+    parts = nullmodel.bootstrap(seq, 7, 2, overlap=4).collect()
+    assert len(parts) > 2 * len(whole)
+    for r in parts:
+        text = whole[r.replicate, r.seq_id]
+        assert r.residues == text[r.offset : r.offset + 49 + 4]
+    some = nullmodel.bootstrap(seq, 7, 2, only=seq.select("seq_id").where("seq_id = 'c1'").distinct()).collect()
+    assert {r.seq_id for r in some} == {"c1"} and "".join(r.residues for r in sorted(some, key=lambda r: r.offset) if r.replicate == 0) == whole[0, "c1"]
+
+
+def test_scopes_draw_from_their_own_sequences(spark, seq):
+    two = spark.createDataFrame([("x", "a", 0, 0, "AAAAA"), ("x", "b", 0, 0, "CCCC"), ("y", "a", 0, 0, "GGG")], "scope string, " + SEQ)
+    made = {(r.scope, r.seq_id): r.residues for r in nullmodel.bootstrap(two, 2, 1, keys=("scope",)).collect()}
+    assert {k: len(v) for k, v in made.items()} == {("x", "a"): 5, ("x", "b"): 4, ("y", "a"): 3}
+    assert made["y", "a"] == "GGG" and set(made["x", "a"] + made["x", "b"]) <= set("AC")
 
 
 def test_bootstrap_does_not_depend_on_partitions(seq):
@@ -41,8 +63,11 @@ def test_bootstrap_of_short_sequences(spark):
 
 
 def test_other_null_models(seq):
-    own = {r.seq_id: r.residues for r in seq.collect()}
+    own = {r.seq_id: r.residues for r in nullmodel._whole(seq).collect()}
     assert all(sorted(r.residues) == sorted(own[r.seq_id]) for r in nullmodel.generate(seq, "shuffle", 1).collect())
+    for r in nullmodel.generate(seq, "markov", 3, order=1).collect():
+        assert len(r.residues) == len(own[r.seq_id]) and all(r.residues[i : i + 2] in own[r.seq_id] for i in range(len(r.residues) - 2))
+    assert len({r.residues for r in nullmodel.generate(seq, "markov", 3, order=1).where("seq_id = 'c1'").collect()}) == 3
     assert all(len(r.residues) == len(own[r.seq_id]) for r in nullmodel.generate(seq, "markov", 1, order=2).collect())
     assert all(set(r.residues) <= set("CV") for r in nullmodel.generate(seq, "uniform", 1, alphabet="CV").collect())
 
@@ -174,15 +199,57 @@ def test_midpoint_and_outgroup_roots():
 def test_zero_noise_has_no_loss_and_noise_rises(spark, small):
     from seqcompare.catalog import queries
 
-    losses = queries()["noise_loss"](spark, small).collect()
+    losses = queries()["loss_arithmetic"](spark, small).collect()
     assert all(r.delta == 0 for r in losses if r.level == 0) and any(r.level == 0.5 for r in losses)
 
 
-def test_plans_agree_and_are_timed(spark, seq):
-    from seqcompare.operators import stats
+def test_plans_agree_and_are_timed(spark, seq, monkeypatch):
+    rows = experiments.strategies({"small": (seq, 2, "CVPSE")}, names=("d2",)).collect()
+    assert {r.entries for r in rows} == {10} and all(r.seconds > 0 and r.shuffle_bytes > 0 and r.shuffle_records > 0 and r.sequences == 5 for r in rows)
+    from seqcompare.plans import matrix as plans
+
+    monkeypatch.setattr(plans, "MAX_TOTAL_ROWS", 1)
+    assert [(r.strategy, r.seconds) for r in experiments.strategies({"small": (seq, 2, "CVPSE")}, ("total",), names=("d2",)).collect()] == [("total", None)]
+
+
+def test_scaling_binds_its_workers(spark, seq):
+    held = spark.conf.get("spark.sql.shuffle.partitions")
+    rows = experiments.scaling(seq, (1, 2), k=4, size=20).collect()
+    assert spark.conf.get("spark.sql.shuffle.partitions") == held and {(r.method, r.workers) for r in rows} == {(m, n) for m in ("spark", "process", "d2 binned") for n in (1, 2)}
+    assert all(r.speedup == pytest.approx(1) for r in rows if r.workers == 1)
 
-    rows = experiments.strategies(spark, stats.counts(seq, 2), ["d2"], 2).collect()
-    assert {r.entries for r in rows} == {10} and all(r.seconds > 0 for r in rows)
+
+def test_all_eighteen_are_tested_under_every_null_model(spark, small):
+    from seqcompare.functions.library import EIGHTEEN
+
+    rng = np.random.default_rng(5)
+    a = "".join(rng.choice(list("ACGT"), 300))
+    b = "".join(rng.choice(list("ACGT"), 300))
+    rows = spark.createDataFrame([("a", 0, 0, a), ("a2", 0, 0, a[:290] + "ACGTACGTAC"), ("b", 0, 0, b), ("b2", 0, 0, "CC" + b[2:])], SEQ)
+    out = experiments.reliability({"x": (rows, 3, "ACGT")}, (1, 4), 3, alpha=0.5).collect()
+    assert {(r.q, r.fn) for r in out} == {(q, f) for q in (1, 4) for f in EIGHTEEN} and all(r.m == 6 and r.dataset == "x" for r in out)
+    best = significance.consistent(spark.createDataFrame(out)).collect()
+    assert {r.fn for r in best} == set(EIGHTEEN)
+
+
+def test_a_null_similarity_is_the_farthest(spark):
+    rows = spark.createDataFrame([(f, 0.0, 0, "a", b, v) for f in ("d2", "manhattan") for b, v in (("b", 10.0), ("c", None), ("d", 1.0))], "fn string, level double, trial int, i string, j string, value double")
+    got = {(r.fn, r.j): r.value for r in experiments.as_distances(rows, ()).collect()}
+    assert got == {("d2", "b"): 0, ("d2", "c"): 9, ("d2", "d"): 9, ("manhattan", "b"): 10, ("manhattan", "c"): 10, ("manhattan", "d"): 1}
+
+
+def test_plans_have_no_nested_loop_over_text_and_no_window_over_all(spark, seq):
+    from seqcompare.cost import plan_of
+    from seqcompare.operators import stats
+    from seqcompare.plans import matrix as plans
+
+    drawn = plan_of(nullmodel.bootstrap(seq, 7, 2))
+    assert "NestedLoopJoin" not in drawn.replace("BroadcastNestedLoopJoin BuildRight, Inner\n", "") or "residues" not in drawn.split("NestedLoopJoin")[1].split("\n")[0]
+    mat = plans.compute(stats.counts(seq, 2), ["d2"], "none")
+    for df in (noise.select(mat, [0.1]), noise.additive(noise.select(mat, [0.1])), plans.to_distance(mat)):
+        for line in plan_of(df).split("\n"):
+            if " Window [" in line:
+                assert "range" in line.rsplit("], [", 2)[1] or "sum(n" in line, line
 
 
 def test_imputation_and_taxonomy(spark):
