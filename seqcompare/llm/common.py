@@ -31,13 +31,21 @@ _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``, else one below the warehouse."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``. In local mode, where it may be unset, one below the warehouse."""
     found = spark.conf.get("spark.checkpoint.dir", None)
+    if not found and not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     return found or f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_stages"
 
 
+#: Tables written in the shared folder by this process, in order.
+_WRITTEN: list[str] = []
+
+
 def stage_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    _WRITTEN.append(path)
+    return path
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
@@ -49,6 +57,19 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def stage_tables() -> list[str]:
+    """Tables written so far that are still there."""
+    return list(_WRITTEN)
+
+
+def dropped(spark: SparkSession, tables: list[str]) -> None:
+    """Remove tables that nothing reads any more."""
+    for path in tables:
+        place = spark._jvm.org.apache.hadoop.fs.Path(path)
+        place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+        _WRITTEN.remove(path)
+
+
 def sent(spark: SparkSession, thing: object) -> Broadcast:
     """A broadcast of anything, whole: ``got`` opens it in a task. Only for things of a bounded size."""
     return spark.sparkContext.broadcast(cloudpickle.dumps(thing))
@@ -79,10 +100,11 @@ def got(parcel: Broadcast) -> object:
 
 
 def lean(spark: SparkSession) -> None:
-    """Arrow batches of fewer rows, as rows are whole documents here and a batch is in memory several times over."""
+    """Arrow batches of fewer rows, as rows are whole documents here and a batch is in memory several times over.
+
+    It is read when a query runs, so that it can't be put back before; queries of other kinds only get more batches.
+    """
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1000")
-    # small lists of many groups are gathered by hash; a task's groups are bounded by its partition
-    spark.conf.set("spark.sql.objectHashAggregate.sortBased.fallbackThreshold", "200000")
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -101,9 +123,21 @@ def bundled(docs: DataFrame, keep: tuple[str, ...]) -> DataFrame:
     return docs.select("doc_id", "text", *([F.struct(*(F.col(k).alias(f"c{i}") for i, k in enumerate(keep))).alias("_kept")] if keep else []))
 
 
+def kept_names(own: list[str], keep: tuple[str, ...]) -> dict[str, str]:
+    """What kept columns are called in a result: their own name, or ``input_`` before it where the operator's column has it."""
+    out: dict[str, str] = {}
+    for k in keep:
+        name = k
+        while name in own or name in out.values() or (name != k and name in keep):
+            name = f"input_{name}"
+        out[k] = name
+    return out
+
+
 def unbundled(df: DataFrame, keep: tuple[str, ...]) -> DataFrame:
-    """The kept columns under their names again; where an operator's own column has the name, the kept one stays."""
-    return df.select(*(c for c in df.columns if c not in ("_kept", *keep)), *(F.col(f"_kept.c{i}").alias(k) for i, k in enumerate(keep)))
+    """The operator's columns, and the kept ones by ``kept_names``."""
+    own = [c for c in df.columns if c != "_kept"]
+    return df.select(*own, *(F.col(f"_kept.c{i}").alias(name) for i, name in enumerate(kept_names(own, keep).values())))
 
 
 def packed(df: DataFrame, *keep: str) -> DataFrame:

@@ -24,6 +24,8 @@ from .common import Words, batch, bundled, grams, mixed, packed, signed, starts_
 
 WINDOW = 20
 GRAM = 8
+#: Columns of a result.
+COLUMNS = ("doc_id", "n_words", "n_removed", "kept_sha256", "text")
 CELL_BITS = 40
 BITMAP_BITS = 26
 #: Cells that a task holds before it hands a sketch on.

@@ -9,6 +9,7 @@ from zlib import crc32
 
 import numpy as np
 import pytest
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from seqcompare.llm import (
@@ -151,6 +152,56 @@ def test_decontamination_finds_planted_passages(spark, hard, empty):
     assert decontamination.overlaps(empty, bench).count() == 0 and decontamination.overlaps(docs, bench.limit(0)).count() == 0
 
 
+def test_short_items_and_ties(spark):
+    item = prose(15)
+    swapped = item.split()
+    swapped[5] = swapped[10] = "other"
+    bench = spark.createDataFrame([(1, "one two three"), (2, item), (3, item)], "item_id long, text string")
+    rows = [(1, "zero One, two; three four"), (2, "one two"), (3, "one two four three"), (4, " ".join(swapped)), (5, f"{item} and {item}")]
+    found = {(r.doc_id, r.item_id): r for r in decontamination.overlaps(spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()}
+    assert set(found) == {(1, 1), (4, 2), (4, 3), (5, 2), (5, 3)}
+    assert (found[1, 1].first_token, found[1, 1].last_token) == (1, 3) and found[5, 2].first_token == 16
+
+
+def best_runs(doc, item):
+    """The best run of every diagonal, by trying all."""
+    out = []
+    for shift in range(1 - len(item), len(doc)):
+        now = best = 0
+        for k in range(len(item)):
+            if 0 <= k + shift < len(doc):
+                now = max(0, now + (1 if doc[k + shift] == item[k] else -2))
+                best = max(best, now)
+        out.append(best)
+    return out
+
+
+def test_decontamination_equals_brute_force(spark):
+    draw = np.random.default_rng(4)
+    items = [list(draw.choice(VOCABULARY[:60], n)) for n in (12, 20, 40, 40)]
+    docs = []
+    for k in range(60):
+        own = list(draw.choice(VOCABULARY[:60], 60))
+        item = items[k % 4]
+        lo, hi = sorted(draw.integers(0, len(item) + 1, 2))
+        part = [w if draw.random() > 0.08 else "new" for w in item[lo:hi]]
+        docs.append(own[:20] + part + own[20:])
+    got = {(r.doc_id, r.item_id): r.score for r in decontamination.overlaps(spark.createDataFrame([(i, " ".join(d)) for i, d in enumerate(docs)], "doc_id long, text string"), spark.createDataFrame([(i, " ".join(x)) for i, x in enumerate(items)], "item_id long, text string")).collect()}
+    masks, missed = decontamination.MASKS, 0
+    for i, d in enumerate(docs):
+        for j, x in enumerate(items):
+            best, needed = max(best_runs(d, x)), min(10, math.ceil(0.6 * len(x)))
+            if (i, j) in got:
+                assert got[i, j] <= best and got[i, j] >= needed
+            elif best >= needed:
+                # only where no mask fits on the diagonal of the best run
+                missed += 1
+                seeds = {tuple(x[p + o] for o in m) + (k,) for k, m in enumerate(masks) for p in range(len(x) - 9)}
+                at = {tuple(d[p + o] for o in m) + (k,) for k, m in enumerate(masks) for p in range(len(d) - 9)}
+                assert not seeds & at
+    assert len(got) > 20 and missed <= len(got) / 5
+
+
 def test_decontamination_beyond_the_broadcast(spark, hard, monkeypatch):
     bench = spark.createDataFrame([(1, PASSAGE)], "item_id long, text string")
     expected = {tuple(r) for r in decontamination.overlaps(hard, bench).collect()}
@@ -189,6 +240,22 @@ def test_warc_keeps_payloads_of_rows_without_an_id(spark):
     assert len(back) == 10 and [r.block for r in back if "Type: response" in r.header and "page:none" in r.header] == ["alone", "alone"]
 
 
+def test_warc_parses_what_it_is_given_and_no_less(spark):
+    fields, block, end = warc.parsed(b"WARC/1.1\r\nWARC-Type: response\r\nContent-Length: 6\r\n\r\na\r\n\r\nb\r\n\r\nrest")
+    assert fields["WARC-Type"] == "response" and block == b"a\r\n\r\nb" and end == 58
+    with pytest.raises(ValueError, match="ends early"):
+        warc.parsed(b"WARC/1.1\r\nContent-Length: 9\r\n\r\nshort")
+    # a payload that is gone, or another in its place, is an error
+    archive = warc.stored(spark.createDataFrame([(1, "u", LONG, "x"), (2, "u", "b", "x")], PAGES))
+    assert {r.page_id: r.payload_bytes for r in warc.read_back(archive).collect()} == {1: len(LONG), 2: 1}
+    lost = warc.Archive(archive.headers, archive.payloads.where("size > 1"))
+    with pytest.raises(Exception, match="not in the archive"):
+        warc.read_back(lost).collect()
+    bad = warc.Archive(archive.headers, archive.payloads.withColumn("z", F.max("z").over(Window.partitionBy(F.lit(1)))))
+    with pytest.raises(Exception, match="not what its header says"):
+        warc.read_back(bad).collect()
+
+
 def test_warc_of_small_payloads(spark):
     rows = warc.read_back(warc.stored(spark.createDataFrame(PAGE_ROWS[:4], PAGES), least_bytes=1)).collect()
     assert {r.page_id: r.record_type for r in rows} == {1: "revisit", 2: "response", 3: "response", 4: "response"}
@@ -211,18 +278,68 @@ def test_language_model(spark, small, hard):
     assert sum(r.score for r in rows if r.held_out) > sum(r.base_score for r in rows if r.held_out)
 
 
-def test_language_model_sums_to_one(spark):
-    texts = ["a b a b a b a c", "b a b a b", "c a b"] * 30
-    train = spark.createDataFrame([(t,) for t in texts], "text string")
-    tree, _ = language_model.learned(train)
-    assert any(level.kept.any() for level in tree.levels)
-    ids = np.arange(len(tree.symbols))
-    for d, level in enumerate(tree.levels):
-        for context in np.flatnonzero(level.kept):
-            root = tree.start(tree.counts)
-            logs = language_model._logs(tree, d, np.full(len(ids), context), ids, root, tree.parents)
-            # what words never seen could have is the rest of add-one counts, scaled as they are
-            assert 0.9 < (10**logs).sum() <= 1.0001
+def brute_tree(train, depth, context_min, joint_min):
+    """log10 chances of tokens by a suffix tree in dictionaries."""
+    c = Counter(t for ts in train for t in ts)
+    n, v = sum(c.values()), len(c)
+    root = lambda t: math.log10((c[t] + 1) / (n + v + 1))
+    candidates = {(w,): k for w, k in c.items() if w is not None and k >= context_min}
+    if len(train) >= context_min:
+        candidates[("<s>",)] = len(train)
+    above = {(w,): root(w) for w, k in c.items() if k >= joint_min}
+    kept = []
+    for d in range(1, depth + 1):
+        pairs = Counter(tuple(seq[i - d : i + 1]) for ts in train for seq in [["<s>", *ts]] for i in range(d, len(seq)))
+        pairs = {p: k for p, k in pairs.items() if k >= joint_min and p[:-1] in candidates and p[1:] in above}
+        lists = defaultdict(dict)
+        for p, k in pairs.items():
+            lists[p[:-1]][p[-1]] = (math.log10((k - 0.5) / candidates[p[:-1]]), above[p[1:]])
+        level = {}
+        for ctx, words_of in lists.items():
+            rest, rest_below = (max(1 - sum(10 ** w[k] for w in words_of.values()), 1e-9) for k in (0, 1))
+            spare = math.log10(rest / rest_below)
+            saved = math.log(10) * candidates[ctx] * (sum(10**o * (o - b) for o, b in words_of.values()) + rest * spare)
+            if saved >= (len(words_of) + 1) * math.log(candidates[ctx]) / 2:
+                level[ctx] = (spare, {w: o for w, (o, _) in words_of.items()})
+        kept.append(level)
+        above = {p: lists[p[:-1]][p[-1]][0 if p[:-1] in level else 1] for p in pairs}
+        candidates = {p: k for p, k in pairs.items() if k >= context_min and p[-1] is not None}
+
+    def log(before, t):
+        for d in range(min(depth, len(before)), 0, -1):
+            ctx = tuple(before[-d:])
+            if ctx in kept[d - 1]:
+                spare, own = kept[d - 1][ctx]
+                return own[t] if t in own else spare + log(before[len(before) - d + 1 :] if d > 1 else [], t)
+        return root(t)
+
+    return log, kept
+
+
+@pytest.mark.parametrize(("context_min", "joint_min", "share"), [(3, 2, 1e-6), (6, 3, 0.02), (2, 1, 0.5)])
+def test_language_model_equals_brute_force(spark, hard, monkeypatch, context_min, joint_min, share):
+    monkeypatch.setattr(language_model, "HEAD_SHARE", share)
+    monkeypatch.setattr(language_model, "HOT_SHARE", 0.05)
+    draw = np.random.default_rng(8)
+    lines = ["the cat sat on the mat", "a dog ran to the cat", "no one sat on a dog", "to be or not to be"]
+    texts = [" ".join(lines[k] for k in draw.integers(0, 4, draw.integers(0, 9))) + " " + " ".join(draw.choice(VOCABULARY[:30], 12)) for _ in range(60)]
+    docs = spark.createDataFrame([(i, t, 1) for i, t in enumerate([*texts, *HARD, texts[0], texts[0]])], "doc_id long, text string, n int")
+    tokens = {r.doc_id: [*words(lowered(r.text)), None] for r in docs.collect()}
+    train = [ts for i, ts in tokens.items() if crc32(str(i).encode()) % 7 != 2]
+    log, kept = brute_tree(train, 3, context_min, joint_min)
+    assert all(kept[:2])
+    rows = language_model.scored(docs, language_model.training(docs), context_min=context_min, joint_min=joint_min).collect()
+    assert len(rows) == len(tokens)
+    for r in rows:
+        before = ["<s>", *tokens[r.doc_id]]
+        assert r.score == pytest.approx(sum(log(before[: i + 1], t) for i, t in enumerate(tokens[r.doc_id]))), r.doc_id
+
+
+def test_the_tree_grows_with_the_corpus(spark):
+    draw = np.random.default_rng(3)
+    texts = [" ".join(f"w{k}" for k in (100 * (i % 9) + np.cumsum(draw.integers(1, 3, 80))) % 1000) for i in range(400)]
+    sizes = [language_model.learned(spark.createDataFrame([(t,) for t in texts[:n]], "text string"), context_min=8, joint_min=4).values.count() for n in (50, 400)]
+    assert sizes[1] > 3 * sizes[0] > 0
 
 
 def test_language_model_edges(hard, empty):
