@@ -17,6 +17,7 @@ from .functions.library import HISTOGRAM, get
 from .operators import noise, significance, stats, trees
 from .plans import matrix
 from .sources import carriers
+from .stages import settled
 
 LEVELS = (0.0, 0.02, 0.04, 0.06, 0.08, 0.10, 0.2, 0.5, 0.9)
 QS = (1, 7, 10)
@@ -52,6 +53,7 @@ def all_tests(seq: DataFrame, k: int, alphabet: str, qs: tuple[int, ...] = QS, r
         (lambda s, keys: spaced_values(s, list(patterns), alphabet, keys, **options), max(map(len, patterns))),
     ):
         made, inner = significance.synthesised(seq, qs, replicates, seed, overlap=span - 1)
+        made = settled(made)
         p = significance.pvalues(values(seq, ()), values(made, inner), replicates, keys=("q",))
         tests.append(significance.bonferroni(p, significance.entries_of(seq), alpha))
     return reduce(lambda a, b: a.unionByName(b.select(a.columns)), tests)
@@ -81,14 +83,14 @@ def noise_study(seq: DataFrame, gold: str, names: tuple[str, ...] = ROBUST, k: i
     """
     spark, functions = seq.sparkSession, histogram_functions(4**k, names)
     models = F.broadcast(spark.createDataFrame([(q,) for q in qs], "q int"))
-    observed = matrix.compute(stats.counts(seq, k), functions, "binned", k=k)
+    observed = settled(matrix.compute(settled(stats.counts(seq, k)), functions, "binned", k=k))
     nulls = significance.null_matrix(seq, functions, k, qs, replicates, seed, strategy="binned")
     chosen = noise.select(observed, list(levels), trials, seed).join(models, F.lit(True))
-    noisy = noise.from_nulls(chosen, nulls, seed, ("q",)).select("q", "fn", "level", "trial", "i", "j", "value")
+    noisy = noise.from_nulls(chosen, settled(nulls), seed, ("q",)).select("q", "fn", "level", "trial", "i", "j", "value")
     if with_spaced:
-        own = noise.additive(noise.select(spaced_values(seq, list(patterns)), list(levels), trials, seed), seed=seed).join(models, F.lit(True))
+        own = noise.additive(noise.select(settled(spaced_values(seq, list(patterns))), list(levels), trials, seed), seed=seed).join(models, F.lit(True))
         noisy = noisy.unionByName(own.select(noisy.columns))
-    return curve_scores(noisy, gold, ("q",))
+    return curve_scores(settled(noisy), gold, ("q",))
 
 
 def as_distances(noisy: DataFrame, keys: tuple[str, ...], kinds: dict[str, str] | None = None) -> DataFrame:

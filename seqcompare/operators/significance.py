@@ -4,11 +4,12 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.library import REGISTRY, get
 from ..plans import matrix
+from ..stages import settled
 from . import nullmodel, stats
 
 
@@ -33,7 +34,7 @@ def null_matrix(seq: DataFrame, functions: list, k: int, q: int | tuple[int, ...
     if only is not None:
         copies = synthetic.select(*inner).distinct()
         pairs = only.join(copies, list(keys)) if keys else only.join(F.broadcast(copies), F.lit(True))
-    out = matrix.compute(stats.keyed_counts(synthetic, k, inner), functions, strategy, keys=inner, k=k, alphabet=alphabet, only=pairs)
+    out = matrix.compute(settled(stats.keyed_counts(synthetic, k, inner)), functions, strategy, keys=inner, k=k, alphabet=alphabet, only=pairs)
     return out.select(*inner, "fn", "i", "j", "value")
 
 
@@ -86,7 +87,7 @@ def entries_of(seq: DataFrame) -> int:
 
 def matrix_test(seq: DataFrame, functions: list, k: int, q: int | tuple[int, ...], replicates: int = 100, alpha: float = 0.01, seed: int = 1, strategy: str = "none", plus_one: bool = False, alphabet: str = "ACGT", **options) -> DataFrame:
     """(fn, i, j, t, beaten, p, level, reject): every entry at alpha / entries. With several q, a test for each."""
-    observed = matrix.compute(stats.counts(seq, k), functions, strategy, k=k, alphabet=alphabet)
+    observed = matrix.compute(settled(stats.counts(seq, k)), functions, strategy, k=k, alphabet=alphabet)
     nulls = null_matrix(seq, functions, k, q, replicates, seed, strategy=strategy, alphabet=alphabet, **options)
     return bonferroni(pvalues(observed, nulls, replicates, plus_one=plus_one, keys=("q",) if isinstance(q, tuple) else ()), entries_of(seq), alpha)
 
@@ -109,21 +110,14 @@ def early_stop(seq: DataFrame, functions: list, k: int, q: int, batches: int, ea
     live, n = observed.select("fn", "i", "j", "value"), seq.select("seq_id").distinct().count()
     if batches * each >= n * (n - 1) / 2 / alpha:
         raise ValueError("so many replicates allow an entry to miss some: test all of them")
-    _checkpoint_folder(seq.sparkSession)
     for batch in range(batches):
         only = live.select("i", "j").distinct() if batch else None
         nulls = null_matrix(seq, functions, k, q, each, seed + batch, only=only)
-        live = pvalues(live, nulls, each).where("p = 0").select("fn", "i", "j", F.col("t").alias("value")).checkpoint()
+        live = pvalues(live, nulls, each).where("p = 0").select("fn", "i", "j", F.col("t").alias("value"))
+        live = settled(live)
     return live
 
 
-def _checkpoint_folder(spark: SparkSession) -> None:
-    """The session's own folder for checkpoints. One below the warehouse where none is set, for a single machine only: on a
-    cluster every executor must reach it."""
-    if spark.conf.get("spark.checkpoint.dir", None) is None and spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_checkpoints")
-
-
 def summary(sig: DataFrame, green: float = 0.75, keys: tuple[str, ...] = ("fn",)) -> DataFrame:
     """(keys, m, passed, share, class): green from ``green`` on, red where none passes, else yellow."""
     out = sig.groupBy(*keys).agg(F.count("*").alias("m"), F.sum(F.col("reject").cast("bigint")).alias("passed"))
