@@ -172,8 +172,8 @@ def consistent_set(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("reliability_groups")
 def reliability_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Histogram functions on all documents, by language and source."""
-    functions = experiments.histogram_functions(256)
+    """Five of the histogram functions on all documents, by language and source, with one null dataset for each null model."""
+    functions = experiments.histogram_functions(256, ("d2", "d2z", "d2star", "manhattan", "jaccard"))
     sig = significance.matrix_test(carriers.language_sources(spark, sf_dir), functions, 4, _QS, 1, strategy="binned")
     return significance.summary(sig, keys=("q", "fn"))
 
@@ -280,9 +280,9 @@ def noise_curve_nations(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _nation_curve(spark, sf_dir)
 
 
-def _study(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _study(spark: SparkSession, sf_dir: str, **options) -> DataFrame:
     seq = carriers.conversation_groups(spark, sf_dir)
-    return experiments.noise_study(seq, experiments.group_taxonomy(seq))
+    return experiments.noise_study(seq, experiments.group_taxonomy(seq), **options)
 
 
 @query("noise_curve")
@@ -300,17 +300,17 @@ def noise_curve_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("noise_loss")
 def noise_loss(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return noise.loss(_study(spark, sf_dir), ("q",))
+    return noise.loss(_study(spark, sf_dir, trials=1, replicates=1), ("q",))
 
 
 @query("noise_report")
 def noise_report(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return noise.report(noise.loss(_study(spark, sf_dir), ("q",)), keys=("q",))
+    return noise.report(noise.loss(_study(spark, sf_dir, trials=1, replicates=1), ("q",)), keys=("q",))
 
 
 @query("noise_breakpoint")
 def noise_breakpoint(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return noise.breakpoint(noise.loss(_study(spark, sf_dir), ("q",)), keys=("q",))
+    return noise.breakpoint(noise.loss(_study(spark, sf_dir, trials=1, replicates=1), ("q",)), keys=("q",))
 
 
 # The arithmetic of losses over a fixed table of scores, which SQL elsewhere has, too.
