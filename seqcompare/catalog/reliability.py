@@ -155,19 +155,19 @@ def consistent_models(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _datasets(spark: SparkSession, sf_dir: str) -> dict[str, tuple[DataFrame, int, str]]:
-    return {"event_cohorts": (cohorts(spark, sf_dir), 3, "CVPSE"), "conversation_groups": (carriers.conversation_groups(spark, sf_dir), 4, "ACGT"), "benchmark_items": (carriers.benchmark_items(spark, sf_dir), 4, "ACGT")}
+    return {"event_cohorts": (cohorts(spark, sf_dir), 3, "CVPSE"), "conversation_groups": (carriers.conversation_groups(spark, sf_dir), 4, "ACGT")}
 
 
 @query("reliability_sweep")
 def reliability_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All eighteen functions on three datasets under null models of 1, 7 and 10 symbols."""
-    return experiments.reliability(_datasets(spark, sf_dir), replicates=_FEW)
+    """All eighteen functions on two datasets under null models of 1, 7 and 10 symbols."""
+    return experiments.reliability(_datasets(spark, sf_dir), replicates=2)
 
 
 @query("consistent_set")
 def consistent_set(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Functions whose share is high on all of the sweep's datasets and null models."""
-    return significance.consistent(experiments.reliability(_datasets(spark, sf_dir), replicates=_FEW))
+    return significance.consistent(experiments.reliability(_datasets(spark, sf_dir), replicates=2))
 
 
 @query("reliability_groups")
@@ -352,7 +352,7 @@ def sketch_errors(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("strategy_times")
 def strategy_times(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One significance instance of all histogram functions at three sizes under three plans: seconds, and what was shuffled."""
-    sizes = {"small": (cohorts(spark, sf_dir), 3, "CVPSE"), "large": (carriers.conversation_groups(spark, sf_dir), 6, "ACGT"), "very large": (carriers.language_sources(spark, sf_dir), 6, "ACGT")}
+    sizes = {"small": (cohorts(spark, sf_dir), 3, "CVPSE"), "large": (carriers.conversation_groups(spark, sf_dir), 4, "ACGT"), "very large": (carriers.language_sources(spark, sf_dir), 4, "ACGT")}
     return experiments.strategies(sizes)
 
 
