@@ -155,7 +155,7 @@ def consistent_models(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _datasets(spark: SparkSession, sf_dir: str) -> dict[str, tuple[DataFrame, int, str]]:
-    return {"event_cohorts": (cohorts(spark, sf_dir), 3, "CVPSE"), "conversation_groups": (carriers.conversation_groups(spark, sf_dir), 4, "ACGT")}
+    return {"event_cohorts": (cohorts(spark, sf_dir), 3, "CVPSE"), "benchmark_items": (carriers.benchmark_items(spark, sf_dir), 4, "ACGT")}
 
 
 @query("reliability_sweep")
