@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from seqcompare import experiments
+from seqcompare import cost, experiments
 from seqcompare.operators import noise, nullmodel, significance, trees
 from seqcompare.sources import carriers
 
@@ -55,6 +55,15 @@ def test_bootstrap_does_not_depend_on_partitions(seq):
     assert get(1) == get(5)
 
 
+@pytest.mark.parametrize("keys", [(), ("scope",)])
+def test_draws_are_never_broadcast(seq, keys):
+    own = seq.withColumn("scope", F.lit("s")) if keys else seq
+    made = nullmodel.bootstrap(own, 7, 3, keys=keys)
+    assert made.collect()
+    joins = [line for line in cost.plan_of(made).splitlines() if "Join" in line and "address_block" in line]
+    assert joins and all("ShuffledHashJoin" in line for line in joins)
+
+
 def test_bootstrap_of_short_sequences(spark):
     two = spark.createDataFrame([("a", 0, 0, "AC"), ("b", 0, 0, "ACGTA")], SEQ)
     assert {r.seq_id: len(r.residues) for r in nullmodel.bootstrap(two, 4, 1).collect()} == {"a": 2, "b": 5}
