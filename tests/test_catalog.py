@@ -9,6 +9,7 @@ import duckdb
 import pytest
 
 from seqcompare import catalog
+from seqcompare.streaming import counts as streaming
 
 REPO = Path(__file__).resolve().parents[1]
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -35,6 +36,18 @@ def test_query_equals_its_oracle(spark, small, duck, name):
     assert ours == theirs
 
 
+@pytest.mark.parametrize("mode", ["complete", "append"])
+def test_streams_are_collected_in_files(spark, small, mode):
+    stream = streaming.events(spark, small)
+    found = streaming.collected(streaming.windowed(stream, "session") if mode == "complete" else streaming.stateful_kmers(stream, 3), f"files-{mode}", mode)
+    assert found.inputFiles() and found.count() > 100  # the memory sink holds rows on the driver and has no files
+
+
+def test_a_stream_without_rows_is_an_empty_table(spark, small):
+    found = streaming.collected(streaming.events(spark, small).where("user_id < 0"), "none", "append")
+    assert found.count() == 0 and "symbol" in found.columns
+
+
 def test_oracles_are_of_queries():
     assert set(catalog.oracle_sql()) <= set(catalog.queries()) and len(catalog.queries()) > 120
 
