@@ -1,6 +1,9 @@
 """Null models, tests, noise and trees: worked examples, ties and known trees."""
 
+import subprocess
+import sys
 from itertools import permutations
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -10,6 +13,7 @@ from seqcompare import cost, experiments
 from seqcompare.operators import noise, nullmodel, significance, trees
 from seqcompare.sources import carriers
 
+REPO = Path(__file__).resolve().parents[1]
 SEQ = "seq_id string, part_id bigint, offset bigint, residues string"
 
 
@@ -228,6 +232,12 @@ def test_scaling_binds_its_workers(spark, seq):
     assert all(r.speedup == pytest.approx(1) for r in rows if r.workers == 1)
 
 
+def test_a_main_module_that_ends_does_not_break_the_processes(tmp_path):
+    main = tmp_path / "main.py"
+    main.write_text(f"import os, sys\nif __name__ != '__main__': os._exit(1)\nsys.path.insert(0, {str(REPO)!r})\nfrom seqcompare import baselines\nt = {{n: 'ACGTTGCAACGTGGCATTACGATCGA'[i:] for i, n in enumerate('abc')}}\nassert baselines.local_spaced(t, '11011', threads=2) == baselines.local_spaced(t, '11011')\n")
+    subprocess.run([sys.executable, str(main)], check=True)
+
+
 def test_all_eighteen_are_tested_under_every_null_model(spark, small):
     from seqcompare.functions.library import EIGHTEEN
 
