@@ -275,3 +275,13 @@ def test_imputation_and_taxonomy(spark):
     mat = matrix(spark).withColumn("value", F.when(F.col("i") == "0", F.lit(None)).otherwise(F.col("value")))
     assert all(r.value == 34 for r in trees.impute(mat).where("imputed").collect())
     assert trees.newick(trees.from_taxonomy([("x", "a"), ("x", "b"), ("y", "c")])) == "((a:1,b:1):1,(c:1):1);"
+
+
+def test_users_are_tested_as_in_the_matrix_of_all_pairs(spark, small):
+    seq = carriers.user_events(spark, small).where("cast(seq_id as bigint) < 12 or cast(seq_id as bigint) = 100")
+    whole = {(r.fn, r.i, r.j): r.beaten for r in significance.matrix_test(seq, ["d2", "manhattan"], 3, 7, 2).collect()}
+    asked = F.col("seq_id").cast("bigint") % 100 == 0
+    found = significance.search_test(seq, asked, ["d2", "manhattan"], 3, 7, 2)
+    rows = found.collect()
+    assert rows and all(r.beaten == whole[r.fn, min(r.i, r.j), max(r.i, r.j)] for r in rows)
+    assert "Join" not in cost.plan_of(found)  # neither pairs nor null values are joined
