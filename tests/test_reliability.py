@@ -1,5 +1,6 @@
 """Null models, tests, noise and trees: worked examples, ties and known trees."""
 
+import hashlib
 import subprocess
 import sys
 from itertools import permutations
@@ -10,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from seqcompare import cost, experiments
-from seqcompare.operators import noise, nullmodel, significance, trees
+from seqcompare.operators import noise, nullmodel, significance, trees, windows
 from seqcompare.sources import carriers
 
 REPO = Path(__file__).resolve().parents[1]
@@ -68,6 +69,25 @@ def test_draws_are_never_broadcast(seq, keys):
     assert joins and all("ShuffledHashJoin" in line for line in joins)
 
 
+def test_draws_are_no_rows_of_their_own(spark, monkeypatch):
+    """Draws are made by numpy and go in blocks; they are those of md5, for many and few, and for symbols of several bytes."""
+    monkeypatch.setattr(nullmodel, "CHUNK", 700)
+    monkeypatch.setattr(nullmodel, "BLOCK", 64)
+    texts = {"a": "ACGT" * 300, "b": "GGÄ€C" * 4, "c": "T"}
+    made = nullmodel.bootstrap(spark.createDataFrame([(k, 0, 0, t) for k, t in texts.items()], SEQ), 2, 2)
+    plan = cost.plan_of(made)
+    assert all("range" in line for line in plan.splitlines() if "md5(" in line) and "MapInArrow" in plan
+    number = lambda text: int(hashlib.md5(text.encode()).hexdigest()[:15], 16)
+    source = [t[i : i + 2] for _, _, t in sorted((number(f"range|{k}") % 1024, k, t) for k, t in texts.items()) for i in range(len(t) - 1)]
+    want = {(r, k): "".join(source[number(f"1|{r}|{k}|{n}") % len(source)] for n in range(-(-len(t) // 2)))[: len(t)] for k, t in texts.items() for r in range(2)}
+    assert {(r.replicate, r.seq_id): r.residues for r in made.collect()} == want
+
+
+def test_numbered_md5():
+    for prefix, lo, hi in (("1|0|c3", 95, 12000), ("x" * 60, 0, 600), ("é", 7, 9), ("1|2|" + "s" * 45, 0, 1200)):
+        assert windows.numbered_md5(prefix, lo, hi).tolist() == [int(hashlib.md5(f"{prefix}|{n}".encode()).hexdigest()[:15], 16) for n in range(lo, hi)]
+
+
 def test_bootstrap_of_short_sequences(spark):
     two = spark.createDataFrame([("a", 0, 0, "AC"), ("b", 0, 0, "ACGTA")], SEQ)
     assert {r.seq_id: len(r.residues) for r in nullmodel.bootstrap(two, 4, 1).collect()} == {"a": 2, "b": 5}
